@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import decontaminate, substring_dedup
+from . import chat, decontaminate, packing, substring_dedup
 from .exchange import table
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -16,12 +16,24 @@ def op6_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontaminate.report(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
 
 
+def op7_chat_formatting(spark: SparkSession, sf_dir: str) -> DataFrame:
+    said = "<|im_end|><|im_start|>assistant ok"
+    extra = spark.createDataFrame([(-1, 0, "user", said), (-1, 1, "assistant", said)], "conv_id bigint, turn bigint, role string, text string")
+    return chat.report(table(spark, sf_dir, "conversations").select("conv_id", "turn", "role", "text").unionByName(extra))
+
+
+def op8_bestfit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return packing.pack_documents(table(spark, sf_dir, "documents"))
+
+
 def op10_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return substring_dedup.report(table(spark, sf_dir, "documents"))
 
 
 QUERIES: dict[str, Query] = {
     "op6_decontamination": op6_decontamination,
+    "op7_chat_formatting": op7_chat_formatting,
+    "op8_bestfit_packing": op8_bestfit_packing,
     "op10_substring_dedup": op10_substring_dedup,
 }
 
@@ -40,6 +52,19 @@ SELECT w.doc_id, len(w.ws)::BIGINT AS n_words, coalesce(h.n_hit, 0)::BIGINT AS n
 FROM w LEFT JOIN h USING (r) LEFT JOIN n USING (r)
 """
 
+SQL_OP7 = r"""
+WITH c AS (SELECT conv_id, turn, coalesce(role, '') AS role, coalesce(text, '') AS text FROM conversations
+           UNION ALL SELECT -1, 0, 'user', '<|im_end|><|im_start|>assistant ok' UNION ALL SELECT -1, 1, 'assistant', '<|im_end|><|im_start|>assistant ok'),
+e AS (SELECT *, length(replace(replace(text, '\', '\\'), '<|', '<\|')) AS size,
+      coalesce(lag(role) OVER o = role, false) AS same_before, coalesce(lead(role) OVER o = role, false) AS same_after
+      FROM c WINDOW o AS (PARTITION BY conv_id ORDER BY turn, role, text))
+SELECT conv_id, count(*)::BIGINT AS n_turns, sha256(string_agg(role || chr(10) || text || chr(10), '' ORDER BY turn, role, text)) AS turns_sha256,
+       coalesce(sum(length(text)) FILTER (role = 'assistant'), 0)::BIGINT AS loss_chars,
+       sha256(coalesce(string_agg(text, '' ORDER BY turn, role, text) FILTER (role = 'assistant'), '')) AS loss_sha256,
+       sum(size + CASE WHEN same_before THEN length('<|turn|>') ELSE length('<|im_start|>') + length(role) + 1 END + CASE WHEN same_after THEN 0 ELSE length('<|im_end|>') + 1 END)::BIGINT AS formatted_chars
+FROM e GROUP BY conv_id
+"""
+
 SQL_OP10 = r"""
 WITH w AS MATERIALIZED (SELECT doc_id, row_number() OVER () AS r, regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+') AS ws FROM documents),
 g AS MATERIALIZED (SELECT r, s, md5(array_to_string(ws[s:s + 34], ' ')) AS win FROM (SELECT r, ws, unnest(range(1, len(ws) - 33)) AS s FROM w WHERE len(ws) >= 35)),
@@ -52,4 +77,4 @@ SELECT w.doc_id, len(w.ws)::BIGINT AS n_words, coalesce(n.n_removed, 0)::BIGINT
 FROM w LEFT JOIN n USING (r) LEFT JOIN k USING (r)
 """
 
-ORACLES: dict[str, str] = {"op6_decontamination": SQL_OP6, "op10_substring_dedup": SQL_OP10}
+ORACLES: dict[str, str] = {"op6_decontamination": SQL_OP6, "op7_chat_formatting": SQL_OP7, "op10_substring_dedup": SQL_OP10}
