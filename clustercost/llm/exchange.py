@@ -40,13 +40,13 @@ class HashFilter:
 
 
 def hash_filter(hashes: DataFrame, column: str, most_bits: int = 29) -> HashFilter:
-    """A filter of a bigint hash column, 16 slots a value, at most ``2**most_bits`` bits (64 MB by default).
+    """A filter of a bigint hash column, 64 slots a value, at most ``2**most_bits`` bits (64 MB by default).
 
     The size bound holds at any input size: a fuller filter passes more, and what it passes
     is decided exactly later.  The bitmap is put together by a distributed bit-or; only
     its words reach the driver.
     """
-    bits = min(most_bits, max(10, int(16 * max(1, hashes.count())).bit_length()))
+    bits = min(most_bits, max(10, int(64 * max(1, hashes.count())).bit_length()))
     slot = F.shiftrightunsigned(F.col(column), 64 - bits)
     words = hashes.select(F.shiftright(slot, 6).alias("at"), F.expr(f"shiftleft(1L, CAST(shiftrightunsigned({column}, {64 - bits}) & 63 AS INT))").alias("bit")).groupBy("at").agg(F.bit_or("bit").alias("bits"))
     got = words.toArrow()

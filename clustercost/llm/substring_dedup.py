@@ -1,21 +1,23 @@
 """Removal of long repeated passages by token k-mers and their source coordinates.
 
-Every run of ``window`` words is an edge of the token de Bruijn graph.  Only repeated edges
-matter, and hardly any edge is one, so the graph is thinned without loss first:
+Every run of ``window`` words is an edge of the token de Bruijn graph.  Edges are compacted
+and thinned without loss before anything is joined:
 
 1. each edge is represented by its smallest inner seed (a run of ``seed`` words).  Equal
    edges have equal smallest seeds, so an edge repeats only if its smallest seed occurs at
    two places; about one word in ten yields a seed, and their counts are one aggregation;
-2. repeated seeds become a filter of bounded size; edges that pass it are candidates, with
-   two independent hashes and their source coordinate ``(doc, position)``;
-3. a grouped count finds the repeated edges, a join brings them back to all their
-   coordinates (Spark splits a hot edge's rows), and coordinates that follow one another
-   compact to maximal spans of their document.  ``repeated_paths`` compacts the edges
-   themselves to nonbranching paths by joining each edge to its successor;
-4. spans meet their texts by key, and covered words go.
-
-Counts, candidates and removal cover all rows; no group is gathered in one task beyond the
-positions of one document.
+2. consecutive edges with one smallest seed compact to a *path*, a nonbranching piece of the
+   text with a source coordinate ``(doc, start, edges)``.  Paths of repeated seeds are
+   counted by content and joined to their counts: a path that occurs twice has only
+   repeated edges.  This settles nearly all of them;
+3. what is left are paths cut by the border of a repeated passage.  Their single edges are
+   counted among all edges of the same seeds, and joined back to their coordinates;
+4. spans of both kinds meet their texts by key, are verified to lie inside it, and their
+   words go.
+
+Seeds and paths of interest travel as filters of bounded size that never lose a member; what
+they pass in error is decided by exact counts.  Counts, candidates and removal cover all
+rows; no group is gathered in one task beyond the spans of one document.
 """
 
 from __future__ import annotations
@@ -30,7 +32,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .exchange import HashFilter, checkpointed, hash_filter, row_key
-from .tokens import SPACE_WORDS, U, Words, blocks, covered, text_bytes
+from .tokens import SPACE_WORDS, U, Words, blocks, covered, span_hashes, text_bytes
 
 WINDOW = 35
 SEED = 16
@@ -68,31 +70,54 @@ def _seed_rows(batches: Iterator[pa.RecordBatch], window: int, seed: int) -> Ite
                 yield pa.RecordBatch.from_arrays([pa.array(seeds[place].view(np.int64))], names=["seed"])
 
 
-def _edge_rows(batches: Iterator[pa.RecordBatch], window: int, seed: int, keep: HashFilter) -> Iterator[pa.RecordBatch]:
+def _path_rows(batches: Iterator[pa.RecordBatch], window: int, seed: int, keep: HashFilter) -> Iterator[pa.RecordBatch]:
     for batch in batches:
-        data, offsets = text_bytes(batch.column(2))
-        ids, keys = batch.column(0).to_numpy(zero_copy_only=False), batch.column(1).to_numpy()
-        for low, high in blocks(offsets):
-            words = Words(data[offsets[low] : offsets[high]], offsets[low : high + 1] - offsets[low], SPACE_WORDS)
-            values, seeds, edges, place = _smallest(words, window, seed)
-            if not len(edges):
-                continue
+        for words, values, seeds, edges, place, low in _parts(batch, window, seed):
+            new = np.flatnonzero(np.diff(place, prepend=-1))
+            count = np.diff(np.append(new, len(place)))
+            good = keep.passes(seeds[place[new]])
+            start, count = edges[new[good]], count[good]
+            if len(start):
+                yield _coordinates(batch, words, low, start, {"seed": seeds[place[new[good]]].view(np.int64), "content": span_hashes(values, start, start + count + window - 1).view(np.int64)}, count)
+
+
+def _edge_rows(batches: Iterator[pa.RecordBatch], window: int, seed: int, keep: HashFilter, contents: HashFilter | None) -> Iterator[pa.RecordBatch]:
+    """Edges of paths whose seed is in ``keep``; with ``contents``, of those paths only, with coordinates."""
+    for batch in batches:
+        for words, values, seeds, edges, place, low in _parts(batch, window, seed):
             new = np.flatnonzero(np.diff(place, prepend=-1))
-            good = np.repeat(keep.passes(seeds[place[new]]), np.diff(np.append(new, len(place))))
-            at = edges[good]
+            count = np.diff(np.append(new, len(place)))
+            good = keep.passes(seeds[place[new]])
+            if contents is not None:
+                good &= contents.passes(span_hashes(values, edges[new], edges[new] + count + window - 1))
+            at = edges[np.repeat(good, count)]
             if not len(at):
                 continue
-            from .tokens import span_hashes
-
             first = span_hashes(values, at, at + window)
-            second = span_hashes(words.hashes(2), at, at + window) >> U(33)
-            row = words.row[at]
+            second = (span_hashes(words.hashes(2), at, at + window) >> U(33)).astype(np.int32)
             for a in range(0, len(at), 200_000):
                 b = slice(a, a + 200_000)
-                yield pa.RecordBatch.from_arrays(
-                    [pa.array(first[b].view(np.int64)), pa.array(second[b].astype(np.int32)), pa.array(ids[low + row[b]], pa.int64()), pa.array(keys[low + row[b]], pa.int64()), pa.array((at[b] - words.first[row[b]]).astype(np.int32))],
-                    names=["edge", "check", "doc_id", "row_key", "pos"],
-                )
+                columns = {"edge": first[b].view(np.int64), "check": second[b]}
+                if contents is None:
+                    yield pa.RecordBatch.from_arrays([pa.array(x) for x in columns.values()], names=list(columns))
+                else:
+                    yield _coordinates(batch, words, low, at[b], columns, np.ones(len(at[b]), np.int64))
+
+
+def _parts(batch: pa.RecordBatch, window: int, seed: int) -> Iterator[tuple]:
+    data, offsets = text_bytes(batch.column(batch.schema.get_field_index("text")))
+    for low, high in blocks(offsets):
+        words = Words(data[offsets[low] : offsets[high]], offsets[low : high + 1] - offsets[low], SPACE_WORDS)
+        values, seeds, edges, place = _smallest(words, window, seed)
+        if len(edges):
+            yield words, values, seeds, edges, place, low
+
+
+def _coordinates(batch: pa.RecordBatch, words: Words, low: int, start: np.ndarray, columns: dict, count: np.ndarray) -> pa.RecordBatch:
+    row = words.row[start]
+    place = pa.array(low + row)
+    columns = columns | {"doc_id": batch.column(0).take(place), "row_key": batch.column(1).take(place), "start": (start - words.first[row]).astype(np.int32), "edges": count.astype(np.int32)}
+    return pa.RecordBatch.from_arrays([x if isinstance(x, pa.Array) else pa.array(x) for x in columns.values()], names=list(columns))
 
 
 def keyed(documents: DataFrame) -> DataFrame:
@@ -101,54 +126,42 @@ def keyed(documents: DataFrame) -> DataFrame:
     return documents.select(ids.alias("doc_id"), row_key().alias("row_key"), F.col("text").cast("string").alias("text"))
 
 
-def occurrences(docs: DataFrame, window: int = WINDOW, seed: int = SEED) -> DataFrame:
-    """Candidate edges with coordinates ``edge, check, doc_id, row_key, pos`` from ``keyed`` rows.
+def paths(docs: DataFrame, window: int = WINDOW, seed: int = SEED) -> DataFrame:
+    """Compacted candidate paths ``seed, content, doc_id, row_key, start, edges`` of ``keyed`` rows.
 
-    Holds every occurrence of every repeated edge, and some that do not repeat.
+    Holds every path of every repeated seed, and few others.
     """
-    seed = max(1, min(seed, window))
     seeds = docs.select("text").mapInArrow(lambda it: _seed_rows(it, window, seed), "seed bigint")
     repeated = checkpointed(seeds.groupBy("seed").agg(F.count("*").alias("n")).where("n > 1").select("seed"))
     keep = docs.sparkSession.sparkContext.broadcast(hash_filter(repeated, "seed"))
-    return docs.select("doc_id", "row_key", "text").mapInArrow(lambda it: _edge_rows(it, window, seed, keep.value), "edge bigint, check int, doc_id bigint, row_key bigint, pos int")
-
-
-def repeated_edges(found: DataFrame) -> DataFrame:
-    """Edges at two or more coordinates: ``edge, check, n`` and the first coordinate ``source``."""
-    return found.groupBy("edge", "check").agg(F.count("*").alias("n"), F.min(F.struct("doc_id", "row_key", "pos")).alias("source")).where("n > 1")
+    return docs.mapInArrow(lambda it: _path_rows(it, window, seed, keep.value), "seed bigint, content bigint, doc_id bigint, row_key bigint, start int, edges int")
 
 
-def repeated_paths(edges: DataFrame) -> DataFrame:
-    """Nonbranching repeated paths: ``doc_id, row_key, start, edges, n`` at their first coordinate.
-
-    An edge continues a path if the edge before it at its first coordinate repeats as often;
-    the join to the predecessor finds the heads, and each path ends before the next head or gap.
-    """
-    flat = edges.select("n", "source.doc_id", "source.row_key", "source.pos")
-    before = flat.select("doc_id", "row_key", (F.col("pos") + 1).alias("pos"), "n")
-    heads = flat.join(before, ["doc_id", "row_key", "pos", "n"], "left_anti").select("doc_id", "row_key", F.col("pos").alias("start"), "n")
-    after = flat.select("doc_id", "row_key", (F.col("pos") - 1).alias("pos"), "n")
-    tails = flat.join(after, ["doc_id", "row_key", "pos", "n"], "left_anti").select("doc_id", "row_key", "pos", "n")
-    joined = heads.join(tails, ["doc_id", "row_key", "n"]).where("pos >= start")
-    return joined.groupBy("doc_id", "row_key", "start", "n").agg((F.min("pos") - F.col("start") + 1).alias("edges"))
-
-
-def repeated_positions(docs: DataFrame, window: int = WINDOW, seed: int = SEED) -> DataFrame:
-    """Per row that holds any: ``doc_id, row_key, starts array<int>`` of repeated windows."""
-    found = occurrences(docs, window, seed)
-    again = found.groupBy("edge", "check").agg(F.count("*").alias("n")).where("n > 1").select("edge", "check")
-    return found.join(again, ["edge", "check"]).groupBy("doc_id", "row_key").agg(F.collect_set("pos").alias("starts"))
+def repeated_spans(docs: DataFrame, window: int = WINDOW, seed: int = SEED) -> DataFrame:
+    """Coordinates ``doc_id, row_key, start, edges`` of repeated edges, in runs of consecutive ones."""
+    context = docs.sparkSession.sparkContext
+    seed = max(1, min(seed, window))
+    found = paths(docs, window, seed)
+    counts = found.groupBy("seed", "content").agg(F.count("*").alias("n"))
+    single = checkpointed(counts.where("n = 1").select("seed", "content"))
+    seeds, contents = context.broadcast(hash_filter(single, "seed")), context.broadcast(hash_filter(single, "content"))
+    whole = found.join(counts.where("n > 1").select("seed", "content"), ["seed", "content"]).select("doc_id", "row_key", "start", "edges")
+    edges = docs.mapInArrow(lambda it: _edge_rows(it, window, seed, seeds.value, None), "edge bigint, check int")
+    again = edges.groupBy("edge", "check").agg(F.count("*").alias("n")).where("n > 1").select("edge", "check")
+    border = docs.mapInArrow(lambda it: _edge_rows(it, window, seed, seeds.value, contents.value), "edge bigint, check int, doc_id bigint, row_key bigint, start int, edges int")
+    return whole.unionByName(border.join(again, ["edge", "check"]).select("doc_id", "row_key", "start", "edges"))
 
 
 def _kept(batches: Iterator[pa.RecordBatch], window: int) -> Iterator[pa.RecordBatch]:
     for batch in batches:
-        ids, keys, texts, starts = (batch.column(i) for i in range(4))
+        ids, keys, texts, spans = (batch.column(i) for i in range(4))
         rows: dict[str, list] = {"n_words": [], "n_removed": [], "kept": []}
-        for text, at in zip(texts, starts, strict=True):
+        for text, at in zip(texts, spans, strict=True):
             words = text.as_py().encode("utf-8", "surrogatepass").split() if text.is_valid else []
             gone = 0
             if at.is_valid and len(at.values):
-                cut = covered(len(words), at.values.to_numpy(), window)
+                start, count = at.values.field("start").to_numpy(), at.values.field("edges").to_numpy()
+                cut = covered(len(words), start, count + (window - 1))
                 gone = int(cut.sum())
                 kept = list(compress(words, ~cut))
             else:
@@ -169,8 +182,8 @@ def remove_repeats(documents: DataFrame, window: int = WINDOW, seed: int = SEED)
     An empty table gives an empty result; columns other than doc_id and text are not read.
     """
     docs = keyed(documents)
-    marks = repeated_positions(docs, window, seed)
-    joined = docs.join(marks, ["doc_id", "row_key"], "left").select("doc_id", "row_key", "text", "starts")
+    marks = repeated_spans(docs, window, seed).groupBy("doc_id", "row_key").agg(F.collect_set(F.struct("start", "edges")).alias("spans"))
+    joined = docs.join(marks, ["doc_id", "row_key"], "left").select("doc_id", "row_key", "text", "spans")
     kept = joined.mapInArrow(lambda it: _kept(it, window), "doc_id bigint, row_key bigint, n_words bigint, n_removed bigint, kept string")
     return kept.withColumn("doc_id", F.when(F.col("doc_id") != -(2**63), F.col("doc_id")))
 

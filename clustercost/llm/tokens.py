@@ -147,8 +147,8 @@ def span_hashes(values: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.nd
     return mix(raw + (end - start).astype(U))
 
 
-def covered(n: int, start: np.ndarray, size: int) -> np.ndarray:
-    """Which of n words lie in a window of ``size`` that begins at one of ``start``."""
+def covered(n: int, start: np.ndarray, size: int | np.ndarray) -> np.ndarray:
+    """Which of n words lie in a span of ``size`` words that begins at one of ``start``."""
     edge = np.zeros(n + 1, np.int32)
     np.add.at(edge, start, 1)
     np.add.at(edge, np.minimum(start + size, n), -1)
