@@ -23,6 +23,7 @@ rows; no group is gathered in one task beyond the spans of one document.
 from __future__ import annotations
 
 import hashlib
+import zlib
 from collections.abc import Callable, Iterator
 from itertools import compress
 
@@ -121,9 +122,15 @@ def _coordinates(batch: pa.RecordBatch, words: Words, low: int, start: np.ndarra
 
 
 def keyed(documents: DataFrame) -> DataFrame:
-    """Columns ``doc_id, row_key, text``; a null id takes the place of -2**63."""
-    ids = F.coalesce(F.col("doc_id").cast("bigint"), F.lit(-(2**63)))
-    return documents.select(ids.alias("doc_id"), row_key().alias("row_key"), F.col("text").cast("string").alias("text"))
+    """Columns ``doc_id, row_key, text``; a null id takes the place of -2**63.
+
+    ``row_key`` tells rows of one doc_id and different texts apart; it is 0 throughout where no
+    doc_id repeats, which keeps coordinates small.
+    """
+    ids = F.coalesce(F.col("doc_id").cast("bigint"), F.lit(-(2**63))).alias("doc_id")
+    unique = documents.select(ids).groupBy("doc_id").count().where("count > 1").isEmpty()
+    key = F.lit(0).cast("bigint") if unique else row_key()
+    return documents.select(ids, key.alias("row_key"), F.col("text").cast("string").alias("text"))
 
 
 def paths(docs: DataFrame, window: int = WINDOW, seed: int = SEED) -> DataFrame:
@@ -138,26 +145,37 @@ def paths(docs: DataFrame, window: int = WINDOW, seed: int = SEED) -> DataFrame:
 
 
 def repeated_spans(docs: DataFrame, window: int = WINDOW, seed: int = SEED) -> DataFrame:
-    """Coordinates ``doc_id, row_key, start, edges`` of repeated edges, in runs of consecutive ones."""
+    """Coordinates ``doc_id, row_key, start, edges`` of repeated edges, in runs of consecutive ones.
+
+    Counts are written before they are joined, so that both sides of a join are plain
+    exchanges, whose hot keys Spark can split.
+    """
     context = docs.sparkSession.sparkContext
     seed = max(1, min(seed, window))
     found = paths(docs, window, seed)
-    counts = found.groupBy("seed", "content").agg(F.count("*").alias("n"))
-    single = checkpointed(counts.where("n = 1").select("seed", "content"))
+    counts = checkpointed(found.groupBy("seed", "content").agg(F.count("*").alias("n")))
+    single = counts.where("n = 1")
     seeds, contents = context.broadcast(hash_filter(single, "seed")), context.broadcast(hash_filter(single, "content"))
     whole = found.join(counts.where("n > 1").select("seed", "content"), ["seed", "content"]).select("doc_id", "row_key", "start", "edges")
     edges = docs.mapInArrow(lambda it: _edge_rows(it, window, seed, seeds.value, None), "edge bigint, check int")
-    again = edges.groupBy("edge", "check").agg(F.count("*").alias("n")).where("n > 1").select("edge", "check")
+    again = checkpointed(edges.groupBy("edge", "check").agg(F.count("*").alias("n")).where("n > 1").select("edge", "check"))
     border = docs.mapInArrow(lambda it: _edge_rows(it, window, seed, seeds.value, contents.value), "edge bigint, check int, doc_id bigint, row_key bigint, start int, edges int")
     return whole.unionByName(border.join(again, ["edge", "check"]).select("doc_id", "row_key", "start", "edges"))
 
 
+def _squeezed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Texts compressed row by row: they cross the shuffle at half the size."""
+    for batch in batches:
+        texts = [zlib.compress(x.as_buffer(), 1) if x.is_valid else None for x in batch.column(2).cast(pa.binary())]
+        yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(texts, pa.binary())], names=["doc_id", "row_key", "text"])
+
+
 def _kept(batches: Iterator[pa.RecordBatch], window: int) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         ids, keys, texts, spans = (batch.column(i) for i in range(4))
         rows: dict[str, list] = {"n_words": [], "n_removed": [], "kept": []}
         for text, at in zip(texts, spans, strict=True):
-            words = text.as_py().encode("utf-8", "surrogatepass").split() if text.is_valid else []
+            words = zlib.decompress(text.as_py()).split() if text.is_valid else []
             gone = 0
             if at.is_valid and len(at.values):
                 start, count = at.values.field("start").to_numpy(), at.values.field("edges").to_numpy()
@@ -183,7 +201,8 @@ def remove_repeats(documents: DataFrame, window: int = WINDOW, seed: int = SEED)
     """
     docs = keyed(documents)
     marks = repeated_spans(docs, window, seed).groupBy("doc_id", "row_key").agg(F.collect_set(F.struct("start", "edges")).alias("spans"))
-    joined = docs.join(marks, ["doc_id", "row_key"], "left").select("doc_id", "row_key", "text", "spans")
+    squeezed = docs.mapInArrow(_squeezed, "doc_id bigint, row_key bigint, text binary")
+    joined = squeezed.join(marks, ["doc_id", "row_key"], "left").select("doc_id", "row_key", "text", "spans")
     kept = joined.mapInArrow(lambda it: _kept(it, window), "doc_id bigint, row_key bigint, n_words bigint, n_removed bigint, kept string")
     return kept.withColumn("doc_id", F.when(F.col("doc_id") != -(2**63), F.col("doc_id")))
 
