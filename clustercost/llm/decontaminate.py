@@ -168,6 +168,28 @@ def _merged(docs: DataFrame, groups: list, window: int) -> DataFrame:
     return docs.mapInArrow(scan_all, "doc_id bigint, n_words bigint, n_hit bigint, items array<bigint>")
 
 
+def without_contaminated(documents: DataFrame, benchmark: DataFrame, window: int = WINDOW, ratio: int = RATIO, max_block_mb: float = 16.0) -> DataFrame:
+    """The rows of ``documents`` that are not contaminated, with all their columns."""
+    names, shared = documents.columns, [Patterns(g, window) for g in item_blocks(benchmark, max_block_mb)]
+    at = names.index("text")
+
+    def keep(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            good = np.ones(batch.num_rows, bool)
+            data, offsets = text_bytes(batch.column(at))
+            for low, high in blocks(offsets):
+                words = Words(LOWER[data[offsets[low] : offsets[high]]], offsets[low : high + 1] - offsets[low], ALNUM_WORDS)
+                values = words.hashes()
+                hit = np.zeros(len(values), bool)
+                for patterns in shared:
+                    hit |= patterns.search(words, values)[0]
+                n_hit = np.bincount(words.row[hit], minlength=words.rows)
+                good[low:high] = ~((n_hit > 0) & (ratio * n_hit >= words.count))
+            yield batch.filter(pa.array(good))
+
+    return documents.mapInArrow(keep, documents.schema)
+
+
 def report(documents: DataFrame, benchmark: DataFrame) -> DataFrame:
     """The digest form: item lists as counts and SHA-256 of their sorted strings."""
     found = contamination(documents, benchmark)

@@ -207,6 +207,35 @@ def remove_repeats(documents: DataFrame, window: int = WINDOW, seed: int = SEED)
     return kept.withColumn("doc_id", F.when(F.col("doc_id") != -(2**63), F.col("doc_id")))
 
 
+def without_repeats(documents: DataFrame, window: int = WINDOW, seed: int = SEED) -> DataFrame:
+    """``documents`` with the repeated passages taken out of ``text``, and ``n_chars`` to match where there is one.
+
+    Texts that lose nothing, null ones too, stay as they are.
+    """
+    docs = keyed(documents)
+    unique = docs.select("row_key").where("row_key <> 0").isEmpty()
+    ids = F.coalesce(F.col("doc_id").cast("bigint"), F.lit(-(2**63)))
+    marks = repeated_spans(docs, window, seed).groupBy("doc_id", "row_key").agg(F.collect_set(F.struct("start", "edges")).alias("spans")).select(F.col("doc_id").alias("marked id"), F.col("row_key").alias("marked key"), "spans")
+    keyed_rows = documents.withColumn("id of row", ids).withColumn("key of row", F.lit(0).cast("bigint") if unique else F.xxhash64(ids, F.col("text").cast("string")))
+    joined = keyed_rows.join(marks, (F.col("id of row") == F.col("marked id")) & (F.col("key of row") == F.col("marked key")), "left").select(*documents.columns, "spans")
+    at, names = documents.columns.index("text"), documents.columns
+
+    def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            texts = batch.column(at).to_pylist()
+            for i, spans in enumerate(batch.column(len(names))):
+                if spans.is_valid and len(spans.values):
+                    words = texts[i].encode("utf-8", "surrogatepass").split()
+                    gone = covered(len(words), spans.values.field("start").to_numpy(), spans.values.field("edges").to_numpy() + (window - 1))
+                    texts[i] = b" ".join(compress(words, ~gone)).decode("utf-8", "surrogatepass")
+            columns = list(batch.columns[: len(names)])
+            columns[at] = pa.array(texts, columns[at].type)
+            yield pa.RecordBatch.from_arrays(columns, names=names)
+
+    out = joined.mapInArrow(cut, documents.schema)
+    return out.withColumn("n_chars", F.length("text").cast(documents.schema["n_chars"].dataType)) if "n_chars" in names else out
+
+
 def report(documents: DataFrame, window: int = WINDOW) -> DataFrame:
     out = remove_repeats(documents, window)
     return out.select("doc_id", "n_words", "n_removed", F.sha2(F.col("kept"), 256).alias("kept_sha256"))

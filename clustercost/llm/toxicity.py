@@ -258,6 +258,20 @@ def score_documents(documents: DataFrame, grammar: Grammar) -> DataFrame:
     return lowered(documents).mapInArrow(lambda it: _scored(it, grammar), "doc_id bigint, score double, n_matches bigint")
 
 
+def without_toxic(documents: DataFrame, grammar: Grammar, threshold: float = 0.7) -> DataFrame:
+    """The rows of ``documents`` that score below the threshold, with all their columns."""
+    lower = documents.withColumn("lower of text", F.lower(F.col("text").cast("string")))
+    at = len(documents.columns)
+
+    def keep(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            texts = pa.RecordBatch.from_arrays([pa.nulls(batch.num_rows), batch.column(at)], names=["doc_id", "text"])
+            score = next(_scored(iter([texts]), grammar)).column(1).to_numpy()
+            yield pa.RecordBatch.from_arrays(batch.columns[:at], names=batch.schema.names[:at]).filter(pa.array(score < threshold))
+
+    return lower.mapInArrow(keep, documents.schema)
+
+
 def report(documents: DataFrame, labels: DataFrame, threshold: float = 0.7) -> DataFrame:
     scored = score_documents(documents, fit(documents, labels))
     held = F.coalesce(remainder(F.col("doc_id")) == 1, F.lit(False)).alias("held_out")
