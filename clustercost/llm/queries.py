@@ -6,12 +6,24 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import chat, decontaminate, fingerprint, minhash, packing, substring_dedup, toxicity
+from . import chat, decontaminate, fingerprint, language, licenses, lm_scores, minhash, packing, substring_dedup, toxicity
 from .exchange import table
 
 Query = Callable[[SparkSession, str], DataFrame]
 
 
+def op1_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return language.identify(table(spark, sf_dir, "pages"), language.fit_text(table(spark, sf_dir, "documents")))
+
+
+def op2_lm_scores(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return lm_scores.score_documents(table(spark, sf_dir, "documents"))
+
+
+def op3_license_scans(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return licenses.scan_licenses(table(spark, sf_dir, "documents"), licenses.known_licenses(spark))
+
+
 def op4_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
     return fingerprint.fingerprint_documents(table(spark, sf_dir, "documents"))
 
@@ -43,6 +55,9 @@ def op10_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Query] = {
+    "op1_language_id": op1_language_id,
+    "op2_lm_scores": op2_lm_scores,
+    "op3_license_scans": op3_license_scans,
     "op4_fingerprints": op4_fingerprints,
     "op5_minhash_dedup": op5_minhash_dedup,
     "op6_decontamination": op6_decontamination,
@@ -92,4 +107,18 @@ SELECT w.doc_id, len(w.ws)::BIGINT AS n_words, coalesce(n.n_removed, 0)::BIGINT
 FROM w LEFT JOIN n USING (r) LEFT JOIN k USING (r)
 """
 
-ORACLES: dict[str, str] = {"op6_decontamination": SQL_OP6, "op7_chat_formatting": SQL_OP7, "op10_substring_dedup": SQL_OP10}
+SQL_OP2 = r"""
+WITH t AS (SELECT doc_id, row_number() OVER () AS r, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+') AS ws FROM documents),
+w AS MATERIALIZED (SELECT r, i, ws[i] AS w FROM (SELECT r, ws, unnest(range(1, len(ws) + 1)) AS i FROM t)),
+n AS MATERIALIZED (SELECT count(*)::DOUBLE AS n FROM w),
+v AS MATERIALIZED (SELECT w, count(*)::DOUBLE AS c FROM w GROUP BY w HAVING count(*) >= greatest(2, ceil((SELECT n FROM n) / 1048576))),
+k AS MATERIALIZED (SELECT w.r, w.i, coalesce(v.w, '') AS w, coalesce(v.c, (SELECT n FROM n) - (SELECT sum(c) FROM v)) AS c FROM w LEFT JOIN v USING (w)),
+b AS MATERIALIZED (SELECT r, i, w, c, lag(w) OVER o AS p, lag(c) OVER o AS pc FROM k WINDOW o AS (PARTITION BY r ORDER BY i)),
+g AS MATERIALIZED (SELECT p, w, count(*)::DOUBLE AS c2 FROM b WHERE p IS NOT NULL GROUP BY p, w),
+s AS (SELECT b.r, count(*) AS n_words, sum(CASE WHEN b.p IS NULL THEN ln(b.c / (SELECT n FROM n)) WHEN g.c2 >= 2 THEN ln(g.c2 / b.pc) ELSE ln(0.4 * b.c / (SELECT n FROM n)) END) AS score
+      FROM b LEFT JOIN g ON b.p = g.p AND b.w = g.w GROUP BY b.r)
+SELECT t.doc_id, coalesce(s.n_words, 0)::BIGINT AS n_words, round(coalesce(s.score, 0), 4) AS log_score, round(s.score / s.n_words, 6) AS mean_log FROM t LEFT JOIN s USING (r)
+"""
+
+ORACLES: dict[str, str] = {
+    "op2_lm_scores": SQL_OP2, "op3_license_scans": licenses.scan_sql(), "op6_decontamination": SQL_OP6, "op7_chat_formatting": SQL_OP7, "op10_substring_dedup": SQL_OP10}
