@@ -1,4 +1,8 @@
-"""Registered queries and their SQL."""
+"""All registered queries and their SQL."""
 
-QUERIES: dict = {}
-ORACLES: dict = {}
+from __future__ import annotations
+
+from .plans import methods
+
+QUERIES = dict(methods.QUERIES)
+ORACLES = dict(methods.ORACLES)

@@ -38,7 +38,7 @@ def theory_sizes(n: int, k: int, alpha: float = 0.0, eps: float = 0.1, capped: b
 
 def budget_sizes(n: int, fraction: float, split: tuple[float, float, float, float] = SPLIT, alpha: float = 0.0) -> Sizes:
     """Sizes that store about ``fraction * n`` nodes in all, each sample at least one node."""
-    sized = [min(n, max(1, round(n * fraction * s))) for s in split]
+    sized = [min(n, max(1, math.floor(n * fraction * s + 0.5))) for s in split]
     return Sizes(*sized, cutoff_of(n, sized[1], alpha))
 
 
@@ -50,3 +50,8 @@ def words_stored(sizes: Sizes, k: int, neighbourhoods: int = 0) -> int:
 def passes(k: int, fused_outer: bool = False) -> int:
     """Scans of the whole estimate: one for the anchors, then both parts side by side."""
     return k + 4 - int(fused_outer)
+
+
+def pairs_for(n: int, fraction: float, stored: int = 0) -> int:
+    """Sampled pairs that store ``fraction * n`` nodes in all, less those already stored; two nodes a pair."""
+    return max(1, math.floor((n * fraction - stored) / 2 + 0.5))
