@@ -2,16 +2,17 @@
 
 from __future__ import annotations
 
+import re
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..lineage import checkpointed
 from ..operators import anchored, baselines, bounds, estimator, gadgets, graph, lookup, metrics, mismatch, optimum, pivot, ranking, residual, sampling, tuning
-from ..operators.similarity import EdgeTable, L1Ball, SameKey, SparseL1
+from ..operators.similarity import L1Ball, SameKey, SparseL1
 from ..operators.walker import walk_pivots
-from ..params import Sizes, beta_of, budget_sizes, cutoff_of, pairs_for, theory_sizes
+from ..params import Sizes, budget_sizes, cutoff_of, pairs_for
 from ..sources.graphs import load_graph, nodes_and_pairs, table
 from . import oracle as o
 
@@ -168,9 +169,10 @@ def _anchored(spark: SparkSession, sf: str, g: str = "emb", rows: list | None =
 BASE5 = (EMB, T_FIVE, o.fold(), o.BUDGETED, o.ANCHORED)
 
 
-@query("anchored_labels_emb", o.query(*BASE5, "SELECT id, pivot, calls::INTEGER AS calls, part FROM al"))
+@query("anchored_labels_emb", o.query(*BASE5, "SELECT id, coalesce(pivot, -1) AS pivot, calls::INTEGER AS calls, part FROM al"))
 def anchored_labels_emb(spark: SparkSession, sf: str) -> DataFrame:
-    return _anchored(spark, sf)[4].select("id", "pivot", "calls", "part")
+    """An undetermined pivot shows as -1."""
+    return _anchored(spark, sf)[4].select("id", F.coalesce("pivot", F.lit(-1)).alias("pivot"), "calls", "part")
 
 
 @query("part_sizes_emb", o.query(*BASE5, "d AS (SELECT x AS id, count(*) AS degree FROM (SELECT u AS x FROM pairs UNION ALL SELECT v FROM pairs) GROUP BY x)", "SELECT part, count(*) AS nodes, max(coalesce(degree, 0))::BIGINT AS max_degree FROM al LEFT JOIN d USING (id) GROUP BY part"))
@@ -356,10 +358,7 @@ PRIOR = (
 
 def _renamed(sql: str, suffix: str) -> str:
     """A second set of drawn pairs beside the first."""
-    for name in ("num", "kept", "tri", "dp"):
-        for left, right in ((f"{name} AS MAT", f"{name}{suffix} AS MAT"), (f"FROM {name} ", f"FROM {name}{suffix} "), (f"FROM {name})", f"FROM {name}{suffix})"), (f"JOIN {name} ", f"JOIN {name}{suffix} ")):
-            sql = sql.replace(left, right)
-    return sql.replace("kept k", f"kept{suffix} k") if f"kept{suffix} k" not in sql else sql
+    return re.sub(r"\b(num|kept|tri|dp)\b", rf"\g<1>{suffix}", sql)
 
 
 for g in ("emb", "page", "part"):
@@ -524,11 +523,8 @@ BITS = "bits AS MATERIALIZED (SELECT row_number() OVER (ORDER BY doc_id) AS i, q
 
 
 def _bits(spark: SparkSession, sf: str) -> DataFrame:
-    """Numbered label bits, the number being a count of smaller ids (ids are distinct)."""
+    """Label bits numbered by id: the gadget is a small instance, so one sorted task numbers it."""
     rows = table(spark, sf, "labels").select(F.col("doc_id").alias("id"), "quality", "toxic")
-    by_id = rows.select("id").rdd if False else None  # noqa: F841
-    from pyspark.sql import Window
-
     return rows.select(F.row_number().over(Window.orderBy("id")).alias("i"), F.col("quality").alias("bit"), F.col("toxic").alias("bit2"))
 
 
@@ -709,5 +705,3 @@ def space_ledger_emb(spark: SparkSession, sf: str) -> DataFrame:
 def pass_ledger_emb(spark: SparkSession, sf: str) -> DataFrame:
     return metrics.pass_ledger(spark, 15)
 
-
-_ = (EdgeTable, beta_of, theory_sizes)
