@@ -9,8 +9,9 @@ times or more, and ``ln(backoff * C(word) / tokens)`` otherwise; a first word ha
 With so bounded a vocabulary a bigram is one integer.  Documents explode to their distinct
 bigrams with counts; these travel to the hash partition of their bigram in packed rows, one for
 each (block of documents, bucket).  A partition holds all occurrences of its bigrams: it
-makes its part of the count table, joins it to the exploded rows, and sends one sum for each
-document.  A bigram that every document holds is one entry of a document, so no row or
+makes its part of the count table, joins it to the exploded rows, and sends back, packed for
+the block's home, each document's gain over the score that it has without any counted bigram.
+A bigram that every document holds is one entry of a document, so no row or
 partition grows with a word's frequency.
 """
 
@@ -83,57 +84,85 @@ def _token_count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.RecordBatch.from_arrays([pa.array([sum(len(w.start) for _, _, w in _blocks(batch, 0))], pa.int64())], names=["n"])
 
 
-_PACKED = "bucket int, docs binary, codes binary, times binary, base binary"
+_PACKED = "bucket int, home int, docs binary, codes binary, times binary, base binary"
+_SUMS = "home int, docs binary, sums binary, words binary"
 
 
-def _exploded(batches: Iterator[pa.RecordBatch], words_of: Vocabulary, buckets: int) -> Iterator[pa.RecordBatch]:
+def _exploded(batches: Iterator[pa.RecordBatch], words_of: Vocabulary, buckets: int, backoff: float) -> Iterator[pa.RecordBatch]:
+    """Packed rows of a block: one with each document's words and its score if no bigram counted, and one for each bucket of bigrams."""
     for batch in batches:
         keys = batch.column(0).to_numpy()
         for low, high, words in _blocks(batch, 1):
             ids = words_of.ids(words.hashes(7))
-            first = np.zeros(words.rows)
-            some = words.count > 0
-            first[some] = np.log(words_of.counts[ids[words.first[some]]] / words_of.tokens)
             mine = keys[low:high]
-            rows: list[tuple] = [(int(mix(mine[:1].view(U))[0] % U(buckets)), mine.astype("<i8").tobytes(), b"", words.count.astype("<i8").tobytes(), first.astype("<f8").tobytes())]
+            home = int(mix(mine[:1].view(U))[0] % U(buckets))
+            begins = np.zeros(len(ids), bool)
+            begins[words.first[words.count > 0]] = True
+            alone = np.log(words_of.counts[ids] / words_of.tokens) + np.where(begins, 0.0, np.log(backoff))
+            base = np.bincount(words.row, alone, minlength=words.rows)
+            rows: list[tuple] = [(home, home, mine.astype("<i8").tobytes(), b"", words.count.astype("<i8").tobytes(), base.astype("<f8").tobytes())]
             if len(ids) > 1:
                 inside = np.flatnonzero(words.row[1:] == words.row[:-1])
                 code = (ids[inside] << 21) | ids[inside + 1]
                 bucket = (mix(code.astype(U)) % U(buckets)).astype(np.int64)
                 order = np.lexsort((code, words.row[inside], bucket))
                 code, row, bucket = code[order], words.row[inside][order], bucket[order]
-                new = np.flatnonzero(np.append(True, (code[1:] != code[:-1]) | (row[1:] != row[:-1]) | (bucket[1:] != bucket[:-1]))) if len(code) else np.empty(0, np.int64)
-                times = np.diff(np.append(new, len(code)))
-                code, row, bucket = code[new], row[new], bucket[new]
-                edge = np.flatnonzero(np.append(True, bucket[1:] != bucket[:-1])) if len(bucket) else np.empty(0, np.int64)
-                for s, e in zip(edge, np.append(edge[1:], len(bucket)), strict=True):
-                    rows.append((int(bucket[s]), mine[row[s:e]].astype("<i8").tobytes(), code[s:e].astype("<i8").tobytes(), times[s:e].astype("<i4").tobytes(), b""))
+                if len(code):
+                    new = np.flatnonzero(np.append(True, (code[1:] != code[:-1]) | (row[1:] != row[:-1]) | (bucket[1:] != bucket[:-1])))
+                    times = np.diff(np.append(new, len(code)))
+                    code, row, bucket = code[new], row[new], bucket[new]
+                    edge = np.flatnonzero(np.append(True, bucket[1:] != bucket[:-1]))
+                    for s, e in zip(edge, np.append(edge[1:], len(bucket)), strict=True):
+                        rows.append((int(bucket[s]), home, mine[row[s:e]].astype("<i8").tobytes(), code[s:e].astype("<i8").tobytes(), times[s:e].astype("<i4").tobytes(), b""))
             for a in range(0, len(rows), 64):
                 part = list(zip(*rows[a : a + 64], strict=True))
-                yield pa.RecordBatch.from_arrays([pa.array(part[0], pa.int32()), *(pa.array(x, pa.binary()) for x in part[1:])], names=["bucket", "docs", "codes", "times", "base"])
+                yield pa.RecordBatch.from_arrays([pa.array(part[0], pa.int32()), pa.array(part[1], pa.int32()), *(pa.array(x, pa.binary()) for x in part[2:])], names=["bucket", "home", "docs", "codes", "times", "base"])
 
 
 def _joined(batches: Iterator[pa.RecordBatch], words_of: Vocabulary, backoff: float, least: int) -> Iterator[pa.RecordBatch]:
-    docs, codes, times = [], [], []
+    """A partition's count table, joined to its exploded rows; each row goes home as its documents' gains from counted bigrams."""
+    homes, docs, codes, times = [], [], [], []
+
+    def sent(home: int, doc: np.ndarray, gain: np.ndarray, n: np.ndarray) -> pa.RecordBatch:
+        return pa.RecordBatch.from_arrays([pa.array([home], pa.int32()), pa.array([doc.astype("<i8").tobytes()], pa.binary()), pa.array([gain.astype("<f8").tobytes()], pa.binary()), pa.array([n.astype("<i8").tobytes()], pa.binary())], names=["home", "docs", "sums", "words"])
+
     for batch in batches:
-        for d, c, t, b in zip(*(batch.column(i).to_pylist() for i in (1, 2, 3, 4)), strict=True):
+        for h, d, c, t, b in zip(*(batch.column(i).to_pylist() for i in (1, 2, 3, 4, 5)), strict=True):
             if b:
-                yield pa.RecordBatch.from_arrays([pa.array(np.frombuffer(d, "<i8")), pa.array(np.frombuffer(b, "<f8")), pa.array(np.frombuffer(t, "<i8"))], names=["key", "score", "n_words"])
+                yield sent(h, np.frombuffer(d, "<i8"), np.frombuffer(b, "<f8"), np.frombuffer(t, "<i8"))
             elif c:
+                homes.append(h)
                 docs.append(np.frombuffer(d, "<i8"))
                 codes.append(np.frombuffer(c, "<i8"))
                 times.append(np.frombuffer(t, "<i4"))
     if not docs:
         return
-    doc, code, tf = np.concatenate(docs), np.concatenate(codes), np.concatenate(times).astype(np.float64)
-    kinds, at = np.unique(code, return_inverse=True)
-    count = np.bincount(at, tf)
+    kinds, at = np.unique(np.concatenate(codes), return_inverse=True)
+    count = np.bincount(at, np.concatenate(times).astype(np.float64))
     before, word = words_of.counts[kinds >> 21], words_of.counts[kinds & ((1 << 21) - 1)]
-    score = np.where(count >= least, np.log(count / before), np.log(backoff * word / words_of.tokens))
-    keys, place = np.unique(doc, return_inverse=True)
-    sums = np.bincount(place, score[at] * tf)
+    gain = np.where(count >= least, np.log(count / before) - np.log(backoff) - np.log(word / words_of.tokens), 0.0)
+    place = 0
+    for home, doc, tf in zip(homes, docs, times, strict=True):
+        some = gain[at[place : place + len(doc)]]
+        place += len(doc)
+        counted = np.flatnonzero(some)
+        if len(counted):
+            first = np.flatnonzero(np.append(True, doc[counted][1:] != doc[counted][:-1]))
+            yield sent(home, doc[counted][first], np.add.reduceat(some[counted] * tf[counted], first), np.zeros(0, np.int64))
+
+
+def _summed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """All of a home's documents, with the sums of what came back."""
+    docs, sums, words = [np.empty(0, "<i8")], [np.empty(0, "<f8")], [np.empty(0, "<i8")]
+    for batch in batches:
+        for d, s, w in zip(*(batch.column(i).to_pylist() for i in (1, 2, 3)), strict=True):
+            docs.append(np.frombuffer(d, "<i8"))
+            sums.append(np.frombuffer(s, "<f8"))
+            words.append(np.frombuffer(w, "<i8") if w else np.zeros(len(docs[-1]), np.int64))
+    keys, at = np.unique(np.concatenate(docs), return_inverse=True)
+    score, n = np.bincount(at, np.concatenate(sums), minlength=len(keys)), np.bincount(at, np.concatenate(words), minlength=len(keys))
     for a in range(0, len(keys), 100_000):
-        yield pa.RecordBatch.from_arrays([pa.array(keys[a : a + 100_000]), pa.array(sums[a : a + 100_000]), pa.array(np.zeros(len(keys[a : a + 100_000]), np.int64))], names=["key", "score", "n_words"])
+        yield pa.RecordBatch.from_arrays([pa.array(keys[a : a + 100_000], pa.int64()), pa.array(score[a : a + 100_000], pa.float64()), pa.array(n[a : a + 100_000].astype(np.int64))], names=["key", "score", "n_words"])
 
 
 def score_documents(documents: DataFrame, backoff: float = BACKOFF, least: int = LEAST, bits: int = VOCABULARY_BITS) -> DataFrame:
@@ -149,8 +178,8 @@ def score_documents(documents: DataFrame, backoff: float = BACKOFF, least: int =
     words_of = vocabulary(docs.select("text"), bits)
     shared = docs.sparkSession.sparkContext.broadcast(words_of)
     n_partitions = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    packed = keyed.select("key", "text").mapInArrow(lambda it: _exploded(it, shared.value, 4 * n_partitions), _PACKED)
-    sums = packed.repartition(n_partitions, "bucket").mapInArrow(lambda it: _joined(it, shared.value, backoff, least), "key bigint, score double, n_words bigint")
+    packed = keyed.select("key", "text").mapInArrow(lambda it: _exploded(it, shared.value, 4 * n_partitions, backoff), _PACKED)
+    sums = packed.repartition(n_partitions, "bucket").mapInArrow(lambda it: _joined(it, shared.value, backoff, least), _SUMS).repartition(n_partitions, "home").mapInArrow(_summed, "key bigint, score double, n_words bigint")
     out = sums.groupBy("key").agg(F.sum("score").alias("log_score"), F.sum("n_words").alias("n_words"))
     if unique:
         rows = out.withColumnRenamed("key", "doc_id")
