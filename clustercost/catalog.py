@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from .plans import methods
+from .plans import methods, surface
 
-QUERIES = dict(methods.QUERIES)
-ORACLES = dict(methods.ORACLES)
+QUERIES = {**methods.QUERIES, **surface.QUERIES}
+ORACLES = {**methods.ORACLES, **surface.ORACLES}
