@@ -4,7 +4,8 @@ The vocabulary is every word with at least ``max(2, tokens / 2**20)`` occurrence
 at most 2**20 words at any corpus size; all others are one unknown word.  The score of a word
 after its predecessor is ``ln(C(prev, word) / C(prev))`` where the bigram occurs ``least``
 times or more, and ``ln(backoff * C(word) / tokens)`` otherwise; a first word has
-``ln(C(word) / tokens)``.
+``ln(C(word) / tokens)``.  Log probabilities are held in fixed point (1/4096), so sums are exact
+integers in whatever order they are added.
 
 With so bounded a vocabulary a bigram is one integer.  Documents explode to their distinct
 bigrams with counts; these travel to the hash partition of their bigram in packed rows, one for
@@ -21,6 +22,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -29,6 +31,11 @@ from .tokens import ALNUM_WORDS, LOWER, U, Words, blocks, mix, text_bytes
 VOCABULARY_BITS = 20
 BACKOFF = 0.4
 LEAST = 2
+UNIT = 4096
+
+
+def fixed(log_p: np.ndarray) -> np.ndarray:
+    return np.rint(log_p * UNIT).astype(np.int64)
 
 
 def _blocks(batch: pa.RecordBatch, column: int) -> Iterator[tuple[int, int, Words]]:
@@ -55,18 +62,21 @@ def _word_counts(batches: Iterator[pa.RecordBatch], most: int = 1 << 20) -> Iter
 
 
 class Vocabulary:
-    """Hashes and counts of the frequent words; place 0 is the unknown word."""
+    """Counts of the frequent words by number, the commonest first; number 0 is the unknown word."""
 
     def __init__(self, hashes: np.ndarray, counts: np.ndarray, tokens: int):
+        common = np.lexsort((hashes, -counts))
+        number = np.empty(len(common), np.int64)
+        number[common] = np.arange(1, len(common) + 1)
         order = np.argsort(hashes)
-        self.hashes, self.tokens = hashes[order], max(1, tokens)
-        self.counts = np.append(max(1, tokens - int(counts.sum())), counts[order]).astype(np.float64)
+        self.hashes, self.numbers, self.tokens = hashes[order], number[order], max(1, tokens)
+        self.counts = np.append(max(1, tokens - int(counts.sum())), counts[common]).astype(np.float64)
 
     def ids(self, h: np.ndarray) -> np.ndarray:
         if not len(self.hashes):
             return np.zeros(len(h), np.int64)
         at = np.minimum(np.searchsorted(self.hashes, h), len(self.hashes) - 1)
-        return np.where(self.hashes[at] == h, at + 1, 0)
+        return np.where(self.hashes[at] == h, self.numbers[at], 0)
 
 
 def vocabulary(texts: DataFrame, bits: int = VOCABULARY_BITS) -> Vocabulary:
@@ -84,85 +94,119 @@ def _token_count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.RecordBatch.from_arrays([pa.array([sum(len(w.start) for _, _, w in _blocks(batch, 0))], pa.int64())], names=["n"])
 
 
-_PACKED = "bucket int, home int, docs binary, codes binary, times binary, base binary"
-_SUMS = "home int, docs binary, sums binary, words binary"
+_PACKED = "bucket int, home int, block bigint, n int, data binary"
+_SUMS = "home int, block bigint, n int, data binary"
+
+
+def _planes(*columns: tuple[np.ndarray, int]) -> bytes:
+    """Columns as byte planes of so many bytes a value: high bytes are mostly zero, and runs of zeros compress."""
+    out = []
+    for values, width in columns:
+        raw = values.astype("<i8").view(np.uint8).reshape(-1, 8)
+        out += [raw[:, i].tobytes() for i in range(width)]
+    return b"".join(out)
+
+
+def _columns(data: bytes, n: int, *widths: int) -> list[np.ndarray]:
+    """The columns again, sign and all."""
+    out, at = [], 0
+    raw = np.frombuffer(data, np.uint8)
+    for width in widths:
+        value = np.zeros(n, np.int64)
+        for i in range(width):
+            value |= raw[at : at + n].astype(np.int64) << (8 * i)
+            at += n
+        out.append((value << (64 - 8 * width)) >> (64 - 8 * width))
+    return out
 
 
 def _exploded(batches: Iterator[pa.RecordBatch], words_of: Vocabulary, buckets: int, backoff: float) -> Iterator[pa.RecordBatch]:
-    """Packed rows of a block: one with each document's words and its score if no bigram counted, and one for each bucket of bigrams."""
+    """Packed rows of a block: one with each document's key, words and score if no bigram counted (bucket -1), and one for each bucket of bigrams.
+
+    A block is known by its task's partition and a count, its documents by their place in it.
+    """
+    context = TaskContext.get()
+    block = (context.partitionId() if context else 0) << 32
     for batch in batches:
         keys = batch.column(0).to_numpy()
         for low, high, words in _blocks(batch, 1):
             ids = words_of.ids(words.hashes(7))
             mine = keys[low:high]
-            home = int(mix(mine[:1].view(U))[0] % U(buckets))
+            block += 1
+            home = int(mix(np.array([block], U))[0] % U(buckets))
             begins = np.zeros(len(ids), bool)
             begins[words.first[words.count > 0]] = True
-            alone = np.log(words_of.counts[ids] / words_of.tokens) + np.where(begins, 0.0, np.log(backoff))
-            base = np.bincount(words.row, alone, minlength=words.rows)
-            rows: list[tuple] = [(home, home, mine.astype("<i8").tobytes(), b"", words.count.astype("<i8").tobytes(), base.astype("<f8").tobytes())]
-            if len(ids) > 1:
-                inside = np.flatnonzero(words.row[1:] == words.row[:-1])
+            alone = fixed(np.log(np.where(begins, 1.0, backoff) * words_of.counts[ids] / words_of.tokens))
+            base = np.bincount(words.row, alone, minlength=words.rows).astype(np.int64)
+            rows: list[tuple] = [(home, -1 - home, block, words.rows, _planes((mine, 8), (words.count, 8), (base, 8)))]
+            inside = np.flatnonzero(words.row[1:] == words.row[:-1])
+            if len(inside):
                 code = (ids[inside] << 21) | ids[inside + 1]
                 bucket = (mix(code.astype(U)) % U(buckets)).astype(np.int64)
                 order = np.lexsort((code, words.row[inside], bucket))
                 code, row, bucket = code[order], words.row[inside][order], bucket[order]
-                if len(code):
-                    new = np.flatnonzero(np.append(True, (code[1:] != code[:-1]) | (row[1:] != row[:-1]) | (bucket[1:] != bucket[:-1])))
-                    times = np.diff(np.append(new, len(code)))
-                    code, row, bucket = code[new], row[new], bucket[new]
-                    edge = np.flatnonzero(np.append(True, bucket[1:] != bucket[:-1]))
-                    for s, e in zip(edge, np.append(edge[1:], len(bucket)), strict=True):
-                        rows.append((int(bucket[s]), home, mine[row[s:e]].astype("<i8").tobytes(), code[s:e].astype("<i8").tobytes(), times[s:e].astype("<i4").tobytes(), b""))
+                new = np.flatnonzero(np.append(True, (code[1:] != code[:-1]) | (row[1:] != row[:-1]) | (bucket[1:] != bucket[:-1])))
+                times = np.diff(np.append(new, len(code)))
+                code, row, bucket = code[new], row[new], bucket[new]
+                edge = np.flatnonzero(np.append(True, bucket[1:] != bucket[:-1]))
+                for s, e in zip(edge, np.append(edge[1:], len(bucket)), strict=True):
+                    rows.append((int(bucket[s]), home, block, int(e - s), _planes((row[s:e], 3), (code[s:e] >> 21, 3), (code[s:e] & ((1 << 21) - 1), 3), (times[s:e], 4))))
             for a in range(0, len(rows), 64):
                 part = list(zip(*rows[a : a + 64], strict=True))
-                yield pa.RecordBatch.from_arrays([pa.array(part[0], pa.int32()), pa.array(part[1], pa.int32()), *(pa.array(x, pa.binary()) for x in part[2:])], names=["bucket", "home", "docs", "codes", "times", "base"])
+                yield pa.RecordBatch.from_arrays([pa.array(part[0], pa.int32()), pa.array(part[1], pa.int32()), pa.array(part[2], pa.int64()), pa.array(part[3], pa.int32()), pa.array(part[4], pa.binary())], names=["bucket", "home", "block", "n", "data"])
 
 
 def _joined(batches: Iterator[pa.RecordBatch], words_of: Vocabulary, backoff: float, least: int) -> Iterator[pa.RecordBatch]:
     """A partition's count table, joined to its exploded rows; each row goes home as its documents' gains from counted bigrams."""
-    homes, docs, codes, times = [], [], [], []
+    held: list[tuple[int, int, np.ndarray]] = []
+    codes, times = [], []
 
-    def sent(home: int, doc: np.ndarray, gain: np.ndarray, n: np.ndarray) -> pa.RecordBatch:
-        return pa.RecordBatch.from_arrays([pa.array([home], pa.int32()), pa.array([doc.astype("<i8").tobytes()], pa.binary()), pa.array([gain.astype("<f8").tobytes()], pa.binary()), pa.array([n.astype("<i8").tobytes()], pa.binary())], names=["home", "docs", "sums", "words"])
+    def sent(home: int, block: int, n: int, data: bytes) -> pa.RecordBatch:
+        return pa.RecordBatch.from_arrays([pa.array([home], pa.int32()), pa.array([block], pa.int64()), pa.array([n], pa.int32()), pa.array([data], pa.binary())], names=["home", "block", "n", "data"])
 
     for batch in batches:
-        for h, d, c, t, b in zip(*(batch.column(i).to_pylist() for i in (1, 2, 3, 4, 5)), strict=True):
-            if b:
-                yield sent(h, np.frombuffer(d, "<i8"), np.frombuffer(b, "<f8"), np.frombuffer(t, "<i8"))
-            elif c:
-                homes.append(h)
-                docs.append(np.frombuffer(d, "<i8"))
-                codes.append(np.frombuffer(c, "<i8"))
-                times.append(np.frombuffer(t, "<i4"))
-    if not docs:
+        for home, block, n, data in zip(*(batch.column(i).to_pylist() for i in (1, 2, 3, 4)), strict=True):
+            if home < 0:
+                yield sent(-1 - home, block, -n, data)
+                continue
+            row, before, word, tf = _columns(data, n, 3, 3, 3, 4)
+            held.append((home, block, row))
+            codes.append((before << 21) | word)
+            times.append(tf)
+    if not held:
         return
     kinds, at = np.unique(np.concatenate(codes), return_inverse=True)
-    count = np.bincount(at, np.concatenate(times).astype(np.float64))
+    tf = np.concatenate(times)
+    count = np.bincount(at, tf)
     before, word = words_of.counts[kinds >> 21], words_of.counts[kinds & ((1 << 21) - 1)]
-    gain = np.where(count >= least, np.log(count / before) - np.log(backoff) - np.log(word / words_of.tokens), 0.0)
+    gain = np.where(count >= least, fixed(np.log(count / before)) - fixed(np.log(backoff * word / words_of.tokens)), 0)
     place = 0
-    for home, doc, tf in zip(homes, docs, times, strict=True):
-        some = gain[at[place : place + len(doc)]]
-        place += len(doc)
-        counted = np.flatnonzero(some)
-        if len(counted):
-            first = np.flatnonzero(np.append(True, doc[counted][1:] != doc[counted][:-1]))
-            yield sent(home, doc[counted][first], np.add.reduceat(some[counted] * tf[counted], first), np.zeros(0, np.int64))
+    for home, block, row in held:
+        some = gain[at[place : place + len(row)]] * tf[place : place + len(row)]
+        place += len(row)
+        first = np.flatnonzero(np.append(True, row[1:] != row[:-1]))
+        sums = np.add.reduceat(some, first)
+        full = np.flatnonzero(sums)
+        wide = 4 if not len(full) or np.abs(sums).max() < 1 << 31 else 8
+        if len(full):
+            yield sent(home, block, len(full), bytes([wide]) + _planes((row[first[full]], 3), (sums[full], wide)))
 
 
 def _summed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """All of a home's documents, with the sums of what came back."""
-    docs, sums, words = [np.empty(0, "<i8")], [np.empty(0, "<f8")], [np.empty(0, "<i8")]
+    """All documents of a home's blocks, with the sums of what came back."""
+    bases: dict[int, tuple[np.ndarray, np.ndarray, np.ndarray]] = {}
+    gains: dict[int, list[tuple[np.ndarray, np.ndarray]]] = {}
     for batch in batches:
-        for d, s, w in zip(*(batch.column(i).to_pylist() for i in (1, 2, 3)), strict=True):
-            docs.append(np.frombuffer(d, "<i8"))
-            sums.append(np.frombuffer(s, "<f8"))
-            words.append(np.frombuffer(w, "<i8") if w else np.zeros(len(docs[-1]), np.int64))
-    keys, at = np.unique(np.concatenate(docs), return_inverse=True)
-    score, n = np.bincount(at, np.concatenate(sums), minlength=len(keys)), np.bincount(at, np.concatenate(words), minlength=len(keys))
-    for a in range(0, len(keys), 100_000):
-        yield pa.RecordBatch.from_arrays([pa.array(keys[a : a + 100_000], pa.int64()), pa.array(score[a : a + 100_000], pa.float64()), pa.array(n[a : a + 100_000].astype(np.int64))], names=["key", "score", "n_words"])
+        for block, n, data in zip(*(batch.column(i).to_pylist() for i in (1, 2, 3)), strict=True):
+            if n < 0:
+                bases[block] = tuple(_columns(data, -n, 8, 8, 8))
+            else:
+                gains.setdefault(block, []).append(tuple(_columns(data[1:], n, 3, data[0])))
+    for block, (keys, words, base) in bases.items():
+        total = base.copy()
+        for row, sums in gains.get(block, ()):
+            np.add.at(total, row, sums)
+        yield pa.RecordBatch.from_arrays([pa.array(keys), pa.array(total), pa.array(words)], names=["key", "score", "n_words"])
 
 
 def score_documents(documents: DataFrame, backoff: float = BACKOFF, least: int = LEAST, bits: int = VOCABULARY_BITS) -> DataFrame:
@@ -179,8 +223,8 @@ def score_documents(documents: DataFrame, backoff: float = BACKOFF, least: int =
     shared = docs.sparkSession.sparkContext.broadcast(words_of)
     n_partitions = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     packed = keyed.select("key", "text").mapInArrow(lambda it: _exploded(it, shared.value, 4 * n_partitions, backoff), _PACKED)
-    sums = packed.repartition(n_partitions, "bucket").mapInArrow(lambda it: _joined(it, shared.value, backoff, least), _SUMS).repartition(n_partitions, "home").mapInArrow(_summed, "key bigint, score double, n_words bigint")
-    out = sums.groupBy("key").agg(F.sum("score").alias("log_score"), F.sum("n_words").alias("n_words"))
+    sums = packed.repartition(n_partitions, "bucket").mapInArrow(lambda it: _joined(it, shared.value, backoff, least), _SUMS).repartition(n_partitions, "home").mapInArrow(_summed, "key bigint, score bigint, n_words bigint")
+    out = sums.groupBy("key").agg((F.sum("score") / UNIT).alias("log_score"), F.sum("n_words").alias("n_words"))
     if unique:
         rows = out.withColumnRenamed("key", "doc_id")
     else:

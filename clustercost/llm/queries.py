@@ -115,7 +115,7 @@ v AS MATERIALIZED (SELECT w, count(*)::DOUBLE AS c FROM w GROUP BY w HAVING coun
 k AS MATERIALIZED (SELECT w.r, w.i, coalesce(v.w, '') AS w, coalesce(v.c, (SELECT n FROM n) - (SELECT sum(c) FROM v)) AS c FROM w LEFT JOIN v USING (w)),
 b AS MATERIALIZED (SELECT r, i, w, c, lag(w) OVER o AS p, lag(c) OVER o AS pc FROM k WINDOW o AS (PARTITION BY r ORDER BY i)),
 g AS MATERIALIZED (SELECT p, w, count(*)::DOUBLE AS c2 FROM b WHERE p IS NOT NULL GROUP BY p, w),
-s AS (SELECT b.r, count(*) AS n_words, sum(CASE WHEN b.p IS NULL THEN ln(b.c / (SELECT n FROM n)) WHEN g.c2 >= 2 THEN ln(g.c2 / b.pc) ELSE ln(0.4 * b.c / (SELECT n FROM n)) END) AS score
+s AS (SELECT b.r, count(*) AS n_words, sum(round(4096 * CASE WHEN b.p IS NULL THEN ln(b.c / (SELECT n FROM n)) WHEN g.c2 >= 2 THEN ln(g.c2 / b.pc) ELSE ln(0.4 * b.c / (SELECT n FROM n)) END)) / 4096 AS score
       FROM b LEFT JOIN g ON b.p = g.p AND b.w = g.w GROUP BY b.r)
 SELECT t.doc_id, coalesce(s.n_words, 0)::BIGINT AS n_words, round(coalesce(s.score, 0), 4) AS log_score, round(s.score / s.n_words, 6) AS mean_log FROM t LEFT JOIN s USING (r)
 """
