@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from .plans import methods, surface
+from .plans import methods, streams, surface
 
-QUERIES = {**methods.QUERIES, **surface.QUERIES}
-ORACLES = {**methods.ORACLES, **surface.ORACLES}
+QUERIES = {**methods.QUERIES, **surface.QUERIES, **streams.QUERIES}
+ORACLES = {**methods.ORACLES, **surface.ORACLES, **streams.ORACLES}
