@@ -8,9 +8,10 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import ArrayType, DoubleType, LongType
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(DoubleType())
 def cosine_sim(a: pd.Series, b: pd.Series) -> pd.Series:
     """Cosine of two arrays, batch by batch; null where either is zero or missing."""
 
@@ -24,7 +25,7 @@ def cosine_sim(a: pd.Series, b: pd.Series) -> pd.Series:
     return pd.Series([one(x, y) for x, y in zip(a, b, strict=True)], dtype="float64")
 
 
-@F.pandas_udf("array<bigint>")
+@F.pandas_udf(ArrayType(LongType()))
 def bottom_k_agg(ids: pd.Series, keys: pd.Series, k: pd.Series) -> list:
     """The ids of the k smallest (key, id) of a group, in order."""
     rows = sorted(zip(keys, ids, strict=True))[: int(k.iloc[0]) if len(k) else 0]

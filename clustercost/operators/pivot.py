@@ -66,7 +66,8 @@ def _local(ranked: DataFrame, earlier: DataFrame, k: int | None) -> DataFrame:
         ids = nodes["id"].to_numpy()
         return pd.DataFrame({"trial": np.full(n, key[0], np.int32), "id": ids, "pivot": np.where(late, ids, ids[pivot]), "calls": calls.astype(np.int32), "timed_out": late})
 
-    return ranked.groupBy("trial").cogroup(earlier.groupBy("trial")).applyInPandas(run, LABELS)
+    near = earlier.select(*[F.col(c).alias(c) for c in ("trial", "id", "near")])  # columns of its own, should both share a source
+    return ranked.select("trial", "id", "key").groupBy("trial").cogroup(near.groupBy("trial")).applyInPandas(run, LABELS)
 
 
 def _rounds_exact(ranked: DataFrame, earlier: DataFrame, most_rounds: int = 200) -> DataFrame:

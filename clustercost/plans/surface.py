@@ -272,16 +272,16 @@ def _(spark, sf):
 
 _DEG = "d AS (SELECT n.id, count(p.u) AS degree FROM nodes n LEFT JOIN (SELECT u, u AS id FROM pairs UNION ALL SELECT u, v FROM pairs) p USING (id) GROUP BY n.id)"
 for _name, _f, _s in (
-    ("win_rank", F.rank(), "rank()"),
-    ("win_dense_rank", F.dense_rank(), "dense_rank()"),
-    ("win_percent_rank", F.round(F.percent_rank().over(Window.partitionBy("part").orderBy("degree")), 9), "percent_rank()"),
-    ("win_ntile", F.ntile(4), "ntile(4)"),
+    ("win_rank", F.rank, "rank()"),
+    ("win_dense_rank", F.dense_rank, "dense_rank()"),
+    ("win_percent_rank", F.percent_rank, "percent_rank()"),
+    ("win_ntile", lambda: F.ntile(4), "ntile(4)"),
 ):
 
     def _ranking(spark, sf, f=_f, name=_name):
         d = graph.degrees(*nodes_and_pairs(spark, sf, "page")).withColumn("part", F.col("id") % 3)
         w = Window.partitionBy("part").orderBy("degree") if name != "win_ntile" else Window.partitionBy("part").orderBy("degree", "id")
-        value = f if name == "win_percent_rank" else f.over(w).cast("bigint")
+        value = F.round(f().over(w), 9) if name == "win_percent_rank" else f().over(w).cast("bigint")
         return d.select("id", "degree", value.alias("place"))
 
     _over = f"{_s} OVER (PARTITION BY id % 3 ORDER BY degree{', id' if _name == 'win_ntile' else ''})"
