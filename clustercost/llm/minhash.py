@@ -17,8 +17,11 @@ of bounded size; members of the others are sorted by band over range partitions,
 band spreads over tasks.  Within a sorted run each member is paired with the
 members before it (``back`` of them) and with the run's consensus member, whose samples agree
 best with the run's commonest ones.  Pairs are thus linear in members, however large a
-group.  Each pair is verified by exact weighted Jaccard, and classes are the components of the
-verified links.
+group.  Each pair is verified by exact weighted Jaccard, and verified links join to components.
+
+Further rounds look for links between components of one band: all pairs of a run of up to
+``whole_run`` members, and in longer runs each member's ``partners`` best-agreeing members within a
+block of similar ones; they end when a round links nothing new, or after ``rounds``.
 """
 
 from __future__ import annotations
@@ -197,6 +200,38 @@ def _pairs(batches: Iterator[pa.RecordBatch], back: int, least: float) -> Iterat
     yield pa.RecordBatch.from_arrays([pa.array(band[first[edge]]), pa.array(node[head[edge]]), pa.array(np.full(len(edge), -1, np.int64))], names=["band", "a", "b"])
 
 
+def _cross_pairs(batches: Iterator[pa.RecordBatch], least: float, whole_run: int, partners: int, block: int = 1024) -> Iterator[pa.RecordBatch]:
+    """Pairs of one band's members in different components; rows are ``band, node, marks, class``."""
+    parts = [pa.RecordBatch.from_arrays(b.columns, names=["band", "node", "marks", "class"]) for b in batches if b.num_rows]
+    if not parts:
+        return
+    whole = pa.Table.from_batches(parts).combine_chunks()
+    band, node, group = (whole.column(c).to_numpy() for c in ("band", "node", "class"))
+    mark = np.frombuffer(b"".join(whole.column("marks").to_pylist()), np.uint8).reshape(len(band), -1)
+    first = np.flatnonzero(np.append(True, band[1:] != band[:-1]))
+    for low, high in zip(first, np.append(first[1:], len(band)), strict=True):
+        if (group[low:high] == group[low]).all():
+            continue
+        order = low + (np.arange(high - low) if high - low <= whole_run else np.lexsort(mark[low:high].T[::-1]))
+        step = len(order) if len(order) <= whole_run else block // 2
+        for at in range(0, max(1, len(order) - (0 if len(order) <= whole_run else step)), step):
+            part = order[at : at + (len(order) if len(order) <= whole_run else block)]
+            agree = np.zeros((len(part), len(part)), np.uint8)
+            for j in range(mark.shape[1]):
+                column = mark[part, j]
+                agree += column[:, None] == column[None, :]
+            agree[group[part][:, None] == group[part][None, :]] = 0
+            likely = agree >= least * mark.shape[1]
+            if len(order) > whole_run and len(part) > partners:
+                edge = np.partition(agree, len(part) - partners, axis=1)[:, len(part) - partners]
+                likely &= agree >= np.maximum(edge, 1)[:, None]
+            i, j = np.nonzero(likely)
+            x, y = node[part[i]], node[part[j]]
+            pair = np.unique(np.stack([np.minimum(x, y), np.maximum(x, y)], 1), axis=0)
+            if len(pair):
+                yield pa.RecordBatch.from_arrays([pa.array(pair[:, 0]), pa.array(pair[:, 1])], names=["a", "b"])
+
+
 def _features(batches: Iterator[pa.RecordBatch], keep: object) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         mine = keep.passes(mix(batch.column(0).to_numpy().view(U)))
@@ -241,7 +276,7 @@ def prepared(documents: DataFrame) -> DataFrame:
     return base.select("doc_id", (F.col("doc_id") if plain else F.col("d1")).alias("node"), "d1", "d2", "text")
 
 
-def near_links(docs: DataFrame, bands: int = BANDS, rows: int = ROWS, threshold: float = THRESHOLD, back: int = 3) -> tuple[DataFrame, DataFrame]:
+def near_links(docs: DataFrame, bands: int = BANDS, rows: int = ROWS, threshold: float = THRESHOLD, back: int = 3, rounds: int = 3, whole_run: int = 256, partners: int = 8) -> tuple[DataFrame, DataFrame]:
     """(representatives ``node, d1, d2``, verified links ``a, b, similarity`` between them) of ``prepared`` rows."""
     context = docs.sparkSession.sparkContext
     cells, n = document_frequencies(docs.select("text"))
@@ -258,15 +293,34 @@ def near_links(docs: DataFrame, bands: int = BANDS, rows: int = ROWS, threshold:
     low = heads.groupBy("band").agg(F.min("a").alias("low"))
     across = heads.join(low, "band").where("a <> low").select(F.least("a", "low").alias("a"), F.greatest("a", "low").alias("b"))
     pairs = checkpointed(out.where("band = 0").select("a", "b").unionByName(across).distinct())
+    plain = _node_is_id(docs)
+    links = checkpointed(_verified_links(docs, pairs, weights, threshold, plain))
+    tested = pairs
+    for _ in range(rounds):
+        classes = components(links)
+        marked = members.join(classes, "node", "left").select("band", "node", "marks", F.coalesce("class", "node").alias("class"))
+        again = marked.repartitionByRange(n_partitions, "band", "node").sortWithinPartitions("band", "node")
+        fresh = checkpointed(again.mapInArrow(lambda it: _cross_pairs(it, 0.5, whole_run, partners), "a bigint, b bigint").distinct().join(tested, ["a", "b"], "left_anti"))
+        if fresh.isEmpty():
+            break
+        more = checkpointed(_verified_links(docs, fresh, weights, threshold, plain))
+        if more.isEmpty():
+            break
+        links, tested = links.unionByName(more), tested.unionByName(fresh)
+    return found.select("node", "d1", "d2"), links
+
+
+def _verified_links(docs: DataFrame, pairs: DataFrame, weights: Weights, threshold: float, plain: bool) -> DataFrame:
+    """``a, b, similarity`` of the pairs at or above the threshold; only texts of their ends are read again."""
+    context = docs.sparkSession.sparkContext
     ends = pairs.select(F.col("a").alias("node")).unionByName(pairs.select(F.col("b").alias("node"))).distinct()
     chosen = context.broadcast(hash_filter(checkpointed(_mixed(ends)), "h"))
     sets = docs.select("node", "text").mapInArrow(lambda it: _features(it, chosen.value), "node bigint, set binary")
-    if not _node_is_id(docs):
+    if not plain:
         sets = sets.groupBy("node").agg(F.first("set").alias("set"))
     first = pairs.join(sets.select(F.col("node").alias("a"), F.col("set").alias("s")), "a")
     both = first.join(sets.select(F.col("node").alias("b"), F.col("set").alias("t")), "b").select("a", "b", "s", "t")
-    links = both.mapInArrow(lambda it: _verified(it, weights, threshold), "a bigint, b bigint, similarity double")
-    return found.select("node", "d1", "d2"), links
+    return both.mapInArrow(lambda it: _verified(it, weights, threshold), "a bigint, b bigint, similarity double")
 
 
 def _node_is_id(docs: DataFrame) -> bool:
