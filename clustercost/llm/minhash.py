@@ -276,7 +276,7 @@ def prepared(documents: DataFrame) -> DataFrame:
     return base.select("doc_id", (F.col("doc_id") if plain else F.col("d1")).alias("node"), "d1", "d2", "text")
 
 
-def near_links(docs: DataFrame, bands: int = BANDS, rows: int = ROWS, threshold: float = THRESHOLD, back: int = 3, rounds: int = 3, whole_run: int = 256, partners: int = 8) -> tuple[DataFrame, DataFrame]:
+def near_links(docs: DataFrame, bands: int = BANDS, rows: int = ROWS, threshold: float = THRESHOLD, back: int = 3, rounds: int = 3, whole_run: int = 64, partners: int = 6) -> tuple[DataFrame, DataFrame]:
     """(representatives ``node, d1, d2``, verified links ``a, b, similarity`` between them) of ``prepared`` rows."""
     context = docs.sparkSession.sparkContext
     cells, n = document_frequencies(docs.select("text"))
