@@ -12,7 +12,7 @@ from pyspark.sql import functions as F
 from .anchored import sample_degrees
 from .graph import both_ways, degrees
 from .mismatch import is_mismatch
-from .ranking import rank_key
+from .ranking import places, rank_key
 from .sampling import bottom_k_trials
 
 
@@ -21,8 +21,7 @@ def drawn_pairs(ranked: DataFrame, trials: DataFrame, salt: str) -> DataFrame:
 
     Twice as many numbers are hashed as wanted and the first distinct ones kept.
     """
-    place = F.row_number().over(Window.partitionBy("trial").orderBy("key", "id")) - 1
-    indexed = ranked.withColumn("i", place.cast("bigint"))
+    indexed = places(ranked, "trial").withColumnRenamed("place", "i")
     sizes = ranked.groupBy("trial").agg(F.count("*").alias("n")).join(F.broadcast(trials.select("trial", "seed", "q")), "trial")
     all_pairs = F.expr("n * (n - 1) DIV 2")
     tries = sizes.where("n > 1").withColumn("all", all_pairs).withColumn("q", F.least("q", "all")).select("*", F.explode(F.sequence(F.lit(0), F.col("q") * 2 + 20)).alias("j"))

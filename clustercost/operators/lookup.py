@@ -11,13 +11,17 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .graph import both_ways
-from .pivot import settle
+from .pivot import first_k, settle
+
+MOST_LISTED = 10_000
 
 
 def anchors_of(ranked: DataFrame, trials: DataFrame) -> DataFrame:
     """``trial, id, key`` of each trial's ``r`` earliest nodes."""
+    most = trials.agg(F.max("r")).first()[0] or 0  # a literal bound: tasks drop the rest before the shuffle
     place = F.row_number().over(Window.partitionBy("trial").orderBy("key", "id"))
-    return ranked.join(F.broadcast(trials.select("trial", "r")), "trial").withColumn("place", place).where(F.col("place") <= F.col("r")).select("trial", "id", "key")
+    first = ranked.join(F.broadcast(trials.select("trial", "r")), "trial").withColumn("place", place).where(F.col("place") <= F.lit(most))
+    return first.where(F.col("place") <= F.col("r")).select("trial", "id", "key")
 
 
 def anchored_pivot(ranked: DataFrame, anchors: DataFrame, pairs: DataFrame, trials: DataFrame, k_max: int | None = None) -> DataFrame:
@@ -29,6 +33,8 @@ def anchored_pivot(ranked: DataFrame, anchors: DataFrame, pairs: DataFrame, tria
     k_max = k_max or trials.agg(F.max("k")).first()[0]
     mark = anchors.select("trial", F.col("id").alias("near"), F.col("key").alias("near_key"))
     near = both_ways(pairs).join(mark, "near").join(ranked.select("trial", "id", "key"), ["trial", "id"]).where(F.struct("near_key", "near") < F.struct("key", "id")).select("trial", "id", "near", "near_key")
+    if k_max < MOST_LISTED:
+        near = first_k(near, k_max).drop("place")  # each costs one call at least, so no lookup sees more
     among = near.join(anchors.select("trial", "id"), ["trial", "id"], "left_semi")
     settled = settle(anchors, among, k_max)
     # a settled anchor's exact pivot status is known when it did not time out at the largest budget

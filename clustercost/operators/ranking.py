@@ -22,20 +22,23 @@ def ranked_trials(ids: DataFrame, trials: DataFrame) -> DataFrame:
     return ids.select("id").crossJoin(F.broadcast(trials.select("trial", "seed"))).select("trial", "id", rank_key(F.col("seed")).alias("key"))
 
 
-def dense_rank_order(nodes: DataFrame, seed: str) -> DataFrame:
-    """``rank`` from 1 without a single-task window: range partitions, offsets, local numbers.
+def places(ranked: DataFrame, *by: str) -> DataFrame:
+    """``ranked`` with ``place`` from 0 in (key, id) order, per group of ``by``, without a single-task window.
 
-    Range partitions of equal content are sorted, counted in one small aggregation, and
-    numbered from their offsets.
+    Keys are uniform, so their first bits cut the order into even cells: cells are counted, the few
+    counts are summed up to offsets, and rows are numbered within their cell.
     """
-    keyed = with_rank_key(nodes, seed)
-    parts = int(nodes.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    # the first 16 bits of a uniform key cut the order into even, deterministic ranges
-    cell = F.conv(F.substring("key", 1, 4), 16, 10).cast("int")
+    parts = int(ranked.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     width = max(1, 65536 // max(1, min(parts * 4, 4096)))
-    cut = keyed.withColumn("cell", F.floor(cell / width).cast("int"))
-    counts = cut.groupBy("cell").agg(F.count("*").alias("n"))
-    before = F.coalesce(F.sum("n").over(Window.orderBy("cell").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))  # one row a cell
-    offsets = counts.select("cell", before.alias("before"))
-    local = F.row_number().over(Window.partitionBy("cell").orderBy("key", "id"))
-    return cut.withColumn("local", local).join(F.broadcast(offsets), "cell").withColumn("rank", (F.col("before") + F.col("local")).cast("bigint")).drop("cell", "local", "before")
+    cut = ranked.withColumn("cell", F.floor(F.conv(F.substring("key", 1, 4), 16, 10).cast("int") / width).cast("int"))
+    counts = cut.groupBy(*by, "cell").agg(F.count("*").alias("n"))
+    earlier = Window.partitionBy(*by).orderBy("cell").rowsBetween(Window.unboundedPreceding, -1)  # at most 4,096 rows a group
+    offsets = counts.select(*by, "cell", F.coalesce(F.sum("n").over(earlier), F.lit(0)).alias("before"))
+    local = F.row_number().over(Window.partitionBy(*by, "cell").orderBy("key", "id")) - 1
+    numbered = cut.withColumn("local", local).join(offsets, [*by, "cell"])
+    return numbered.select(*ranked.columns, (F.col("before") + F.col("local")).cast("bigint").alias("place"))
+
+
+def dense_rank_order(nodes: DataFrame, seed: str) -> DataFrame:
+    """``rank`` from 1 in the order of the seed."""
+    return places(with_rank_key(nodes, seed)).withColumn("rank", F.col("place") + 1).drop("place")

@@ -24,11 +24,16 @@ def bottom_k(nodes: DataFrame, t: int, salt: str, seed: str, n: int | None = Non
 
 
 def bottom_k_trials(rows: DataFrame, trials: DataFrame, size: str, salt: str) -> DataFrame:
-    """Per trial, the rows of its ``size`` (a column of ``trials``) smallest salted keys."""
+    """Per trial, the rows of its ``size`` (a column of ``trials``) smallest salted keys.
+
+    The largest size is read first, as a literal bound lets each task drop all but that many rows
+    of a trial before they are shuffled.
+    """
+    most = trials.agg(F.max(size)).first()[0] or 0
     seeded = rows.join(F.broadcast(trials.select("trial", "seed", F.col(size).alias("wanted"))), "trial")
     keyed = seeded.withColumn("sample_key", rank_key(F.concat(F.lit(f"{salt}:"), "seed") if salt else F.col("seed")))
     numbered = keyed.withColumn("place", F.row_number().over(Window.partitionBy("trial").orderBy("sample_key", "id")))
-    return numbered.where(F.col("place") <= F.col("wanted")).select(*rows.columns)
+    return numbered.where(F.col("place") <= F.lit(most)).where(F.col("place") <= F.col("wanted")).select(*rows.columns)
 
 
 def bottom_k_strata(nodes: DataFrame, strata: str, t: int, seed: str) -> DataFrame:
