@@ -276,7 +276,7 @@ def prepared(documents: DataFrame) -> DataFrame:
     return base.select("doc_id", (F.col("doc_id") if plain else F.col("d1")).alias("node"), "d1", "d2", "text")
 
 
-def near_links(docs: DataFrame, bands: int = BANDS, rows: int = ROWS, threshold: float = THRESHOLD, back: int = 3, rounds: int = 3, whole_run: int = 64, partners: int = 6) -> tuple[DataFrame, DataFrame]:
+def near_links(docs: DataFrame, bands: int = BANDS, rows: int = ROWS, threshold: float = THRESHOLD, back: int = 3, rounds: int = 1, whole_run: int = 16, partners: int = 2) -> tuple[DataFrame, DataFrame]:
     """(representatives ``node, d1, d2``, verified links ``a, b, similarity`` between them) of ``prepared`` rows."""
     context = docs.sparkSession.sparkContext
     cells, n = document_frequencies(docs.select("text"))
@@ -300,7 +300,7 @@ def near_links(docs: DataFrame, bands: int = BANDS, rows: int = ROWS, threshold:
         classes = components(links)
         marked = members.join(classes, "node", "left").select("band", "node", "marks", F.coalesce("class", "node").alias("class"))
         again = marked.repartitionByRange(n_partitions, "band", "node").sortWithinPartitions("band", "node")
-        fresh = checkpointed(again.mapInArrow(lambda it: _cross_pairs(it, 0.5, whole_run, partners), "a bigint, b bigint").distinct().join(tested, ["a", "b"], "left_anti"))
+        fresh = checkpointed(again.mapInArrow(lambda it: _cross_pairs(it, 0.6, whole_run, partners), "a bigint, b bigint").distinct().join(tested, ["a", "b"], "left_anti"))
         if fresh.isEmpty():
             break
         more = checkpointed(_verified_links(docs, fresh, weights, threshold, plain))
