@@ -21,7 +21,9 @@ group.  Each pair is verified by exact weighted Jaccard, and verified links join
 
 Further rounds look for links between components of one band: all pairs of a run of up to
 ``whole_run`` members, and in longer runs each member's ``partners`` best-agreeing members within a
-block of similar ones; they end when a round links nothing new, or after ``rounds``.
+block of similar ones; they end when a round links nothing new, or after ``rounds``.  This keeps
+pairs linear in members and is not exhaustive: in a long run without a text that is near to most
+others, links just above the threshold can be missed.
 """
 
 from __future__ import annotations
