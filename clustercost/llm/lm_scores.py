@@ -40,7 +40,7 @@ def fixed(log_p: np.ndarray) -> np.ndarray:
 
 def _blocks(batch: pa.RecordBatch, column: int) -> Iterator[tuple[int, int, Words]]:
     data, offsets = text_bytes(batch.column(column))
-    for low, high in blocks(offsets):
+    for low, high in blocks(offsets, 1 << 21):  # larger blocks pack better
         yield low, high, Words(LOWER[data[offsets[low] : offsets[high]]], offsets[low : high + 1] - offsets[low], ALNUM_WORDS)
 
 

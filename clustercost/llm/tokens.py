@@ -75,7 +75,7 @@ def text_bytes(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return raw, off - off[0]
 
 
-def blocks(offsets: np.ndarray, most: int = 1 << 21, most_rows: int = 1 << 16) -> Iterator[tuple[int, int]]:
+def blocks(offsets: np.ndarray, most: int = 1 << 20, most_rows: int = 1 << 16) -> Iterator[tuple[int, int]]:
     """Row ranges of about ``most`` bytes and at most ``most_rows`` rows; a longer row is a block of its own."""
     n, at = len(offsets) - 1, 0
     while at < n:
