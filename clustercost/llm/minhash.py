@@ -16,14 +16,13 @@ Equal texts are collapsed by digest first.  Bands that occur once are dropped th
 of bounded size; members of the others are sorted by band over range partitions, so a hot
 band spreads over tasks.  Within a sorted run each member is paired with the
 members before it (``back`` of them) and with the run's consensus member, whose samples agree
-best with the run's commonest ones.  Pairs are thus linear in members, however large a
-group.  Each pair is verified by exact weighted Jaccard, and verified links join to components.
-
-Further rounds look for links between components of one band: all pairs of a run of up to
-``whole_run`` members, and in longer runs each member's ``partners`` best-agreeing members within a
-block of similar ones; they end when a round links nothing new, or after ``rounds``.  This keeps
-pairs linear in members and is not exhaustive: in a long run without a text that is near to most
-others, links just above the threshold can be missed.
+best with the run's commonest ones; these pairs are linear in members, and most near texts are
+joined by them.  Each pair is verified by exact weighted Jaccard.
+
+Runs that still hold several classes are then compared exhaustively: their members' sets are
+dealt into cells that meet pairwise, and each meeting compares every pair of two classes by
+exact weighted Jaccard in memory, so only links leave it.  The classes are thus the components of
+all pairs at or above the threshold that share a band; banding is the only chance of a miss.
 """
 
 from __future__ import annotations
@@ -202,38 +201,6 @@ def _pairs(batches: Iterator[pa.RecordBatch], back: int, least: float) -> Iterat
     yield pa.RecordBatch.from_arrays([pa.array(band[first[edge]]), pa.array(node[head[edge]]), pa.array(np.full(len(edge), -1, np.int64))], names=["band", "a", "b"])
 
 
-def _cross_pairs(batches: Iterator[pa.RecordBatch], least: float, whole_run: int, partners: int, block: int = 1024) -> Iterator[pa.RecordBatch]:
-    """Pairs of one band's members in different components; rows are ``band, node, marks, class``."""
-    parts = [pa.RecordBatch.from_arrays(b.columns, names=["band", "node", "marks", "class"]) for b in batches if b.num_rows]
-    if not parts:
-        return
-    whole = pa.Table.from_batches(parts).combine_chunks()
-    band, node, group = (whole.column(c).to_numpy() for c in ("band", "node", "class"))
-    mark = np.frombuffer(b"".join(whole.column("marks").to_pylist()), np.uint8).reshape(len(band), -1)
-    first = np.flatnonzero(np.append(True, band[1:] != band[:-1]))
-    for low, high in zip(first, np.append(first[1:], len(band)), strict=True):
-        if (group[low:high] == group[low]).all():
-            continue
-        order = low + (np.arange(high - low) if high - low <= whole_run else np.lexsort(mark[low:high].T[::-1]))
-        step = len(order) if len(order) <= whole_run else block // 2
-        for at in range(0, max(1, len(order) - (0 if len(order) <= whole_run else step)), step):
-            part = order[at : at + (len(order) if len(order) <= whole_run else block)]
-            agree = np.zeros((len(part), len(part)), np.uint8)
-            for j in range(mark.shape[1]):
-                column = mark[part, j]
-                agree += column[:, None] == column[None, :]
-            agree[group[part][:, None] == group[part][None, :]] = 0
-            likely = agree >= least * mark.shape[1]
-            if len(order) > whole_run and len(part) > partners:
-                edge = np.partition(agree, len(part) - partners, axis=1)[:, len(part) - partners]
-                likely &= agree >= np.maximum(edge, 1)[:, None]
-            i, j = np.nonzero(likely)
-            x, y = node[part[i]], node[part[j]]
-            pair = np.unique(np.stack([np.minimum(x, y), np.maximum(x, y)], 1), axis=0)
-            if len(pair):
-                yield pa.RecordBatch.from_arrays([pa.array(pair[:, 0]), pa.array(pair[:, 1])], names=["a", "b"])
-
-
 def _features(batches: Iterator[pa.RecordBatch], keep: object) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         mine = keep.passes(mix(batch.column(0).to_numpy().view(U)))
@@ -266,6 +233,88 @@ def _verified(batches: Iterator[pa.RecordBatch], weights: Weights, threshold: fl
         yield pa.RecordBatch.from_arrays([a.filter(pa.array(good)), b.filter(pa.array(good)), pa.array(np.array(likeness, float)[good])], names=["a", "b", "similarity"])
 
 
+def _meetings(members: DataFrame, classes: DataFrame, block: int) -> DataFrame:
+    """``node, class, band, x, y``: where members of runs that hold several classes meet.
+
+    A run's largest class is its major side (1), all others the minor side (0); both are dealt
+    by hash into cells of about ``block`` members.  Minor cells meet each other and the major
+    cells, major cells never meet, as one class has nothing left to link.  Every pair of a run
+    in two classes is in some meeting; a run with few strays stays linear in its members.
+    """
+    marked = checkpointed(members.select("band", "node").join(classes, "node", "left").select("band", "node", F.coalesce("class", "node").alias("class")))
+    sizes = marked.groupBy("band", "class").agg(F.count("*").alias("n")).groupBy("band").agg(F.max_by("class", "n").alias("major"), F.sum("n").alias("n"), F.max("n").alias("most"))
+    mixed = checkpointed(sizes.where("n > most"))
+    long_runs = mixed.where(f"n > {block}").select("band", "major", F.ceil((F.col("n") - F.col("most")) / block).alias("few"), F.ceil(F.col("most") / block).alias("many"))
+    kept = members.sparkSession.sparkContext.broadcast(hash_filter(checkpointed(_mixed(mixed.select(F.col("band").alias("node")))), "h"))
+
+    def unsettled(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            yield batch.filter(pa.array(kept.value.passes(mix(batch.column(0).to_numpy().view(U)))))
+
+    met = marked.mapInArrow(unsettled, "band bigint, node bigint, class bigint").join(F.broadcast(long_runs), "band", "left")  # a long run has over ``block`` members, so these are few
+    whole = F.col("major").isNull()
+    side = F.when(whole | (F.col("class") != F.col("major")), 0).otherwise(1)
+    few, many = F.coalesce("few", F.lit(1)), F.coalesce("many", F.lit(0))
+    cell = F.pmod(F.xxhash64("node"), F.when(side == 0, few).otherwise(many))
+    minor = F.transform(F.sequence(F.lit(0).cast("bigint"), few - 1), lambda g: F.struct(F.least(g, cell).alias("x"), F.greatest(g, cell).alias("y")))
+    across = F.when(many > 0, F.transform(F.sequence(F.lit(0).cast("bigint"), F.greatest(many, F.lit(1)) - 1), lambda g: F.struct(cell.alias("x"), (-1 - g).alias("y")))).otherwise(F.array().cast("array<struct<x:bigint,y:bigint>>"))
+    major = F.transform(F.sequence(F.lit(0).cast("bigint"), few - 1), lambda g: F.struct(g.alias("x"), (-1 - cell).alias("y")))
+    return met.select("node", "class", "band", F.explode(F.when(side == 0, F.concat(minor, across)).otherwise(major)).alias("at")).select("node", "class", "band", "at.x", "at.y")
+
+
+def _all_links(batches: Iterator[pa.RecordBatch], weights: Weights, threshold: float) -> Iterator[pa.RecordBatch]:
+    """Links that join the classes of each meeting: every pair in two classes is compared, unless links found before have joined them."""
+    held: list[tuple] = []
+    for batch in batches:
+        for row in zip(*(batch.column(i).to_pylist() for i in range(6)), strict=True):
+            if held and row[:3] != held[0][:3]:
+                yield from _linked(held, weights, threshold)
+                held = []
+            held.append(row)
+    yield from _linked(held, weights, threshold)
+
+
+def _linked(held: list[tuple], weights: Weights, threshold: float) -> Iterator[pa.RecordBatch]:
+    """Links of one meeting's rows ``band, x, y, node, class, set``, at most one for each row."""
+    group = np.array([r[4] for r in held], np.int64)
+    if len(held) < 2 or (group == group[0]).all():
+        return
+    node = np.array([r[3] for r in held], np.int64)
+    sets = [(np.frombuffer(r[5], "<u4", len(r[5]) // 6), np.frombuffer(r[5], "<u2", len(r[5]) // 6, len(r[5]) // 6 * 4)) for r in held]
+    count = np.array([len(h) for h, _ in sets])
+    end = np.cumsum(count)
+    start = end - count
+    flat = np.concatenate([h for h, _ in sets])
+    w = weights(flat.astype(U) << U(32), np.concatenate([tf for _, tf in sets]))
+    total = np.array([w[s:e].sum() for s, e in zip(start, end, strict=True)])
+    kinds, term = np.unique(flat, return_inverse=True)
+    own = np.zeros(len(kinds), np.float32)
+    some = count > 0
+    found = []
+    for i in np.flatnonzero(some):
+        ahead = np.zeros(len(held), bool)
+        ahead[i + 1 :] = True
+        near = np.flatnonzero(ahead & some & (group != group[i]) & (np.minimum(total, total[i]) >= (threshold - 1e-4) * np.maximum(total, total[i])))
+        if not len(near):
+            continue
+        mine = slice(start[i], end[i])
+        own[term[mine]] = w[mine]
+        first = np.cumsum(count[near]) - count[near]
+        at = np.arange(count[near].sum()) + np.repeat(start[near] - first, count[near])
+        low = np.add.reduceat(np.minimum(own[term[at]], w[at]), first)
+        own[term[mine]] = 0
+        for j in near[low >= (threshold - 1e-4) * (total[i] + total[near] - low)]:
+            if group[j] == group[i]:
+                continue
+            likeness = weighted_jaccard((flat[mine], w[mine]), (flat[start[j] : end[j]], w[start[j] : end[j]]))
+            if likeness >= threshold:
+                found.append((min(node[i], node[j]), max(node[i], node[j]), likeness))
+                group[group == group[j]] = group[i]
+    if found:
+        a, b, likeness = zip(*found, strict=True)
+        yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64()), pa.array(likeness, pa.float64())], names=["a", "b", "similarity"])
+
+
 def prepared(documents: DataFrame) -> DataFrame:
     """``doc_id, node, d1, d2, text``: digests of the text (null: empty), and the number a row is known by.
 
@@ -278,7 +327,7 @@ def prepared(documents: DataFrame) -> DataFrame:
     return base.select("doc_id", (F.col("doc_id") if plain else F.col("d1")).alias("node"), "d1", "d2", "text")
 
 
-def near_links(docs: DataFrame, bands: int = BANDS, rows: int = ROWS, threshold: float = THRESHOLD, back: int = 3, rounds: int = 1, whole_run: int = 16, partners: int = 2) -> tuple[DataFrame, DataFrame]:
+def near_links(docs: DataFrame, bands: int = BANDS, rows: int = ROWS, threshold: float = THRESHOLD, back: int = 3, block: int = 256) -> tuple[DataFrame, DataFrame]:
     """(representatives ``node, d1, d2``, verified links ``a, b, similarity`` between them) of ``prepared`` rows."""
     context = docs.sparkSession.sparkContext
     cells, n = document_frequencies(docs.select("text"))
@@ -297,34 +346,30 @@ def near_links(docs: DataFrame, bands: int = BANDS, rows: int = ROWS, threshold:
     pairs = checkpointed(out.where("band = 0").select("a", "b").unionByName(across).distinct())
     plain = _node_is_id(docs)
     links = checkpointed(_verified_links(docs, pairs, weights, threshold, plain))
-    tested = pairs
-    for _ in range(rounds):
-        classes = components(links)
-        marked = members.join(classes, "node", "left").select("band", "node", "marks", F.coalesce("class", "node").alias("class"))
-        again = marked.repartitionByRange(n_partitions, "band", "node").sortWithinPartitions("band", "node")
-        fresh = checkpointed(again.mapInArrow(lambda it: _cross_pairs(it, 0.6, whole_run, partners), "a bigint, b bigint").distinct().join(tested, ["a", "b"], "left_anti"))
-        if fresh.isEmpty():
-            break
-        more = checkpointed(_verified_links(docs, fresh, weights, threshold, plain))
-        if more.isEmpty():
-            break
-        links, tested = links.unionByName(more), tested.unionByName(fresh)
+    met = checkpointed(_meetings(members, components(links), block))
+    sets = _sets(docs, met.select("node").distinct(), plain)
+    dealt = met.join(sets, "node").select("band", "x", "y", "node", "class", "set").repartition(n_partitions, "band", "x", "y").sortWithinPartitions("band", "x", "y", "node")
+    rest = checkpointed(dealt.mapInArrow(lambda it: _all_links(it, weights, threshold), "a bigint, b bigint, similarity double"))
+    links = links.unionByName(rest)
     return found.select("node", "d1", "d2"), links
 
 
 def _verified_links(docs: DataFrame, pairs: DataFrame, weights: Weights, threshold: float, plain: bool) -> DataFrame:
     """``a, b, similarity`` of the pairs at or above the threshold; only texts of their ends are read again."""
-    context = docs.sparkSession.sparkContext
     ends = pairs.select(F.col("a").alias("node")).unionByName(pairs.select(F.col("b").alias("node"))).distinct()
-    chosen = context.broadcast(hash_filter(checkpointed(_mixed(ends)), "h"))
-    sets = docs.select("node", "text").mapInArrow(lambda it: _features(it, chosen.value), "node bigint, set binary")
-    if not plain:
-        sets = sets.groupBy("node").agg(F.first("set").alias("set"))
+    sets = _sets(docs, ends, plain)
     first = pairs.join(sets.select(F.col("node").alias("a"), F.col("set").alias("s")), "a")
     both = first.join(sets.select(F.col("node").alias("b"), F.col("set").alias("t")), "b").select("a", "b", "s", "t")
     return both.mapInArrow(lambda it: _verified(it, weights, threshold), "a bigint, b bigint, similarity double")
 
 
+def _sets(docs: DataFrame, nodes: DataFrame, plain: bool) -> DataFrame:
+    """``node, set`` of the given nodes, and perhaps of some others."""
+    chosen = docs.sparkSession.sparkContext.broadcast(hash_filter(checkpointed(_mixed(nodes)), "h"))
+    sets = docs.select("node", "text").mapInArrow(lambda it: _features(it, chosen.value), "node bigint, set binary")
+    return sets if plain else sets.groupBy("node").agg(F.first("set").alias("set"))
+
+
 def _node_is_id(docs: DataFrame) -> bool:
     return docs.select("node").groupBy("node").count().where("count > 1").isEmpty()
 
