@@ -1,19 +1,21 @@
 """Stupid-backoff scores of whole documents from bigram counts of the whole corpus.
 
-The vocabulary is every word with at least ``max(2, tokens / 2**20)`` occurrences, so it has
-at most 2**20 words at any corpus size; all others are one unknown word.  The score of a word
-after its predecessor is ``ln(C(prev, word) / C(prev))`` where the bigram occurs ``least``
-times or more, and ``ln(backoff * C(word) / tokens)`` otherwise; a first word has
-``ln(C(word) / tokens)``.  Log probabilities are held in fixed point (1/4096), so sums are exact
-integers in whatever order they are added.
-
-With so bounded a vocabulary a bigram is one integer.  Documents explode to their distinct
-bigrams with counts; these travel to the hash partition of their bigram in packed rows, one for
-each (block of documents, bucket).  A partition holds all occurrences of its bigrams: it
-makes its part of the count table, joins it to the exploded rows, and sends back, packed for
-the block's home, each document's gain over the score that it has without any counted bigram.
-A bigram that every document holds is one entry of a document, so no row or
-partition grows with a word's frequency.
+Every word with ``FLOOR`` occurrences or more has a count of its own at any corpus size; the words
+that occur once are one unknown word.  The score of a word after its predecessor is
+``ln(C(prev, word) / C(prev))`` where the bigram occurs ``least`` times or more, and
+``ln(backoff * C(word) / tokens)`` otherwise; a first word has ``ln(C(word) / tokens)``.  Log
+probabilities are held in fixed point (1/4096), so sums are exact integers in whatever order
+they are added.
+
+Words and bigrams are known by 64-bit hashes, and no table of them reaches the driver.  A block of
+documents sends its distinct words with counts, in packed rows, to the hash partitions of the
+unigram table; these answer the block's home, which the block's word sequence goes to, with corpus
+counts.  There documents explode to their distinct bigrams with counts; these travel to the hash
+partition of their bigram in packed rows, one for each (block, bucket).  A partition holds all
+occurrences of its bigrams: it makes its part of the count table, joins it to the exploded rows,
+and sends back, packed for the block's home, each document's gain over the score that it has
+without any counted bigram.  A word or bigram that every document holds is one entry of a
+block or document, so no row or partition grows with a word's frequency.
 """
 
 from __future__ import annotations
@@ -28,7 +30,7 @@ from pyspark.sql import functions as F
 
 from .tokens import ALNUM_WORDS, LOWER, U, Words, blocks, mix, text_bytes
 
-VOCABULARY_BITS = 20
+FLOOR = 2
 BACKOFF = 0.4
 LEAST = 2
 UNIT = 4096
@@ -61,37 +63,11 @@ def _word_counts(batches: Iterator[pa.RecordBatch], most: int = 1 << 20) -> Iter
         yield out(held_h, held_n)
 
 
-class Vocabulary:
-    """Counts of the frequent words by number, the commonest first; number 0 is the unknown word."""
-
-    def __init__(self, hashes: np.ndarray, counts: np.ndarray, tokens: int):
-        common = np.lexsort((hashes, -counts))
-        number = np.empty(len(common), np.int64)
-        number[common] = np.arange(1, len(common) + 1)
-        order = np.argsort(hashes)
-        self.hashes, self.numbers, self.tokens = hashes[order], number[order], max(1, tokens)
-        self.counts = np.append(max(1, tokens - int(counts.sum())), counts[common]).astype(np.float64)
-
-    def ids(self, h: np.ndarray) -> np.ndarray:
-        if not len(self.hashes):
-            return np.zeros(len(h), np.int64)
-        at = np.minimum(np.searchsorted(self.hashes, h), len(self.hashes) - 1)
-        return np.where(self.hashes[at] == h, self.numbers[at], 0)
-
-
-def vocabulary(texts: DataFrame, bits: int = VOCABULARY_BITS) -> Vocabulary:
-    """Counts over all texts; at most ``2**bits`` words reach the driver, by the rule of the threshold."""
-    from .exchange import checkpointed
-
+def totals(texts: DataFrame) -> tuple[int, int]:
+    """Tokens of all texts, and those of words below the floor."""
     counts = texts.mapInArrow(_word_counts, "h bigint, n bigint").groupBy("h").agg(F.sum("n").alias("n"))
-    tokens = texts.mapInArrow(_token_count, "n bigint").agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
-    got = checkpointed(counts.where(F.col("n") >= max(2, -(-tokens // (1 << bits))))).toArrow()
-    return Vocabulary(got.column("h").to_numpy().view(U), got.column("n").to_numpy(), tokens)
-
-
-def _token_count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for batch in batches:
-        yield pa.RecordBatch.from_arrays([pa.array([sum(len(w.start) for _, _, w in _blocks(batch, 0))], pa.int64())], names=["n"])
+    tokens, rare = counts.agg(F.coalesce(F.sum("n"), F.lit(0)), F.coalesce(F.sum(F.when(F.col("n") < FLOOR, F.col("n"))), F.lit(0))).first()
+    return max(1, tokens), max(1, rare)
 
 
 _PACKED = "bucket int, home int, block bigint, n int, data binary"
@@ -120,66 +96,143 @@ def _columns(data: bytes, n: int, *widths: int) -> list[np.ndarray]:
     return out
 
 
-def _exploded(batches: Iterator[pa.RecordBatch], words_of: Vocabulary, buckets: int, backoff: float) -> Iterator[pa.RecordBatch]:
-    """Packed rows of a block: one with each document's key, words and score if no bigram counted (bucket -1), and one for each bucket of bigrams.
+def _packed_rows(rows: list[tuple]) -> Iterator[pa.RecordBatch]:
+    for a in range(0, len(rows), 64):
+        part = list(zip(*rows[a : a + 64], strict=True))
+        yield pa.RecordBatch.from_arrays([pa.array(part[0], pa.int32()), pa.array(part[1], pa.int32()), pa.array(part[2], pa.int64()), pa.array(part[3], pa.int32()), pa.array(part[4], pa.binary())], names=["bucket", "home", "block", "n", "data"])
 
-    A block is known by its task's partition and a count, its documents by their place in it.
+
+def _sent(home: int, block: int, n: int, data: bytes) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([pa.array([home], pa.int32()), pa.array([block], pa.int64()), pa.array([n], pa.int32()), pa.array([data], pa.binary())], names=["home", "block", "n", "data"])
+
+
+def _edges(bucket: np.ndarray) -> Iterator[tuple[int, int]]:
+    if not len(bucket):
+        return
+    edge = np.flatnonzero(np.append(True, bucket[1:] != bucket[:-1]))
+    yield from zip(edge, np.append(edge[1:], len(bucket)), strict=True)
+
+
+def _asked(batches: Iterator[pa.RecordBatch], buckets: int) -> Iterator[pa.RecordBatch]:
+    """Packed rows of a block: its keys, lengths and words by number for its home (home < 0), and its distinct words for each bucket.
+
+    A block is known by its task's partition and a count, its documents by their place in it,
+    its words by their place among the block's, the commonest first.
     """
     context = TaskContext.get()
     block = (context.partitionId() if context else 0) << 32
     for batch in batches:
         keys = batch.column(0).to_numpy()
         for low, high, words in _blocks(batch, 1):
-            ids = words_of.ids(words.hashes(7))
-            mine = keys[low:high]
             block += 1
             home = int(mix(np.array([block], U))[0] % U(buckets))
-            begins = np.zeros(len(ids), bool)
-            begins[words.first[words.count > 0]] = True
-            alone = fixed(np.log(np.where(begins, 1.0, backoff) * words_of.counts[ids] / words_of.tokens))
-            base = np.bincount(words.row, alone, minlength=words.rows).astype(np.int64)
-            rows: list[tuple] = [(home, -1 - home, block, words.rows, _planes((mine, 8), (words.count, 8), (base, 8)))]
-            inside = np.flatnonzero(words.row[1:] == words.row[:-1])
-            if len(inside):
-                code = (ids[inside] << 21) | ids[inside + 1]
-                bucket = (mix(code.astype(U)) % U(buckets)).astype(np.int64)
-                order = np.lexsort((code, words.row[inside], bucket))
-                code, row, bucket = code[order], words.row[inside][order], bucket[order]
-                new = np.flatnonzero(np.append(True, (code[1:] != code[:-1]) | (row[1:] != row[:-1]) | (bucket[1:] != bucket[:-1])))
-                times = np.diff(np.append(new, len(code)))
-                code, row, bucket = code[new], row[new], bucket[new]
-                edge = np.flatnonzero(np.append(True, bucket[1:] != bucket[:-1]))
-                for s, e in zip(edge, np.append(edge[1:], len(bucket)), strict=True):
-                    rows.append((int(bucket[s]), home, block, int(e - s), _planes((row[s:e], 3), (code[s:e] >> 21, 3), (code[s:e] & ((1 << 21) - 1), 3), (times[s:e], 4))))
-            for a in range(0, len(rows), 64):
-                part = list(zip(*rows[a : a + 64], strict=True))
-                yield pa.RecordBatch.from_arrays([pa.array(part[0], pa.int32()), pa.array(part[1], pa.int32()), pa.array(part[2], pa.int64()), pa.array(part[3], pa.int32()), pa.array(part[4], pa.binary())], names=["bucket", "home", "block", "n", "data"])
-
-
-def _joined(batches: Iterator[pa.RecordBatch], words_of: Vocabulary, backoff: float, least: int) -> Iterator[pa.RecordBatch]:
-    """A partition's count table, joined to its exploded rows; each row goes home as its documents' gains from counted bigrams."""
-    held: list[tuple[int, int, np.ndarray]] = []
-    codes, times = [], []
+            h, at, n = np.unique(words.hashes(7), return_inverse=True, return_counts=True)
+            common = np.argsort(-n, kind="stable")
+            number = np.empty(len(h), np.int64)
+            number[common] = np.arange(len(h))
+            rows: list[tuple] = [(home, -1 - home, block, words.rows, _planes((keys[low:high], 8), (words.count, 8)) + _planes((number[at], 4)))]
+            bucket = (mix(h) % U(buckets)).astype(np.int64)
+            order = np.argsort(bucket, kind="stable")
+            h, n, number, bucket = h[order], n[order], number[order], bucket[order]
+            for s, e in _edges(bucket):
+                rows.append((int(bucket[s]), home, block, int(e - s), _planes((h[s:e].view(np.int64), 8), (n[s:e], 4), (number[s:e], 4))))
+            yield from _packed_rows(rows)
+
+
+def _answered(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """A partition's unigram counts, sent home to each block that asked."""
+    held, hashes, times = [], [], []
+    for batch in batches:
+        for home, block, n, data in zip(*(batch.column(i).to_pylist() for i in (1, 2, 3, 4)), strict=True):
+            if home < 0:
+                yield _sent(-1 - home, block, -n, data)
+                continue
+            h, tf, number = _columns(data, n, 8, 4, 4)
+            held.append((home, block, number))
+            hashes.append(h)
+            times.append(tf)
+    if not held:
+        return
+    kinds, at = np.unique(np.concatenate(hashes), return_inverse=True)
+    count = np.bincount(at, np.concatenate(times)).astype(np.int64)
+    place = 0
+    for home, block, number in held:
+        mine = at[place : place + len(number)]
+        place += len(number)
+        yield _sent(home, block, len(number), _planes((number, 4), (count[mine], 6), (kinds[mine], 8)))
 
-    def sent(home: int, block: int, n: int, data: bytes) -> pa.RecordBatch:
-        return pa.RecordBatch.from_arrays([pa.array([home], pa.int32()), pa.array([block], pa.int64()), pa.array([n], pa.int32()), pa.array([data], pa.binary())], names=["home", "block", "n", "data"])
 
+def _exploded(batches: Iterator[pa.RecordBatch], buckets: int, tokens: int, rare: int, backoff: float) -> Iterator[pa.RecordBatch]:
+    """From rows sorted by block: one row with each document's key, words and score if no bigram counted (home < 0), and one for each bucket of bigrams."""
+    now, home, base, told = None, 0, None, []
+    for batch in batches:
+        for to, block, n, data in zip(*(batch.column(i).to_pylist() for i in range(4)), strict=True):
+            if block != now and now is not None:
+                yield from _packed_rows(_bigrams(home, now, base, told, buckets, tokens, rare, backoff))
+                base, told = None, []
+            now, home = block, to
+            if n < 0:
+                base = (-n, data)
+            else:
+                told.append((n, data))
+    if now is not None:
+        yield from _packed_rows(_bigrams(home, now, base, told, buckets, tokens, rare, backoff))
+
+
+def _bigrams(home: int, block: int, base: tuple[int, bytes], told: list[tuple[int, bytes]], buckets: int, tokens: int, rare: int, backoff: float) -> list[tuple]:
+    n, data = base
+    keys, length = _columns(data, n, 8, 8)
+    at = _columns(data[16 * n :], int(length.sum()), 4)[0]
+    size = sum(m for m, _ in told)
+    count, h = np.empty(size, np.int64), np.empty(size, np.int64)
+    for m, answer in told:
+        number, c, word = _columns(answer, m, 4, 6, 8)
+        count[number], h[number] = c, word
+    unknown = count < FLOOR
+    count[unknown], h[unknown] = rare, 0
+    row = np.repeat(np.arange(n), length)
+    begins = np.append(True, row[1:] != row[:-1])[: len(row)]
+    times_p = count.astype(np.float64)
+    first, later = fixed(np.log(times_p / tokens)), fixed(np.log(backoff * times_p / tokens))
+    score = np.bincount(row, np.where(begins, first[at], later[at]), minlength=n).astype(np.int64)
+    rows: list[tuple] = [(home, -1 - home, block, n, _planes((keys, 8), (length, 8), (score, 8)))]
+    inside = np.flatnonzero(row[1:] == row[:-1])
+    if not len(inside):
+        return rows
+    before, word, row = at[inside], at[inside + 1], row[inside]
+    code = mix(h.view(U)[before] * U(31) + h.view(U)[word])
+    bucket = (code % U(buckets)).astype(np.int64)
+    order = np.lexsort((code, row, bucket))
+    code, row, bucket, before, word = (x[order] for x in (code, row, bucket, before, word))
+    new = np.flatnonzero(np.append(True, (code[1:] != code[:-1]) | (row[1:] != row[:-1])))
+    times = np.diff(np.append(new, len(code)))
+    code, row, bucket, before, word = (x[new] for x in (code, row, bucket, before, word))
+    for s, e in _edges(bucket):
+        rows.append((int(bucket[s]), home, block, int(e - s), _planes((row[s:e], 3), (code[s:e].view(np.int64), 8), (count[before[s:e]], 6), (later[word[s:e]], 3), (times[s:e], 4))))
+    return rows
+
+
+def _joined(batches: Iterator[pa.RecordBatch], least: int) -> Iterator[pa.RecordBatch]:
+    """A partition's count table, joined to its exploded rows; each row goes home as its documents' gains from counted bigrams."""
+    held: list[tuple[int, int, np.ndarray]] = []
+    codes, befores, alone, times = [], [], [], []
     for batch in batches:
         for home, block, n, data in zip(*(batch.column(i).to_pylist() for i in (1, 2, 3, 4)), strict=True):
             if home < 0:
-                yield sent(-1 - home, block, -n, data)
+                yield _sent(-1 - home, block, -n, data)
                 continue
-            row, before, word, tf = _columns(data, n, 3, 3, 3, 4)
-            held.append((home, block, row))
-            codes.append((before << 21) | word)
-            times.append(tf)
+            row, code, before, later, tf = _columns(data, n, 3, 8, 6, 3, 4)
+            held.append((home, block, row.astype(np.int32)))
+            codes.append(code)
+            befores.append(before)
+            alone.append(later.astype(np.int32))
+            times.append(tf.astype(np.int32))
     if not held:
         return
-    kinds, at = np.unique(np.concatenate(codes), return_inverse=True)
+    kinds, one, at = np.unique(np.concatenate(codes), return_index=True, return_inverse=True)
     tf = np.concatenate(times)
     count = np.bincount(at, tf)
-    before, word = words_of.counts[kinds >> 21], words_of.counts[kinds & ((1 << 21) - 1)]
-    gain = np.where(count >= least, fixed(np.log(count / before)) - fixed(np.log(backoff * word / words_of.tokens)), 0)
+    gain = np.where(count >= least, fixed(np.log(count / np.concatenate(befores)[one])) - np.concatenate(alone)[one], 0)
     place = 0
     for home, block, row in held:
         some = gain[at[place : place + len(row)]] * tf[place : place + len(row)]
@@ -189,7 +242,7 @@ def _joined(batches: Iterator[pa.RecordBatch], words_of: Vocabulary, backoff: fl
         full = np.flatnonzero(sums)
         wide = 4 if not len(full) or np.abs(sums).max() < 1 << 31 else 8
         if len(full):
-            yield sent(home, block, len(full), bytes([wide]) + _planes((row[first[full]], 3), (sums[full], wide)))
+            yield _sent(home, block, len(full), bytes([wide]) + _planes((row[first[full]], 3), (sums[full], wide)))
 
 
 def _summed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -209,7 +262,7 @@ def _summed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.RecordBatch.from_arrays([pa.array(keys), pa.array(total), pa.array(words)], names=["key", "score", "n_words"])
 
 
-def score_documents(documents: DataFrame, backoff: float = BACKOFF, least: int = LEAST, bits: int = VOCABULARY_BITS) -> DataFrame:
+def score_documents(documents: DataFrame, backoff: float = BACKOFF, least: int = LEAST) -> DataFrame:
     """Per document row: ``doc_id, n_words, log_score`` and ``mean_log`` (per word, rounded to 6 places).
 
     Null and empty texts have no words, log_score 0 and a null mean.  Repeated rows count as often
@@ -219,11 +272,13 @@ def score_documents(documents: DataFrame, backoff: float = BACKOFF, least: int =
     docs = documents.select(F.col("doc_id").cast("bigint").alias("doc_id"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
     unique = docs.groupBy("doc_id").count().where("count > 1 OR doc_id IS NULL").isEmpty()
     keyed = docs.withColumn("key", F.col("doc_id") if unique else F.xxhash64("doc_id", "text"))
-    words_of = vocabulary(docs.select("text"), bits)
-    shared = docs.sparkSession.sparkContext.broadcast(words_of)
+    tokens, rare = totals(docs.select("text"))
     n_partitions = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    packed = keyed.select("key", "text").mapInArrow(lambda it: _exploded(it, shared.value, 4 * n_partitions, backoff), _PACKED)
-    sums = packed.repartition(n_partitions, "bucket").mapInArrow(lambda it: _joined(it, shared.value, backoff, least), _SUMS).repartition(n_partitions, "home").mapInArrow(_summed, "key bigint, score bigint, n_words bigint")
+    buckets = 4 * n_partitions
+    asked = keyed.select("key", "text").mapInArrow(lambda it: _asked(it, buckets), _PACKED)
+    answers = asked.repartition(n_partitions, "bucket").mapInArrow(_answered, _SUMS)
+    packed = answers.repartition(n_partitions, "home").sortWithinPartitions("block").mapInArrow(lambda it: _exploded(it, buckets, tokens, rare, backoff), _PACKED)
+    sums = packed.repartition(n_partitions, "bucket").mapInArrow(lambda it: _joined(it, least), _SUMS).repartition(n_partitions, "home").mapInArrow(_summed, "key bigint, score bigint, n_words bigint")
     out = sums.groupBy("key").agg((F.sum("score") / UNIT).alias("log_score"), F.sum("n_words").alias("n_words"))
     if unique:
         rows = out.withColumnRenamed("key", "doc_id")

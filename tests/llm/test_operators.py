@@ -135,6 +135,15 @@ def test_lm_scores(spark, odd, empty):
     assert lm_scores.score_documents(empty).count() == 0
 
 
+def test_rare_words_keep_their_counts_in_a_large_corpus(spark):
+    """Over 2**21 tokens: words that occur twice are not merged."""
+    rows = [(i, "the " * 22_000) for i in range(100)] + [(100, "rare rare"), (101, "seldom seldom")]
+    n = 100 * 22_000 + 4
+    got = {r["doc_id"]: r["log_score"] for r in lm_scores.score_documents(documents(spark, rows)).where("doc_id >= 100").collect()}
+    want = round((round(4096 * math.log(2 / n)) + round(4096 * math.log(0.4 * 2 / n))) / 4096, 4)
+    assert got == {100: want, 101: want}
+
+
 # 3 licences
 
 
