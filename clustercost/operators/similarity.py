@@ -9,9 +9,11 @@ from __future__ import annotations
 
 from collections.abc import Callable, Iterator
 from dataclasses import dataclass
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
+from pyspark import Broadcast
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -60,20 +62,31 @@ def cosine(a: Column, b: Column) -> Column:
 class Cosine(Similarity):
     """Cosine above ``theta`` (strictly).
 
-    The left side travels to every task in row blocks of checked size and meets the right
-    side's Arrow batches as matrix products, so nothing but positive pairs is shuffled; the
-    work is |left| x |right| and belongs to samples or moderate tables.
+    The left side travels to every task in row blocks and meets the right side's Arrow batches
+    as matrix products, so nothing but positive pairs is shuffled.  A left side of more than
+    ``broadcast_rows`` rows is dealt by a hash of its ids into blocks of about that size, which are
+    taken one after the other, their pairs written and joined to one table; the driver holds
+    one block at a time.  The work is |left| x |right| at any size.
     """
 
     column: str
     theta: float
     block_rows: int = 4096
-    most_left: int = 200_000
+    broadcast_rows: int = 200_000
 
     def scored_between(self, left: DataFrame, right: DataFrame, ordered: bool = False) -> DataFrame:
+        blocks = -(-left.count() // self.broadcast_rows)
+        if blocks < 2:
+            return self._scored_block(left, right, ordered)[0]
+        parts = []
+        for k in range(blocks):
+            scored, shared = self._scored_block(left.where(F.pmod(F.xxhash64("id"), F.lit(blocks)) == k), right, ordered)
+            parts.append(checkpointed(scored))
+            shared.unpersist()
+        return reduce(DataFrame.unionByName, parts)
+
+    def _scored_block(self, left: DataFrame, right: DataFrame, ordered: bool) -> tuple[DataFrame, Broadcast]:
         theta, column = self.theta, self.column
-        if left.limit(self.most_left + 1).count() > self.most_left:
-            raise ValueError(f"cosine join: the left side has over {self.most_left} vectors; sample it, or raise the limit knowingly")
         got = left.select("id", column).where(F.col(column).isNotNull()).toArrow()
         ids = got.column("id").to_numpy()
         matrix = _unit(got.column(column).combine_chunks() if isinstance(got.column(column), pa.ChunkedArray) else got.column(column), len(ids))
@@ -93,7 +106,7 @@ class Cosine(Similarity):
                     i, j = i[keep], j[keep]
                     yield pa.RecordBatch.from_arrays([pa.array(mine[a + i]), pa.array(yours[j]), pa.array(score[i, j])], names=["id", "near", "score"])
 
-        return right.select("id", column).mapInArrow(run, "id bigint, near bigint, score double")
+        return right.select("id", column).mapInArrow(run, "id bigint, near bigint, score double"), shared
 
     def pairs_between(self, left: DataFrame, right: DataFrame) -> DataFrame:
         return self.scored_between(left, right).select("id", "near")

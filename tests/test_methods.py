@@ -179,6 +179,16 @@ def test_disjointness_gadget(spark, x, y):
     assert optimum.optimum_of(len(ids), edges) == sum(a == b == "1" for a, b in zip(x, y, strict=True))
 
 
+def test_cosine_takes_a_left_side_of_many_blocks(spark):
+    rng = random.Random(4)
+    v = spark.createDataFrame([(i, [rng.gauss(0, 1) for _ in range(4)] if i % 10 else None) for i in range(60)], "id bigint, e array<double>").persist()
+    whole = sorted(tuple(r) for r in Cosine("e", 0.5).pairs(v).collect())
+    assert whole and sorted(tuple(r) for r in Cosine("e", 0.5, broadcast_rows=7).pairs(v).collect()) == whole
+    vectors = {r["id"]: r["e"] for r in v.where("e IS NOT NULL").collect()}
+    unit = lambda x: [y / sum(z * z for z in x) ** 0.5 for y in x]
+    assert whole == [(a, b) for a in sorted(vectors) for b in sorted(vectors) if a < b and sum(x * y for x, y in zip(unit(vectors[a]), unit(vectors[b]), strict=True)) > 0.5]
+
+
 def test_similarities_on_odd_rows(spark):
     v = spark.createDataFrame([(1, [1.0, 0.0]), (2, [2.0, 0.0]), (3, [0.0, 0.0]), (4, None), (5, [0.0, 1.0])], "id bigint, e array<double>")
     assert [tuple(r) for r in Cosine("e", 0.5).pairs(v).collect()] == [(1, 2)]
