@@ -148,6 +148,16 @@ def _(spark, sf):
     return k.join(F.broadcast(p), (F.col("key") > F.col("lo")) & (F.col("key") < F.col("hi"))).select("x", "id")
 
 
+@op("join_interval_whole", f"WITH k AS (SELECT vec_id AS id, {KEY} AS key FROM embeddings), p AS (SELECT id AS x, key AS hi, lag(key, 40) OVER (ORDER BY key) AS lo FROM k) SELECT p.x, k.id FROM p JOIN k ON k.key > p.lo AND k.key < p.hi")
+def _(spark, sf):
+    """Every vector probes: an interval meets the cells of the key's first three digits that it touches."""
+    cell = lambda key: F.conv(F.substring(key, 1, 3), 16, 10).cast("int")
+    k = checkpointed(_keys(spark, sf))
+    p = k.select(F.col("id").alias("x"), F.col("key").alias("hi"), F.lag("key", 40).over(Window.orderBy("key")).alias("lo")).where("lo IS NOT NULL")
+    touched = p.select("x", "lo", "hi", F.explode(F.sequence(cell(F.col("lo")), cell(F.col("hi")))).alias("cell"))
+    return k.withColumn("cell", cell(F.col("key"))).join(touched, "cell").where("key > lo AND key < hi").select("x", "id")
+
+
 @op("join_asof", "SELECT event_id, coalesce((SELECT max_by(b.event_id, (b.ts, b.event_id)) FROM events b WHERE b.user_id = a.user_id AND (b.ts < a.ts OR b.ts = a.ts AND b.event_id < a.event_id)), -1) AS earlier FROM events a")
 def _(spark, sf):
     w = Window.partitionBy("user_id").orderBy("ts", "event_id").rowsBetween(Window.unboundedPreceding, -1)
@@ -179,6 +189,13 @@ def _(spark, sf):
     return a.join(b, "k", "full").select("k", F.coalesce("n", F.lit(0)).alias("n"), F.coalesce("m", F.lit(0)).alias("m"))
 
 
+@op("join_full_outer_whole", "WITH a AS (SELECT c_nationkey AS k, count(*) AS n FROM customer GROUP BY 1), b AS (SELECT s_nationkey AS k, count(*) AS m FROM supplier GROUP BY 1) SELECT coalesce(a.k, b.k) AS k, coalesce(n, 0)::BIGINT AS n, coalesce(m, 0)::BIGINT AS m FROM a FULL JOIN b ON a.k = b.k")
+def _(spark, sf):
+    a = table(spark, sf, "customer").groupBy(F.col("c_nationkey").alias("k")).agg(F.count("*").alias("n"))
+    b = table(spark, sf, "supplier").groupBy(F.col("s_nationkey").alias("k")).agg(F.count("*").alias("m"))
+    return a.join(b, "k", "full").select("k", F.coalesce("n", F.lit(0)).alias("n"), F.coalesce("m", F.lit(0)).alias("m"))
+
+
 @op("join_self", "SELECT a.l_partkey AS u, b.l_partkey AS v, count(DISTINCT a.l_orderkey) AS orders FROM lineitem a JOIN lineitem b ON a.l_orderkey = b.l_orderkey AND a.l_partkey < b.l_partkey GROUP BY ALL HAVING count(DISTINCT a.l_orderkey) >= 2")
 def _(spark, sf):
     rows = table(spark, sf, "lineitem").select("l_orderkey", "l_partkey").distinct()
@@ -366,6 +383,10 @@ def _two(spark: SparkSession, sf: str) -> tuple[DataFrame, DataFrame]:
     return table(spark, sf, "customer").where("c_custkey < 40").select(F.col("c_nationkey").alias("k")), table(spark, sf, "supplier").where("s_suppkey < 40").select(F.col("s_nationkey").alias("k"))
 
 
+def _two_whole(spark: SparkSession, sf: str) -> tuple[DataFrame, DataFrame]:
+    return table(spark, sf, "customer").select(F.col("c_nationkey").alias("k")), table(spark, sf, "supplier").select(F.col("s_nationkey").alias("k"))
+
+
 for _name, _word, _f in (
     ("set_union", "UNION", lambda a, b: a.union(b).distinct()),
     ("set_union_all", "UNION ALL", lambda a, b: a.unionAll(b)),
@@ -375,6 +396,7 @@ for _name, _word, _f in (
     ("set_intersect_all", "INTERSECT ALL", lambda a, b: a.intersectAll(b)),
 ):
     op(_name, f"{_A} {_word} {_B}")(lambda spark, sf, f=_f: f(*_two(spark, sf)))
+    op(f"{_name}_whole", f"SELECT c_nationkey AS k FROM customer {_word} SELECT s_nationkey AS k FROM supplier")(lambda spark, sf, f=_f: f(*_two_whole(spark, sf)))
 
 
 @op("mismatch_set_difference", o.query(o.GRAPH["emb3"], o.trials([("s", 5, 0.1)]), o.fold(), o.BUDGETED, "mp AS (SELECT a.id AS u, b.id AS v FROM exact a JOIN exact b ON a.id < b.id LEFT JOIN pairs p ON p.u = a.id AND p.v = b.id WHERE (p.u IS NOT NULL) = (a.pivot <> b.pivot))", "mb AS (SELECT a.id AS u, b.id AS v FROM labels a JOIN labels b ON a.id < b.id LEFT JOIN pairs p ON p.u = a.id AND p.v = b.id WHERE (p.u IS NOT NULL) = (a.pivot <> b.pivot))", "SELECT u, v FROM mp EXCEPT SELECT u, v FROM mb"))
@@ -441,6 +463,11 @@ def _(spark, sf):
     return table(spark, sf, "embeddings").where("vec_id < 20").select(F.col("vec_id").alias("id"), F.posexplode("embedding")).select("id", F.col("pos").cast("bigint").alias("place"), F.round(F.col("col").cast("double"), 9).alias("x"))
 
 
+@op("arr_explode_whole", "SELECT vec_id AS id, i - 1 AS place, round(embedding[i]::DOUBLE, 9) AS x FROM (SELECT vec_id, embedding, unnest(range(1, len(embedding) + 1)) AS i FROM embeddings)")
+def _(spark, sf):
+    return table(spark, sf, "embeddings").select(F.col("vec_id").alias("id"), F.posexplode("embedding")).select("id", F.col("pos").cast("bigint").alias("place"), F.round(F.col("col").cast("double"), 9).alias("x"))
+
+
 @op("map_sparse_l1", "SELECT a.doc_id, (abs(4 * (a.doc_id - b.doc_id) + a.quality - b.quality) + abs(a.toxic - b.toxic))::DOUBLE AS distance FROM labels a JOIN labels b ON b.doc_id > a.doc_id AND b.doc_id <= a.doc_id + 3")
 def _(spark, sf):
     points = table(spark, sf, "labels").select("doc_id", F.create_map(F.lit(0), (4 * F.col("doc_id") + F.col("quality")).cast("double"), F.lit(1), F.col("toxic").cast("double")).alias("x"))

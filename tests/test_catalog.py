@@ -1,6 +1,7 @@
 """Every registered query with SQL, over the smallest tables."""
 
 import pytest
+from pyspark.sql import functions as F
 
 from clustercost import catalog
 from tests.compare import connect, rows_of, sql_rows
@@ -19,3 +20,17 @@ def test_same_rows(spark, sf, tables, name):
 @pytest.mark.parametrize("name", sorted(set(catalog.QUERIES) - set(catalog.ORACLES)))
 def test_runs(spark, sf, name):
     assert catalog.QUERIES[name](spark, sf).columns
+
+
+WHOLE = ("join_full_outer", "join_interval", "arr_explode", "set_union_all")
+
+
+@pytest.mark.parametrize("name", WHOLE)
+def test_whole_tables_are_read(spark, sf, name):
+    """The whole forms hold more than the forms over few ids."""
+    part, whole = (catalog.QUERIES[f"op_{name}{x}"](spark, sf) for x in ("", "_whole"))
+    if name == "join_full_outer":
+        part, whole = (x.agg(F.sum("n").alias("n")) for x in (part, whole))
+        assert whole.first()["n"] == spark.read.parquet(f"{sf}/customer.parquet").count() > part.first()["n"]
+    else:
+        assert whole.count() > part.count()
