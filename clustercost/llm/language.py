@@ -120,7 +120,7 @@ def _evidence(batches: Iterator[pa.RecordBatch], model: TextModel) -> Iterator[p
 def evidence(pages: DataFrame, model: TextModel) -> DataFrame:
     """``page_id, host, domain, suffix, evidence``: log evidence by language without the host."""
     host = host_of(F.col("url"))
-    rows = pages.select("page_id", F.col("html").cast("string").alias("html"), F.regexp_extract(F.substring("html", 1, 4096), r"""(?i)<html[^>]*\blang\s*=\s*["']?([A-Za-z]{2})""", 1).alias("declared"), F.regexp_extract("url", r"^[^?#]*?://[^/]+/(?:.*/)?([a-z]{2})(?:/|$)", 1).alias("path"), F.regexp_extract(host, r"([^.]+)$", 1).alias("suffix"), host.alias("host"), F.regexp_extract(host, r"([^.]+\.[^.]+)$", 1).alias("domain"))
+    rows = pages.select("page_id", F.col("html").cast("string").alias("html"), F.regexp_extract(F.col("html").cast("string"), r"""(?i)<html[^>]*\blang\s*=\s*["']?([A-Za-z]{2})""", 1).alias("declared"), F.regexp_extract("url", r"^[^?#]*?://[^/]+/(?:.*/)?([a-z]{2})(?:/|$)", 1).alias("path"), F.regexp_extract(host, r"([^.]+)$", 1).alias("suffix"), host.alias("host"), F.regexp_extract(host, r"([^.]+\.[^.]+)$", 1).alias("domain"))
     return rows.mapInArrow(lambda it: _evidence(it, model), "page_id bigint, host string, domain string, suffix string, evidence array<double>")
 
 

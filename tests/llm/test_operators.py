@@ -101,6 +101,15 @@ def test_host_prior_decides_where_pages_say_nothing(spark, docs):
     assert got.where("page_id = 99").first()["lang"] == "es"
 
 
+def test_a_declaration_behind_a_long_banner_counts(spark, docs):
+    model = language.fit_text(docs)
+    banner = "<!--" + "x" * 10_000 + "-->"
+    rows = [(1, "http://h.example.com/1", banner + "<html lang='es'></html>"), (2, "http://h.example.com/2", "<html lang='es'></html>")]
+    got = {r["page_id"]: r["evidence"] for r in language.evidence(spark.createDataFrame(rows, "page_id bigint, url string, html string"), model).collect()}
+    told = [math.log(language.TRUST_MARKUP if x == "es" else (1 - language.TRUST_MARKUP) / 3) for x in language.LANGS]
+    assert np.allclose(np.array(got[1]) - np.mean(got[1]), np.array(told) - np.mean(told), atol=1) and int(np.argmax(got[1])) == int(np.argmax(got[2])) == language.LANGS.index("es")
+
+
 # 2 language model
 
 
