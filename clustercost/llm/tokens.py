@@ -125,9 +125,21 @@ class Words:
         self.count = np.diff(np.append(self.first, len(self.start)))
         self.row = np.repeat(np.arange(self.rows), self.count)
 
+    def pieces(self, most: int = 1 << 16) -> Iterator[tuple[int, int]]:
+        """Runs of words whose bytes number about ``most``: arrays over a run's bytes stay small and in cache."""
+        at = 0
+        while at < len(self.start):
+            to = max(at + 1, int(np.searchsorted(self.end, self.start[at] + most, "right")))
+            yield at, to
+            at = to
+
     def hashes(self, seed: int = 1) -> np.ndarray:
         """A 64-bit hash of each word's bytes and length."""
-        return span_hashes(byte_values(seed)[self.data], self.start, self.end)
+        table, out = byte_values(seed), np.empty(len(self.start), U)
+        for a, b in self.pieces():
+            low = self.start[a]
+            out[a:b] = Spans(table[self.data[low : self.end[b - 1]]])(self.start[a:b] - low, self.end[a:b] - low)
+        return out
 
     def windows(self, values: np.ndarray, size: int) -> tuple[np.ndarray, np.ndarray]:
         """First words and hashes of all runs of ``size`` words inside one row."""
@@ -138,13 +150,23 @@ class Words:
         return at, span_hashes(values, at, at + size)
 
 
+class Spans:
+    """Hashes of any spans of a value array, from one array of prefix sums."""
+
+    def __init__(self, values: np.ndarray):
+        n = len(values)
+        self.prefix = np.empty(n + 1, U)
+        self.prefix[0] = 0
+        np.cumsum(values * powers(n), out=self.prefix[1:])
+        self.back = inverse_powers(n + 1)
+
+    def __call__(self, start: np.ndarray, end: np.ndarray) -> np.ndarray:
+        raw = (self.prefix[end] - self.prefix[start]) * self.back[start]
+        return mix(raw + (end - start).astype(U))
+
+
 def span_hashes(values: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
-    n = len(values)
-    prefix = np.empty(n + 1, U)
-    prefix[0] = 0
-    np.cumsum(values * powers(n), out=prefix[1:])
-    raw = (prefix[end] - prefix[start]) * inverse_powers(n + 1)[start]
-    return mix(raw + (end - start).astype(U))
+    return Spans(values)(start, end)
 
 
 def covered(n: int, start: np.ndarray, size: int | np.ndarray) -> np.ndarray:
