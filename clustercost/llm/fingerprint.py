@@ -21,6 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .exchange import arrow_map
 from .tokens import U, mix
 
 #: Two primes below 2**31 and the bases.
@@ -69,17 +70,18 @@ class PrefixArrays:
         a = self.spans(np.array([i, j]), np.array([i + size, j + size]))
         return bool(a[0] == a[1])
 
-    def common_extension(self, i: int, j: int) -> int:
-        """Length of the longest common extension to the right of two places."""
-        low, high = 0, self.n - max(i, j)
-        while low < high:
+    def common_extensions(self, i: np.ndarray, j: np.ndarray, most: np.ndarray) -> np.ndarray:
+        """Lengths of the longest common extensions to the right of pairs of places, up to ``most``, by binary search."""
+        low, high = np.zeros(len(i), np.int64), np.array(most, np.int64)
+        while (low < high).any():
             half = (low + high + 1) // 2
-            low, high = (half, high) if self.equal(i, j, half) else (low, half - 1)
+            same = self.spans(i, i + half) == self.spans(j, j + half)
+            low, high = np.where(same, half, low), np.where(same, high, half - 1)
         return low
 
 
-def sketch(texts: list[str], span: int = SPAN) -> tuple[np.ndarray, np.ndarray]:
-    """Whole-text hashes (2 per text) and span sketches (texts x classes, 16 bits; -1 where empty)."""
+def sketch(texts: list[str], span: int = SPAN) -> tuple[np.ndarray, np.ndarray, PrefixArrays, np.ndarray]:
+    """Whole-text hashes (2 per text), span sketches (texts x classes, 16 bits; -1 where empty), the prefix arrays and the texts' places."""
     size = np.array([len(x) for x in texts], np.int64)
     codes = np.frombuffer("".join(texts).encode("utf-32-le", "surrogatepass"), "<u4")
     arrays = PrefixArrays(codes)
@@ -97,7 +99,7 @@ def sketch(texts: list[str], span: int = SPAN) -> tuple[np.ndarray, np.ndarray]:
         h = mix(arrays.spans(at, at + width[row]))
         np.minimum.at(low, row * CLASSES + (h >> U(58)).astype(np.int64), h << U(6))
     marks = np.where(low == np.iinfo(np.uint64).max, -1, ((mix(low) >> U(48)).astype(np.int64)))
-    return whole, marks.reshape(len(texts), CLASSES)
+    return whole, marks.reshape(len(texts), CLASSES), arrays, start
 
 
 def fingerprints(whole: np.ndarray, marks: np.ndarray) -> list[str]:
@@ -125,32 +127,29 @@ def _rows(batches: Iterator[pa.RecordBatch], most_chars: int = 400_000) -> Itera
         pairs = [(rows[i], rows[i + 1]) for i in range(len(rows) - 1) if not rows[i][1] and rows[i][0] == rows[i + 1][0]]
         if not pairs:
             return
-        texts = [a[3] for a, _ in pairs]
-        after = [b[3] for _, b in pairs]
+        texts, after = [a[3] for a, _ in pairs], [b[3] for _, b in pairs]
         new = [edited(a, b) for a, b in zip(texts, after, strict=True)]
         n = len(texts)
-        whole, marks = sketch([*texts, after[-1], *new])
-        # the next row's sketch is at hand when it is the next pair's text
-        following = np.array([i + 1 if (i + 1 < n and pairs[i + 1][0] is pairs[i][1]) or i + 1 == n else -1 for i in range(n)])
-        if (following < 0).any():
-            extra = np.flatnonzero(following < 0)
-            w2, m2 = sketch([after[i] for i in extra])
-            following[extra] = len(whole) + np.arange(len(extra))
-            whole_all, marks_all = np.concatenate([whole, w2]), np.concatenate([marks, m2])
-        else:
-            whole_all, marks_all = whole, marks
-        mine, yours = (whole[:n], marks[:n]), (whole[n + 1 : 2 * n + 1], marks[n + 1 : 2 * n + 1])
+        # a pair's next text is mostly the next pair's own; others are sketched beside them
+        following = np.array([i + 1 if i + 1 < n and pairs[i + 1][0] is pairs[i][1] else -1 for i in range(n)])
+        extra = np.flatnonzero(following < 0)
+        following[extra] = 2 * n + np.arange(len(extra))
+        whole, marks, arrays, start = sketch([*texts, *new, *(after[i] for i in extra)])
+        mine, yours, theirs = np.arange(n), n + np.arange(n), following
+        size = np.array([len(x) for x in texts], np.int64)
+        near = [likeness(whole[mine], marks[mine], whole[x], marks[x]) for x in (yours, theirs)]
+        common = [arrays.common_extensions(start[mine], start[x], np.minimum(size, y)) for x, y in ((yours, [len(x) for x in new]), (theirs, [len(x) for x in after]))]
         yield pa.RecordBatch.from_arrays(
             [
                 pa.array([a[2] for a, _ in pairs], pa.int64()),
-                pa.array([len(x) for x in texts], pa.int64()),
+                pa.array(size),
                 pa.array([hashlib.sha256(x.encode("utf-8", "surrogatepass")).hexdigest() for x in new]),
-                pa.array(fingerprints(*mine)),
-                pa.array(fingerprints(*yours)),
-                pa.array(likeness(*mine, *yours)),
-                pa.array(likeness(*mine, whole_all[following], marks_all[following])),
+                pa.array(fingerprints(whole[mine], marks[mine])),
+                pa.array(fingerprints(whole[yours], marks[yours])),
+                *map(pa.array, near),
+                *map(pa.array, common),
             ],
-            names=["doc_id", "n_chars", "edited_sha256", "fingerprint", "edited_fingerprint", "near_edited", "near_next"],
+            names=["doc_id", "n_chars", "edited_sha256", "fingerprint", "edited_fingerprint", "near_edited", "near_next", "common_edited", "common_next"],
         )
 
     for batch in batches:
@@ -166,7 +165,10 @@ def _rows(batches: Iterator[pa.RecordBatch], most_chars: int = 400_000) -> Itera
 
 
 def fingerprint_documents(documents: DataFrame, per_partition: int = 4) -> DataFrame:
-    """Per document row: ``doc_id, n_chars, edited_sha256, fingerprint, edited_fingerprint, near_edited, near_next``.
+    """Per document row: ``doc_id, n_chars, edited_sha256, fingerprint, edited_fingerprint, near_edited, near_next, common_edited, common_next``.
+
+    ``near_*`` are likenesses of fingerprints, ``common_*`` the lengths of the longest common
+    beginnings with the edited and the next text, by binary search over span equality.
 
     The edited text is the text whose last half gives way to the beginning of the next
     document's, in descending order of doc_id; after the last comes the first.  A null
@@ -216,4 +218,4 @@ def fingerprint_documents(documents: DataFrame, per_partition: int = 4) -> DataF
     tail = F.col("to") < 0
     dealt = dealt.select(F.when(tail, -1 - F.col("to")).otherwise(F.col("to")).alias("bucket"), tail.alias("tail"), "doc_id", "text")
     order = dealt.repartition(n_partitions, "bucket").sortWithinPartitions("bucket", "tail", F.desc(F.coalesce("doc_id", F.lit(-(2**63)))), F.desc(F.xxhash64("text")))
-    return order.mapInArrow(_rows, "doc_id bigint, n_chars bigint, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double")
+    return arrow_map(order, _rows, "doc_id bigint, n_chars bigint, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double, common_edited bigint, common_next bigint")
