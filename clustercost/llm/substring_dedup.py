@@ -1,21 +1,25 @@
-"""Removal of long repeated passages by token k-mers and their source coordinates.
+"""Removal of long repeated passages by a compacted de Bruijn graph of token k-mers.
 
-Every run of ``window`` words is an edge of the token de Bruijn graph.  Edges are compacted
-and thinned without loss before anything is joined:
+A run of ``window`` words is an edge of the graph; its first and last ``window - 1`` words are the
+nodes it joins.  Only edges that occur twice matter, and neighbouring edges are handled together
+wherever that loses nothing:
 
 1. each edge is represented by its smallest inner seed (a run of ``seed`` words).  Equal
    edges have equal smallest seeds, so an edge repeats only if its smallest seed occurs at
    two places; about one word in ten yields a seed, and their counts are one aggregation;
-2. consecutive edges with one smallest seed compact to a *path*, a nonbranching piece of the
-   text with a source coordinate ``(doc, start, edges)``.  Paths of repeated seeds are
-   counted by content and joined to their counts: a path that occurs twice has only
-   repeated edges.  This settles nearly all of them;
-3. what is left are paths cut by the border of a repeated passage.  Their single edges are
-   counted among all edges of the same seeds, and joined back to their coordinates;
-4. spans of both kinds meet their texts by key, are verified to lie inside it, and their
-   words go.
-
-Seeds and paths of interest travel as filters of bounded size that never lose a member; what
+2. consecutive edges with one smallest seed are a *piece* of the text with a source coordinate
+   ``(doc, start, edges)``.  Pieces of repeated seeds are counted by content; a piece that occurs
+   twice has only repeated edges, and is an *arc* of the graph.  Of the other pieces, those cut by the
+   border of a repeated passage, each single edge that occurs twice is an arc of its own;
+3. arcs compact to paths by Spark joins (``compacted``): coordinates joined to coordinates tell which
+   arcs follow which; an arc with one successor only, which has that one predecessor only (where
+   a text that stops repeating counts as a neighbour), continues its path; pointer jumping
+   finds the path's first arc and its length in a logarithmic number of joins;
+4. the arcs of a path always occur together, so each coordinate of a path's first arc is one
+   long repeated span.  Spans meet their texts by key, the words at the coordinate are verified to be
+   the arc's by their hash, and the span's words go.
+
+Seeds, pieces and marked documents travel as filters of bounded size that never lose a member; what
 they pass in error is decided by exact counts.  Counts, candidates and removal cover all
 rows; no group is gathered in one task beyond the spans of one document.
 """
@@ -28,12 +32,13 @@ from collections.abc import Callable, Iterator
 from itertools import compress
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .exchange import HashFilter, checkpointed, hash_filter, row_key
-from .tokens import SPACE_WORDS, U, Words, blocks, covered, span_hashes, text_bytes
+from .exchange import HashFilter, arrow_map, checkpointed, fresh, hash_filter, row_key
+from .tokens import SPACE_WORDS, Spans, U, Words, blocks, covered, span_hashes, text_bytes
 
 WINDOW = 35
 SEED = 16
@@ -133,34 +138,82 @@ def keyed(documents: DataFrame) -> DataFrame:
     return documents.select(ids, key.alias("row_key"), F.col("text").cast("string").alias("text"))
 
 
-def paths(docs: DataFrame, window: int = WINDOW, seed: int = SEED) -> DataFrame:
-    """Compacted candidate paths ``seed, content, doc_id, row_key, start, edges`` of ``keyed`` rows.
+def pieces(docs: DataFrame, window: int = WINDOW, seed: int = SEED) -> DataFrame:
+    """Candidate pieces ``seed, content, doc_id, row_key, start, edges`` of ``keyed`` rows.
 
-    Holds every path of every repeated seed, and few others.
+    Holds every piece of every repeated seed, and few others.
     """
-    seeds = docs.select("text").mapInArrow(lambda it: _seed_rows(it, window, seed), "seed bigint")
+    seeds = arrow_map(docs.select("text"), lambda it: _seed_rows(it, window, seed), "seed bigint")
     repeated = checkpointed(seeds.groupBy("seed").agg(F.count("*").alias("n")).where("n > 1").select("seed"))
     keep = docs.sparkSession.sparkContext.broadcast(hash_filter(repeated, "seed"))
-    return docs.mapInArrow(lambda it: _path_rows(it, window, seed, keep.value), "seed bigint, content bigint, doc_id bigint, row_key bigint, start int, edges int")
+    return arrow_map(docs, lambda it: _path_rows(it, window, seed, keep.value), "seed bigint, content bigint, doc_id bigint, row_key bigint, start int, edges int")
 
 
-def repeated_spans(docs: DataFrame, window: int = WINDOW, seed: int = SEED) -> DataFrame:
-    """Coordinates ``doc_id, row_key, start, edges`` of repeated edges, in runs of consecutive ones.
+def arcs(docs: DataFrame, window: int = WINDOW, seed: int = SEED) -> DataFrame:
+    """Coordinates ``arc, doc_id, row_key, start, edges`` of all repeated edges: whole pieces, and single edges of other pieces.
 
     Counts are written before they are joined, so that both sides of a join are plain
     exchanges, whose hot keys Spark can split.
     """
     context = docs.sparkSession.sparkContext
-    seed = max(1, min(seed, window))
-    found = paths(docs, window, seed)
+    found = pieces(docs, window, seed)
     counts = checkpointed(found.groupBy("seed", "content").agg(F.count("*").alias("n")))
     single = counts.where("n = 1")
     seeds, contents = context.broadcast(hash_filter(single, "seed")), context.broadcast(hash_filter(single, "content"))
-    whole = found.join(counts.where("n > 1").select("seed", "content"), ["seed", "content"]).select("doc_id", "row_key", "start", "edges")
-    edges = docs.mapInArrow(lambda it: _edge_rows(it, window, seed, seeds.value, None), "edge bigint, check int")
+    whole = found.join(counts.where("n > 1").select("seed", "content"), ["seed", "content"]).select(F.col("content").alias("arc"), "doc_id", "row_key", "start", "edges")
+    edges = arrow_map(docs, lambda it: _edge_rows(it, window, seed, seeds.value, None), "edge bigint, check int")
     again = checkpointed(edges.groupBy("edge", "check").agg(F.count("*").alias("n")).where("n > 1").select("edge", "check"))
-    border = docs.mapInArrow(lambda it: _edge_rows(it, window, seed, seeds.value, contents.value), "edge bigint, check int, doc_id bigint, row_key bigint, start int, edges int")
-    return whole.unionByName(border.join(again, ["edge", "check"]).select("doc_id", "row_key", "start", "edges"))
+    border = arrow_map(docs, lambda it: _edge_rows(it, window, seed, seeds.value, contents.value), "edge bigint, check int, doc_id bigint, row_key bigint, start int, edges int")
+    return whole.unionByName(border.join(again, ["edge", "check"]).select(F.col("edge").alias("arc"), "doc_id", "row_key", "start", "edges"))
+
+
+def compacted(occurrences: DataFrame, most_rounds: int = 64) -> DataFrame:
+    """``arc, path``: the number of edges of the path that an arc begins, or 0 where it continues one; arcs on their own are not listed.
+
+    ``occurrences`` are distinct rows ``arc, doc_id, row_key, start, edges``.  An arc continues a path
+    if every occurrence of it follows one and the same arc, every occurrence of which it follows.
+    """
+    here = occurrences.select("doc_id", "row_key", (F.col("start") + F.col("edges")).alias("at"), "arc", "edges")
+    after = occurrences.select("doc_id", "row_key", F.col("start").alias("at"), F.col("arc").alias("next"), F.col("edges").alias("more"))
+    steps = checkpointed(here.join(after, ["doc_id", "row_key", "at"], "full").groupBy("arc", "next").agg(F.first("edges").alias("edges"), F.first("more").alias("more")))
+    onward = steps.where("arc IS NOT NULL").groupBy("arc").agg(F.count("*").alias("n"), F.first("next").alias("next")).where("n = 1 AND next IS NOT NULL").select("arc", "next")
+    back = steps.where("next IS NOT NULL").groupBy("next").agg(F.count("*").alias("n"), F.first("arc").alias("arc")).where("n = 1 AND arc IS NOT NULL").select("arc", "next")
+    linked = onward.join(back, ["arc", "next"]).join(steps, ["arc", "next"])
+    up = checkpointed(linked.select(F.col("next").alias("arc"), F.col("arc").alias("head"), F.col("edges").cast("bigint").alias("before"), "more"))
+    for _ in range(most_rounds):
+        far = up.select(F.col("arc").alias("head"), F.col("head").alias("higher"), F.col("before").alias("further"))
+        up = checkpointed(up.join(far, "head", "left").select("arc", F.coalesce("higher", "head").alias("head"), (F.col("before") + F.coalesce("further", F.lit(0))).alias("before"), "more", F.col("higher").isNotNull().alias("moved")))
+        if up.where("moved").isEmpty():
+            begun = up.groupBy("head").agg(F.max(F.col("before") + F.col("more")).alias("path")).select(F.col("head").alias("arc"), "path")
+            return begun.unionByName(up.select("arc", F.lit(0).cast("bigint").alias("path")))
+        up = up.drop("moved")
+    raise RuntimeError("paths still grow after the allowed rounds")
+
+
+def repeated_spans(docs: DataFrame, window: int = WINDOW, seed: int = SEED) -> DataFrame:
+    """Coordinates ``doc_id, row_key, start, edges, arc, first`` of repeated paths, and their first arcs with their numbers of edges."""
+    found = arcs(docs, window, max(1, min(seed, window)))
+    found = checkpointed(found if _ids_are_unique(docs) else found.distinct())
+    fates = checkpointed(compacted(found))
+    spans = found.join(fates, "arc", "left").where("path IS NULL OR path > 0")
+    return spans.select("doc_id", "row_key", "start", F.coalesce(F.col("path").cast("int"), F.col("edges")).alias("edges"), "arc", F.col("edges").alias("first"))
+
+
+def _ids_are_unique(docs: DataFrame) -> bool:
+    return docs.where("row_key <> 0").isEmpty()
+
+
+def _marks(docs: DataFrame, window: int, seed: int) -> tuple[DataFrame, Callable[[Column, Column], Column]]:
+    """(``doc_id, row_key, spans`` by document, a test of ids and keys that no document with spans fails)."""
+    spans = repeated_spans(docs, window, seed)
+    marks = checkpointed(spans.groupBy("doc_id", "row_key").agg(F.collect_list(F.struct("start", "edges", "arc", "first")).alias("spans")))
+    keep = docs.sparkSession.sparkContext.broadcast(hash_filter(marks.select(F.xxhash64("doc_id", "row_key").alias("h")), "h"))
+
+    @F.pandas_udf("boolean")
+    def marked(h: pd.Series) -> pd.Series:
+        return pd.Series(keep.value.passes(h.to_numpy(np.int64).view(U)))
+
+    return marks, lambda doc_id, key: marked(F.xxhash64(doc_id, key))
 
 
 def _squeezed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -170,70 +223,87 @@ def _squeezed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(texts, pa.binary())], names=["doc_id", "row_key", "text"])
 
 
+def _cut(raw: bytes, spans: pa.StructArray | None, window: int) -> tuple[list[bytes], list[bytes]]:
+    """The words of a text, and those that stay.  Every span's first arc is looked for at its coordinate."""
+    words = raw.split()
+    if spans is None or not len(spans):
+        return words, words
+    start, edges, arc, first = (spans.field(x).to_numpy(zero_copy_only=False) for x in ("start", "edges", "arc", "first"))
+    found = Words(np.frombuffer(raw, np.uint8), np.array([0, len(raw)]), SPACE_WORDS)
+    if len(found.start) != len(words) or (start + edges + window - 1 > len(words)).any() or (Spans(found.hashes())(start, start + first + window - 1) != arc.view(U)).any():
+        raise RuntimeError("a span's words are not at its coordinate: the table of documents changed between two readings of it")
+    return words, list(compress(words, ~covered(len(words), start, edges + (window - 1))))
+
+
 def _kept(batches: Iterator[pa.RecordBatch], window: int) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         ids, keys, texts, spans = (batch.column(i) for i in range(4))
         rows: dict[str, list] = {"n_words": [], "n_removed": [], "kept": []}
+        packed = pa.types.is_binary(texts.type)
         for text, at in zip(texts, spans, strict=True):
-            words = zlib.decompress(text.as_py()).split() if text.is_valid else []
-            gone = 0
-            if at.is_valid and len(at.values):
-                start, count = at.values.field("start").to_numpy(), at.values.field("edges").to_numpy()
-                cut = covered(len(words), start, count + (window - 1))
-                gone = int(cut.sum())
-                kept = list(compress(words, ~cut))
-            else:
-                kept = words
+            raw = b"" if not text.is_valid else zlib.decompress(text.as_py()) if packed else text.as_buffer().to_pybytes()
+            words, kept = _cut(raw, at.values if at.is_valid else None, window)
             rows["n_words"].append(len(words))
-            rows["n_removed"].append(gone)
+            rows["n_removed"].append(len(words) - len(kept))
             rows["kept"].append(b" ".join(kept).decode("utf-8", "surrogatepass"))
         yield pa.RecordBatch.from_arrays([ids, keys, pa.array(rows["n_words"], pa.int64()), pa.array(rows["n_removed"], pa.int64()), pa.array(rows["kept"], pa.string())], names=["doc_id", "row_key", "n_words", "n_removed", "kept"])
 
 
+_SPANS = "array<struct<start:int,edges:int,arc:bigint,first:int>>"
+
+
 def remove_repeats(documents: DataFrame, window: int = WINDOW, seed: int = SEED) -> DataFrame:
     """Per document row: ``doc_id, row_key, n_words, n_removed, kept``.
 
     A word goes if it lies in a run of ``window`` words that also starts anywhere else, the same
     document included; runs are judged on the input.  ``kept`` is the remaining words
-    joined by single spaces.  Null and empty texts have no words.  Repeated rows repeat each
+    joined by single spaces.  Null and empty texts have no words; a null id stays null.  Repeated rows repeat each
     other's runs, so both lose them; rows with one doc_id and different texts are separate rows.
     An empty table gives an empty result; columns other than doc_id and text are not read.
+    There are no ties: all occurrences of a run go.
+
+    Texts without spans are settled where they are read; only the others cross a shuffle.
     """
     docs = keyed(documents)
-    marks = repeated_spans(docs, window, seed).groupBy("doc_id", "row_key").agg(F.collect_set(F.struct("start", "edges")).alias("spans"))
-    squeezed = docs.mapInArrow(_squeezed, "doc_id bigint, row_key bigint, text binary")
+    marks, marked = _marks(docs, window, seed)
+    some = marked(F.col("doc_id"), F.col("row_key"))
+    schema = "doc_id bigint, row_key bigint, n_words bigint, n_removed bigint, kept string"
+    squeezed = arrow_map(docs.where(some), _squeezed, "doc_id bigint, row_key bigint, text binary")
     joined = squeezed.join(marks, ["doc_id", "row_key"], "left").select("doc_id", "row_key", "text", "spans")
-    kept = joined.mapInArrow(lambda it: _kept(it, window), "doc_id bigint, row_key bigint, n_words bigint, n_removed bigint, kept string")
-    return kept.withColumn("doc_id", F.when(F.col("doc_id") != -(2**63), F.col("doc_id")))
+    plain = docs.where(~some).withColumn("spans", F.lit(None).cast(_SPANS))
+    out = arrow_map(joined, lambda it: _kept(it, window), schema).unionByName(arrow_map(plain, lambda it: _kept(it, window), schema))
+    return out.withColumn("doc_id", F.when(F.col("doc_id") != -(2**63), F.col("doc_id")))
 
 
 def without_repeats(documents: DataFrame, window: int = WINDOW, seed: int = SEED) -> DataFrame:
     """``documents`` with the repeated passages taken out of ``text``, and ``n_chars`` to match where there is one.
 
-    Texts that lose nothing, null ones too, stay as they are.
+    Texts that lose nothing, null ones too, stay as they are, and so do all other columns.
     """
-    docs = keyed(documents)
-    unique = docs.select("row_key").where("row_key <> 0").isEmpty()
+    docs, names = keyed(documents), documents.columns
+    marks, marked = _marks(docs, window, seed)
+    row_id, key, spans = (fresh(names, x) for x in ("id of row", "key of row", "spans of row"))
     ids = F.coalesce(F.col("doc_id").cast("bigint"), F.lit(-(2**63)))
-    marks = repeated_spans(docs, window, seed).groupBy("doc_id", "row_key").agg(F.collect_set(F.struct("start", "edges")).alias("spans")).select(F.col("doc_id").alias("marked id"), F.col("row_key").alias("marked key"), "spans")
-    keyed_rows = documents.withColumn("id of row", ids).withColumn("key of row", F.lit(0).cast("bigint") if unique else F.xxhash64(ids, F.col("text").cast("string")))
-    joined = keyed_rows.join(marks, (F.col("id of row") == F.col("marked id")) & (F.col("key of row") == F.col("marked key")), "left").select(*documents.columns, "spans")
-    at, names = documents.columns.index("text"), documents.columns
+    rows = documents.withColumns({row_id: ids, key: F.lit(0).cast("bigint") if _ids_are_unique(docs) else F.xxhash64(ids, F.col("text").cast("string"))})
+    some = marked(F.col(row_id), F.col(key))
+    named = marks.select(F.col("doc_id").alias(row_id), F.col("row_key").alias(key), F.col("spans").alias(spans))
+    joined = rows.where(some).join(named, [row_id, key], "left").select(*names, spans)
+    at = names.index("text")
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             texts = batch.column(at).to_pylist()
-            for i, spans in enumerate(batch.column(len(names))):
-                if spans.is_valid and len(spans.values):
-                    words = texts[i].encode("utf-8", "surrogatepass").split()
-                    gone = covered(len(words), spans.values.field("start").to_numpy(), spans.values.field("edges").to_numpy() + (window - 1))
-                    texts[i] = b" ".join(compress(words, ~gone)).decode("utf-8", "surrogatepass")
+            for i, found in enumerate(batch.column(len(names))):
+                if found.is_valid and len(found.values):
+                    texts[i] = b" ".join(_cut(texts[i].encode("utf-8", "surrogatepass"), found.values, window)[1]).decode("utf-8", "surrogatepass")
             columns = list(batch.columns[: len(names)])
             columns[at] = pa.array(texts, columns[at].type)
             yield pa.RecordBatch.from_arrays(columns, names=names)
 
-    out = joined.mapInArrow(cut, documents.schema)
-    return out.withColumn("n_chars", F.length("text").cast(documents.schema["n_chars"].dataType)) if "n_chars" in names else out
+    out = arrow_map(joined, cut, documents.schema)
+    if "n_chars" in names:
+        out = out.withColumn("n_chars", F.length("text").cast(documents.schema["n_chars"].dataType))
+    return rows.where(~some).select(*names).unionByName(out)
 
 
 def report(documents: DataFrame, window: int = WINDOW) -> DataFrame:
