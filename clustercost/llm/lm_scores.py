@@ -1,288 +1,276 @@
-"""Stupid-backoff scores of whole documents from bigram counts of the whole corpus.
-
-Every word with ``FLOOR`` occurrences or more has a count of its own at any corpus size; the words
-that occur once are one unknown word.  The score of a word after its predecessor is
-``ln(C(prev, word) / C(prev))`` where the bigram occurs ``least`` times or more, and
-``ln(backoff * C(word) / tokens)`` otherwise; a first word has ``ln(C(word) / tokens)``.  Log
-probabilities are held in fixed point (1/4096), so sums are exact integers in whatever order
-they are added.
-
-Words and bigrams are known by 64-bit hashes, and no table of them reaches the driver.  A block of
-documents sends its distinct words with counts, in packed rows, to the hash partitions of the
-unigram table; these answer the block's home, which the block's word sequence goes to, with corpus
-counts.  There documents explode to their distinct bigrams with counts; these travel to the hash
-partition of their bigram in packed rows, one for each (block, bucket).  A partition holds all
-occurrences of its bigrams: it makes its part of the count table, joins it to the exploded rows,
-and sends back, packed for the block's home, each document's gain over the score that it has
-without any counted bigram.  A word or bigram that every document holds is one entry of a
-block or document, so no row or partition grows with a word's frequency.
+"""Stupid-backoff scores of whole documents from the n-gram counts of the whole corpus.
+
+Every n-gram of order 1 to ``order`` has its exact count, whatever the corpus size.  A word after
+its context is scored with the longest n-gram that occurs ``least`` times or more, as
+``backoff**skipped * C(n-gram) / C(its context)``; the last resort is ``C(word) / tokens``.  (An n-gram
+that occurs once occurs in the scored text only, so it is no evidence; ``least`` = 2 passes it over.)
+Log probabilities are held in fixed point (1/4096), so sums are exact integers in whatever order they are added.
+
+The relations are: exploded n-grams ``(block, order, hash, tf)``, distinct in a block of documents;
+count tables ``(order, hash) -> count``, dealt to partitions by ranges of the 64-bit hash; their
+join; and sums by document.  One row of the exploded relation would cost a shuffle some 14 bytes
+and there are over two for every word of the corpus, so rows with one (block, hash range) travel as one packed
+row: sorted hashes as differences, counts as byte planes.
+
+1. ``_asked``: each block explodes to its distinct n-grams, and one packed row goes to each hash range.
+2. ``_answered``: a range holds all occurrences of its n-grams; it sums its part of the count
+   tables, joins it to the packed rows, and answers each block in the order it asked in.
+3. ``_scored``: a block's home meets its word sequence (``_stated``) and its answers, and sums the log
+   probabilities of each document.
+
+An n-gram that every document holds is one entry of a block, so no row or partition grows with its
+frequency.  A block is known by a hash of its contents: if the table changes between its two
+readings the job fails, and never mixes counts.
 """
 
 from __future__ import annotations
 
+import zlib
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .exchange import arrow_map, partitions_for
 from .tokens import ALNUM_WORDS, LOWER, U, Words, blocks, mix, text_bytes
 
-FLOOR = 2
+ORDER = 3
 BACKOFF = 0.4
 LEAST = 2
 UNIT = 4096
+#: n-grams of a hash range that one task holds at a time, about.
+RANGE_ROWS = 6_000_000
+#: Text of a block, in bytes; larger blocks have fewer distinct n-grams, and take some ten times their size in a worker.
+BLOCK_BYTES = 12 << 20
 
+_ROWS = "home int, block bigint, place int, data binary"
 
-def fixed(log_p: np.ndarray) -> np.ndarray:
-    return np.rint(log_p * UNIT).astype(np.int64)
 
+class Block:
+    """A run of whole documents: ids, words, and the distinct n-grams of each order."""
 
-def _blocks(batch: pa.RecordBatch, column: int) -> Iterator[tuple[int, int, Words]]:
-    data, offsets = text_bytes(batch.column(column))
-    for low, high in blocks(offsets, 1 << 21):  # larger blocks pack better
-        yield low, high, Words(LOWER[data[offsets[low] : offsets[high]]], offsets[low : high + 1] - offsets[low], ALNUM_WORDS)
+    def __init__(self, ids: np.ndarray, null: np.ndarray, count: np.ndarray, values: np.ndarray):
+        self.ids, self.null, self.count, self.values = ids, null, count, values
+        self.row = np.repeat(np.arange(len(count), dtype=np.int32), count)
 
+    def runs(self, k: int) -> tuple[np.ndarray, np.ndarray]:
+        """Places of the last words of all runs of ``k`` words inside one document, and the runs' hashes."""
+        n = len(self.values)
+        if n < k:
+            return np.empty(0, np.int64), np.empty(0, U)
+        first = np.flatnonzero(self.row[: n - k + 1] == self.row[k - 1 :]) if k > 1 else np.arange(n)
+        h = self.values[first]
+        for i in range(1, k):
+            h = mix(h * U(0x9E3779B97F4A7C15) + self.values[first + i])
+        return first + (k - 1), mix(h + U(k))
 
-def _word_counts(batches: Iterator[pa.RecordBatch], most: int = 1 << 20) -> Iterator[pa.RecordBatch]:
-    def out(h: np.ndarray, n: np.ndarray) -> pa.RecordBatch:
-        return pa.RecordBatch.from_arrays([pa.array(h.view(np.int64)), pa.array(n)], names=["h", "n"])
+    def name(self) -> int:
+        """A hash of the contents."""
+        parts = [mix(self.ids.view(U) + np.arange(len(self.ids), dtype=U)), mix(self.count.astype(U) * U(3) + np.arange(len(self.ids), dtype=U)), mix(self.values + np.arange(len(self.values), dtype=U))]
+        return int(np.array([np.bitwise_xor.reduce(mix(p + U(i)), initial=U(0)) for i, p in enumerate(parts)]).sum().view(np.int64))
 
-    held_h, held_n = np.empty(0, U), np.empty(0, np.int64)
+
+def _blocks(batches: Iterator[pa.RecordBatch], most: int) -> Iterator[Block]:
+    held: list[tuple[np.ndarray, ...]] = []
+    size = 0
     for batch in batches:
-        for _, _, words in _blocks(batch, 0):
-            h, n = np.unique(words.hashes(7), return_counts=True)
-            all_h, at = np.unique(np.concatenate([held_h, h]), return_inverse=True)
-            held_h, held_n = all_h, np.bincount(at, np.concatenate([held_n, n]), minlength=len(all_h)).astype(np.int64)
-            if len(held_h) > most:
-                yield out(held_h, held_n)
-                held_h, held_n = np.empty(0, U), np.empty(0, np.int64)
-    if len(held_h):
-        yield out(held_h, held_n)
-
-
-def totals(texts: DataFrame) -> tuple[int, int]:
-    """Tokens of all texts, and those of words below the floor."""
-    counts = texts.mapInArrow(_word_counts, "h bigint, n bigint").groupBy("h").agg(F.sum("n").alias("n"))
-    tokens, rare = counts.agg(F.coalesce(F.sum("n"), F.lit(0)), F.coalesce(F.sum(F.when(F.col("n") < FLOOR, F.col("n"))), F.lit(0))).first()
-    return max(1, tokens), max(1, rare)
-
-
-_PACKED = "bucket int, home int, block bigint, n int, data binary"
-_SUMS = "home int, block bigint, n int, data binary"
-
-
-def _planes(*columns: tuple[np.ndarray, int]) -> bytes:
-    """Columns as byte planes of so many bytes a value: high bytes are mostly zero, and runs of zeros compress."""
-    out = []
-    for values, width in columns:
-        raw = values.astype("<i8").view(np.uint8).reshape(-1, 8)
-        out += [raw[:, i].tobytes() for i in range(width)]
+        data, offsets = text_bytes(batch.column(1))
+        ids, null = batch.column(0).fill_null(0).to_numpy(), ~np.asarray(batch.column(0).is_valid())
+        for low, high in blocks(offsets):
+            words = Words(LOWER[data[offsets[low] : offsets[high]]], offsets[low : high + 1] - offsets[low], ALNUM_WORDS)
+            held.append((ids[low:high], null[low:high], words.count, words.hashes(7)))
+            size += int(offsets[high] - offsets[low])
+            if size >= most:
+                yield Block(*map(np.concatenate, zip(*held, strict=True)))
+                held, size = [], 0
+    if held:
+        yield Block(*map(np.concatenate, zip(*held, strict=True)))
+
+
+def _packed(values: np.ndarray) -> bytes:
+    """Numbers as byte planes, as many as the largest needs; planes of uneven bytes are compressed."""
+    raw = np.ascontiguousarray(values.astype("<u8")).view(np.uint8).reshape(-1, 8)
+    width = (int(values.max()).bit_length() + 7) // 8 if len(values) else 0
+    out = [bytes([width]), len(values).to_bytes(4, "little")]
+    for i in range(width):
+        plane = raw[:, i].tobytes()
+        share = np.bincount(raw[:, i], minlength=256) / len(values)
+        if -(share[share > 0] * np.log2(share[share > 0])).sum() < 7.5 and len(values) > 64:
+            plane = min(plane, zlib.compress(plane, 1), key=len)
+        out += [len(plane).to_bytes(4, "little"), plane]
     return b"".join(out)
 
 
-def _columns(data: bytes, n: int, *widths: int) -> list[np.ndarray]:
-    """The columns again, sign and all."""
-    out, at = [], 0
-    raw = np.frombuffer(data, np.uint8)
-    for width in widths:
-        value = np.zeros(n, np.int64)
-        for i in range(width):
-            value |= raw[at : at + n].astype(np.int64) << (8 * i)
-            at += n
-        out.append((value << (64 - 8 * width)) >> (64 - 8 * width))
-    return out
+def _unpacked(data: bytes, at: int) -> tuple[np.ndarray, int]:
+    width, n = data[at], int.from_bytes(data[at + 1 : at + 5], "little")
+    at += 5
+    out = np.zeros((n, 8), np.uint8)
+    for i in range(width):
+        size = int.from_bytes(data[at : at + 4], "little")
+        plane = data[at + 4 : at + 4 + size]
+        out[:, i] = np.frombuffer(plane if size == n else zlib.decompress(plane), np.uint8)
+        at += 4 + size
+    return out.reshape(-1).view("<u8"), at
 
 
-def _packed_rows(rows: list[tuple]) -> Iterator[pa.RecordBatch]:
-    for a in range(0, len(rows), 64):
-        part = list(zip(*rows[a : a + 64], strict=True))
-        yield pa.RecordBatch.from_arrays([pa.array(part[0], pa.int32()), pa.array(part[1], pa.int32()), pa.array(part[2], pa.int64()), pa.array(part[3], pa.int32()), pa.array(part[4], pa.binary())], names=["bucket", "home", "block", "n", "data"])
+def _bounds(ranges: int) -> np.ndarray:
+    """The first hash of each range."""
+    return np.array([-(-(i << 64) // ranges) for i in range(ranges)], U)
 
 
-def _sent(home: int, block: int, n: int, data: bytes) -> pa.RecordBatch:
-    return pa.RecordBatch.from_arrays([pa.array([home], pa.int32()), pa.array([block], pa.int64()), pa.array([n], pa.int32()), pa.array([data], pa.binary())], names=["home", "block", "n", "data"])
+def _rows(rows: list[tuple[int, int, int, bytes]]) -> Iterator[pa.RecordBatch]:
+    for a in range(0, len(rows), 64):
+        home, block, place, data = zip(*rows[a : a + 64], strict=True)
+        yield pa.RecordBatch.from_arrays([pa.array(home, pa.int32()), pa.array(block, pa.int64()), pa.array(place, pa.int32()), pa.array(data, pa.binary())], names=["home", "block", "place", "data"])
 
 
-def _edges(bucket: np.ndarray) -> Iterator[tuple[int, int]]:
-    if not len(bucket):
-        return
-    edge = np.flatnonzero(np.append(True, bucket[1:] != bucket[:-1]))
-    yield from zip(edge, np.append(edge[1:], len(bucket)), strict=True)
+def _home(block: int, homes: int) -> int:
+    return int(mix(np.array([block], np.int64).view(U))[0] % U(homes))
 
 
-def _asked(batches: Iterator[pa.RecordBatch], buckets: int) -> Iterator[pa.RecordBatch]:
-    """Packed rows of a block: its keys, lengths and words by number for its home (home < 0), and its distinct words for each bucket.
+def _asked(batches: Iterator[pa.RecordBatch], order: int, ranges: int, most: int) -> Iterator[pa.RecordBatch]:
+    """For each block and hash range, the block's distinct n-grams of each order with their counts in it."""
+    bounds = _bounds(ranges)
+    for block in _blocks(batches, most):
+        name, parts = block.name(), [[] for _ in range(ranges)]
+        some = np.zeros(ranges, bool)
+        for k in range(1, order + 1):
+            h, tf = np.unique(block.runs(k)[1], return_counts=True)
+            edges = np.append(np.searchsorted(h, bounds), len(h))
+            some |= np.diff(edges) > 0
+            for i, (a, b) in enumerate(zip(edges[:-1], edges[1:], strict=True)):
+                parts[i].append(_packed(np.diff(h[a:b], prepend=bounds[i])) + _packed(tf[a:b] - 1))
+        yield from _rows([(_home(name, ranges), name, i, b"".join(parts[i])) for i in np.flatnonzero(some).tolist()])
 
-    A block is known by its task's partition and a count, its documents by their place in it,
-    its words by their place among the block's, the commonest first.
-    """
-    context = TaskContext.get()
-    block = (context.partitionId() if context else 0) << 32
-    for batch in batches:
-        keys = batch.column(0).to_numpy()
-        for low, high, words in _blocks(batch, 1):
-            block += 1
-            home = int(mix(np.array([block], U))[0] % U(buckets))
-            h, at, n = np.unique(words.hashes(7), return_inverse=True, return_counts=True)
-            common = np.argsort(-n, kind="stable")
-            number = np.empty(len(h), np.int64)
-            number[common] = np.arange(len(h))
-            rows: list[tuple] = [(home, -1 - home, block, words.rows, _planes((keys[low:high], 8), (words.count, 8)) + _planes((number[at], 4)))]
-            bucket = (mix(h) % U(buckets)).astype(np.int64)
-            order = np.argsort(bucket, kind="stable")
-            h, n, number, bucket = h[order], n[order], number[order], bucket[order]
-            for s, e in _edges(bucket):
-                rows.append((int(bucket[s]), home, block, int(e - s), _planes((h[s:e].view(np.int64), 8), (n[s:e], 4), (number[s:e], 4))))
-            yield from _packed_rows(rows)
-
-
-def _answered(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """A partition's unigram counts, sent home to each block that asked."""
-    held, hashes, times = [], [], []
+
+def _answered(batches: Iterator[pa.RecordBatch], order: int) -> Iterator[pa.RecordBatch]:
+    """A hash range's count tables, joined to what each block asked: counts (less one) in the order asked."""
+    ranges: dict[int, list[tuple]] = {}
     for batch in batches:
-        for home, block, n, data in zip(*(batch.column(i).to_pylist() for i in (1, 2, 3, 4)), strict=True):
-            if home < 0:
-                yield _sent(-1 - home, block, -n, data)
-                continue
-            h, tf, number = _columns(data, n, 8, 4, 4)
-            held.append((home, block, number))
-            hashes.append(h)
+        for row in zip(*(batch.column(i).to_pylist() for i in range(4)), strict=True):
+            ranges.setdefault(row[2], []).append(row)
+    for place in sorted(ranges):
+        yield from _joined(ranges.pop(place), order)
+
+
+def _joined(held: list[tuple], order: int) -> Iterator[pa.RecordBatch]:
+    at = [0] * len(held)
+    answers: list[list[bytes]] = [[] for _ in held]
+    for _ in range(order):
+        asked, times = [], []
+        for i, row in enumerate(held):
+            steps, at[i] = _unpacked(row[3], at[i])
+            tf, at[i] = _unpacked(row[3], at[i])
+            asked.append(np.cumsum(steps, dtype=U))
             times.append(tf)
-    if not held:
-        return
-    kinds, at = np.unique(np.concatenate(hashes), return_inverse=True)
-    count = np.bincount(at, np.concatenate(times)).astype(np.int64)
-    place = 0
-    for home, block, number in held:
-        mine = at[place : place + len(number)]
-        place += len(number)
-        yield _sent(home, block, len(number), _planes((number, 4), (count[mine], 6), (kinds[mine], 8)))
-
-
-def _exploded(batches: Iterator[pa.RecordBatch], buckets: int, tokens: int, rare: int, backoff: float) -> Iterator[pa.RecordBatch]:
-    """From rows sorted by block: one row with each document's key, words and score if no bigram counted (home < 0), and one for each bucket of bigrams."""
-    now, home, base, told = None, 0, None, []
+        kinds, place = np.unique(np.concatenate(asked), return_inverse=True)
+        count = np.bincount(place, np.concatenate(times) + U(1), minlength=len(kinds)).astype(np.int64)
+        edge = 0
+        for i, h in enumerate(asked):
+            answers[i].append(_packed(count[place[edge : edge + len(h)]] - 1))
+            edge += len(h)
+    for i, row in enumerate(held):
+        yield from _rows([(row[0], row[1], row[2], b"".join(answers[i]))])
+
+
+def _stated(batches: Iterator[pa.RecordBatch], homes: int, most: int) -> Iterator[pa.RecordBatch]:
+    """Each block's documents and word sequence, for its home: numbers into its distinct words, the commonest first."""
+    for block in _blocks(batches, most):
+        h, at, n = np.unique(block.values, return_inverse=True, return_counts=True)
+        common = np.argsort(-n, kind="stable")
+        number = np.empty(len(h), np.int64)
+        number[common] = np.arange(len(h))
+        data = _packed(block.ids.view(U)) + _packed(block.null) + _packed(block.count) + _packed(h[common]) + _packed(number[at])
+        name = block.name()
+        yield from _rows([(_home(name, homes), name, -1, data)])
+
+
+def _log_scores(block: Block, counts: list[np.ndarray], tokens: int, backoff: float, least: int) -> np.ndarray:
+    """Fixed-point log probabilities, summed by document."""
+    n, order = len(block.values), len(counts)
+    at = np.arange(n) - np.repeat(np.cumsum(block.count) - block.count, block.count)
+    by_order = []
+    for k, answer in enumerate(counts, 1):
+        last, h = block.runs(k)
+        kinds, place = np.unique(h, return_inverse=True)
+        if len(kinds) != len(answer):
+            raise RuntimeError("the table of documents changed between two readings of it; checkpoint it first")
+        c = np.zeros(n, np.int64)
+        c[last] = answer[place]
+        by_order.append(c)
+    context = np.minimum(at, order - 1)
+    p = backoff**context * by_order[0] / tokens
+    for k in range(2, order + 1):
+        some = np.flatnonzero(by_order[k - 1] >= least)
+        p[some] = backoff ** (context[some] + 1 - k) * by_order[k - 1][some] / by_order[k - 2][some - 1]
+    fixed = np.rint(np.log(p) * UNIT) if n else p
+    return np.bincount(block.row, fixed, minlength=len(block.count)).astype(np.int64)
+
+
+def _scored(batches: Iterator[pa.RecordBatch], order: int, tokens: int, backoff: float, least: int) -> Iterator[pa.RecordBatch]:
+    """Rows sorted by block, then place: a block's statement, and the answers of all hash ranges in order."""
+    now, stated, answers = None, [], {}
+
+    def settle() -> Iterator[pa.RecordBatch]:
+        counts: list[list[np.ndarray]] = [[] for _ in range(order)]
+        for place in sorted(answers):
+            at = 0
+            for k in range(order):
+                part, at = _unpacked(answers[place], at)
+                counts[k].append(part.astype(np.int64) + 1)
+        whole = [np.concatenate(c) if c else np.empty(0, np.int64) for c in counts]
+        for data in stated:
+            at, parts = 0, []
+            for _ in range(5):
+                part, at = _unpacked(data, at)
+                parts.append(part)
+            ids, null, count, h, number = parts
+            block = Block(ids.view(np.int64), null.astype(bool), count.astype(np.int64), h[number.astype(np.int64)])
+            total = _log_scores(block, whole, tokens, backoff, least)
+            yield pa.RecordBatch.from_arrays([pa.array(block.ids, pa.int64(), mask=block.null), pa.array(total), pa.array(block.count)], names=["doc_id", "score", "n_words"])
+
     for batch in batches:
-        for to, block, n, data in zip(*(batch.column(i).to_pylist() for i in range(4)), strict=True):
+        for block, place, data in zip(*(batch.column(i).to_pylist() for i in (1, 2, 3)), strict=True):
             if block != now and now is not None:
-                yield from _packed_rows(_bigrams(home, now, base, told, buckets, tokens, rare, backoff))
-                base, told = None, []
-            now, home = block, to
-            if n < 0:
-                base = (-n, data)
+                yield from settle()
+                stated, answers = [], {}
+            now = block
+            if place < 0:
+                stated.append(data)
             else:
-                told.append((n, data))
+                answers[place] = data
     if now is not None:
-        yield from _packed_rows(_bigrams(home, now, base, told, buckets, tokens, rare, backoff))
-
-
-def _bigrams(home: int, block: int, base: tuple[int, bytes], told: list[tuple[int, bytes]], buckets: int, tokens: int, rare: int, backoff: float) -> list[tuple]:
-    n, data = base
-    keys, length = _columns(data, n, 8, 8)
-    at = _columns(data[16 * n :], int(length.sum()), 4)[0]
-    size = sum(m for m, _ in told)
-    count, h = np.empty(size, np.int64), np.empty(size, np.int64)
-    for m, answer in told:
-        number, c, word = _columns(answer, m, 4, 6, 8)
-        count[number], h[number] = c, word
-    unknown = count < FLOOR
-    count[unknown], h[unknown] = rare, 0
-    row = np.repeat(np.arange(n), length)
-    begins = np.append(True, row[1:] != row[:-1])[: len(row)]
-    times_p = count.astype(np.float64)
-    first, later = fixed(np.log(times_p / tokens)), fixed(np.log(backoff * times_p / tokens))
-    score = np.bincount(row, np.where(begins, first[at], later[at]), minlength=n).astype(np.int64)
-    rows: list[tuple] = [(home, -1 - home, block, n, _planes((keys, 8), (length, 8), (score, 8)))]
-    inside = np.flatnonzero(row[1:] == row[:-1])
-    if not len(inside):
-        return rows
-    before, word, row = at[inside], at[inside + 1], row[inside]
-    code = mix(h.view(U)[before] * U(31) + h.view(U)[word])
-    bucket = (code % U(buckets)).astype(np.int64)
-    order = np.lexsort((code, row, bucket))
-    code, row, bucket, before, word = (x[order] for x in (code, row, bucket, before, word))
-    new = np.flatnonzero(np.append(True, (code[1:] != code[:-1]) | (row[1:] != row[:-1])))
-    times = np.diff(np.append(new, len(code)))
-    code, row, bucket, before, word = (x[new] for x in (code, row, bucket, before, word))
-    for s, e in _edges(bucket):
-        rows.append((int(bucket[s]), home, block, int(e - s), _planes((row[s:e], 3), (code[s:e].view(np.int64), 8), (count[before[s:e]], 6), (later[word[s:e]], 3), (times[s:e], 4))))
-    return rows
-
-
-def _joined(batches: Iterator[pa.RecordBatch], least: int) -> Iterator[pa.RecordBatch]:
-    """A partition's count table, joined to its exploded rows; each row goes home as its documents' gains from counted bigrams."""
-    held: list[tuple[int, int, np.ndarray]] = []
-    codes, befores, alone, times = [], [], [], []
-    for batch in batches:
-        for home, block, n, data in zip(*(batch.column(i).to_pylist() for i in (1, 2, 3, 4)), strict=True):
-            if home < 0:
-                yield _sent(-1 - home, block, -n, data)
-                continue
-            row, code, before, later, tf = _columns(data, n, 3, 8, 6, 3, 4)
-            held.append((home, block, row.astype(np.int32)))
-            codes.append(code)
-            befores.append(before)
-            alone.append(later.astype(np.int32))
-            times.append(tf.astype(np.int32))
-    if not held:
-        return
-    kinds, one, at = np.unique(np.concatenate(codes), return_index=True, return_inverse=True)
-    tf = np.concatenate(times)
-    count = np.bincount(at, tf)
-    gain = np.where(count >= least, fixed(np.log(count / np.concatenate(befores)[one])) - np.concatenate(alone)[one], 0)
-    place = 0
-    for home, block, row in held:
-        some = gain[at[place : place + len(row)]] * tf[place : place + len(row)]
-        place += len(row)
-        first = np.flatnonzero(np.append(True, row[1:] != row[:-1]))
-        sums = np.add.reduceat(some, first)
-        full = np.flatnonzero(sums)
-        wide = 4 if not len(full) or np.abs(sums).max() < 1 << 31 else 8
-        if len(full):
-            yield _sent(home, block, len(full), bytes([wide]) + _planes((row[first[full]], 3), (sums[full], wide)))
-
-
-def _summed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """All documents of a home's blocks, with the sums of what came back."""
-    bases: dict[int, tuple[np.ndarray, np.ndarray, np.ndarray]] = {}
-    gains: dict[int, list[tuple[np.ndarray, np.ndarray]]] = {}
-    for batch in batches:
-        for block, n, data in zip(*(batch.column(i).to_pylist() for i in (1, 2, 3)), strict=True):
-            if n < 0:
-                bases[block] = tuple(_columns(data, -n, 8, 8, 8))
-            else:
-                gains.setdefault(block, []).append(tuple(_columns(data[1:], n, 3, data[0])))
-    for block, (keys, words, base) in bases.items():
-        total = base.copy()
-        for row, sums in gains.get(block, ()):
-            np.add.at(total, row, sums)
-        yield pa.RecordBatch.from_arrays([pa.array(keys), pa.array(total), pa.array(words)], names=["key", "score", "n_words"])
+        yield from settle()
+
+
+def token_count(documents: DataFrame) -> int:
+    """Words of all texts."""
+
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        n = 0
+        for batch in batches:
+            data, offsets = text_bytes(batch.column(0))
+            n += sum(len(Words(data[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a], ALNUM_WORDS).start) for a, b in blocks(offsets))
+        yield pa.RecordBatch.from_arrays([pa.array([n], pa.int64())], names=["n"])
+
+    return arrow_map(documents.select("text"), count, "n bigint").agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
 
 
-def score_documents(documents: DataFrame, backoff: float = BACKOFF, least: int = LEAST) -> DataFrame:
+def score_documents(documents: DataFrame, backoff: float = BACKOFF, least: int = LEAST, order: int = ORDER, block_bytes: int = BLOCK_BYTES) -> DataFrame:
     """Per document row: ``doc_id, n_words, log_score`` and ``mean_log`` (per word, rounded to 6 places).
 
-    Null and empty texts have no words, log_score 0 and a null mean.  Repeated rows count as often
+    Null and empty texts have no words, log_score 0 and a null mean; null ids stay null.  Repeated rows count as often
     as they occur and score alike; rows of one doc_id and different texts are separate rows; an
-    empty table gives no rows; columns other than doc_id and text are not read.
+    empty table gives no rows; columns other than doc_id and text are not read.  There are no ties.
     """
     docs = documents.select(F.col("doc_id").cast("bigint").alias("doc_id"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
-    unique = docs.groupBy("doc_id").count().where("count > 1 OR doc_id IS NULL").isEmpty()
-    keyed = docs.withColumn("key", F.col("doc_id") if unique else F.xxhash64("doc_id", "text"))
-    tokens, rare = totals(docs.select("text"))
-    n_partitions = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    buckets = 4 * n_partitions
-    asked = keyed.select("key", "text").mapInArrow(lambda it: _asked(it, buckets), _PACKED)
-    answers = asked.repartition(n_partitions, "bucket").mapInArrow(_answered, _SUMS)
-    packed = answers.repartition(n_partitions, "home").sortWithinPartitions("block").mapInArrow(lambda it: _exploded(it, buckets, tokens, rare, backoff), _PACKED)
-    sums = packed.repartition(n_partitions, "bucket").mapInArrow(lambda it: _joined(it, least), _SUMS).repartition(n_partitions, "home").mapInArrow(_summed, "key bigint, score bigint, n_words bigint")
-    out = sums.groupBy("key").agg((F.sum("score") / UNIT).alias("log_score"), F.sum("n_words").alias("n_words"))
-    if unique:
-        rows = out.withColumnRenamed("key", "doc_id")
-    else:
-        times = keyed.groupBy("key").agg(F.count("*").alias("times"))
-        rows = keyed.select("doc_id", "key").join(out.join(times, "key").select("key", (F.col("log_score") / F.col("times")).alias("log_score"), F.expr("n_words DIV times").alias("n_words")), "key")
-    return rows.select("doc_id", "n_words", F.round("log_score", 4).alias("log_score"), F.round(F.col("log_score") / F.nullif("n_words", F.lit(0)), 6).alias("mean_log"))
+    tokens = max(1, token_count(docs))
+    n = partitions_for(docs.sparkSession, order * tokens, RANGE_ROWS)
+    asked = arrow_map(docs, lambda it: _asked(it, order, n, block_bytes), _ROWS).repartitionById(n, "place")
+    answers = arrow_map(asked, lambda it: _answered(it, order), _ROWS)
+    met = answers.unionByName(arrow_map(docs, lambda it: _stated(it, n, block_bytes), _ROWS)).repartitionById(n, "home").sortWithinPartitions("block", "place")
+    sums = arrow_map(met, lambda it: _scored(it, order, tokens, backoff, least), "doc_id bigint, score bigint, n_words bigint")
+    score = F.col("score") / UNIT
+    return sums.select("doc_id", "n_words", F.round(score, 4).alias("log_score"), F.round(score / F.nullif("n_words", F.lit(0)), 6).alias("mean_log"))

@@ -109,14 +109,17 @@ FROM w LEFT JOIN n USING (r) LEFT JOIN k USING (r)
 
 SQL_OP2 = r"""
 WITH t AS (SELECT doc_id, row_number() OVER () AS r, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+') AS ws FROM documents),
-w AS MATERIALIZED (SELECT r, i, ws[i] AS w FROM (SELECT r, ws, unnest(range(1, len(ws) + 1)) AS i FROM t)),
+w AS MATERIALIZED (SELECT r, i, ws[i] AS w, CASE WHEN i > 1 THEN ws[i - 1] END AS p, CASE WHEN i > 2 THEN ws[i - 2] END AS q FROM (SELECT r, ws, unnest(range(1, len(ws) + 1)) AS i FROM t)),
 n AS MATERIALIZED (SELECT count(*)::DOUBLE AS n FROM w),
-v AS MATERIALIZED (SELECT w, count(*)::DOUBLE AS c FROM w GROUP BY w HAVING count(*) >= greatest(2, ceil((SELECT n FROM n) / 1048576))),
-k AS MATERIALIZED (SELECT w.r, w.i, coalesce(v.w, '') AS w, coalesce(v.c, (SELECT n FROM n) - (SELECT sum(c) FROM v)) AS c FROM w LEFT JOIN v USING (w)),
-b AS MATERIALIZED (SELECT r, i, w, c, lag(w) OVER o AS p, lag(c) OVER o AS pc FROM k WINDOW o AS (PARTITION BY r ORDER BY i)),
-g AS MATERIALIZED (SELECT p, w, count(*)::DOUBLE AS c2 FROM b WHERE p IS NOT NULL GROUP BY p, w),
-s AS (SELECT b.r, count(*) AS n_words, sum(round(4096 * CASE WHEN b.p IS NULL THEN ln(b.c / (SELECT n FROM n)) WHEN g.c2 >= 2 THEN ln(g.c2 / b.pc) ELSE ln(0.4 * b.c / (SELECT n FROM n)) END)) / 4096 AS score
-      FROM b LEFT JOIN g ON b.p = g.p AND b.w = g.w GROUP BY b.r)
+one AS MATERIALIZED (SELECT w, count(*)::DOUBLE AS c FROM w GROUP BY w),
+two AS MATERIALIZED (SELECT p, w, count(*)::DOUBLE AS c FROM w WHERE p IS NOT NULL GROUP BY p, w),
+three AS MATERIALIZED (SELECT q, p, w, count(*)::DOUBLE AS c FROM w WHERE q IS NOT NULL GROUP BY q, p, w),
+l AS (SELECT w.r, CASE WHEN three.c >= 2 THEN three.c / before.c
+                       WHEN two.c >= 2 THEN pow(0.4::DOUBLE, least(w.i, 3) - 2) * two.c / last.c
+                       ELSE pow(0.4::DOUBLE, least(w.i, 3) - 1) * one.c / (SELECT n FROM n) END AS p
+      FROM w JOIN one ON one.w = w.w LEFT JOIN one AS last ON last.w = w.p LEFT JOIN two ON two.p = w.p AND two.w = w.w
+      LEFT JOIN two AS before ON before.p = w.q AND before.w = w.p LEFT JOIN three ON three.q = w.q AND three.p = w.p AND three.w = w.w),
+s AS (SELECT r, count(*) AS n_words, sum(round(4096 * ln(p))) / 4096 AS score FROM l GROUP BY r)
 SELECT t.doc_id, coalesce(s.n_words, 0)::BIGINT AS n_words, round(coalesce(s.score, 0), 4) AS log_score, round(s.score / s.n_words, 6) AS mean_log FROM t LEFT JOIN s USING (r)
 """
 
