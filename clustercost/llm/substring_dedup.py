@@ -11,10 +11,9 @@ wherever that loses nothing:
    ``(doc, start, edges)``.  Pieces of repeated seeds are counted by content; a piece that occurs
    twice has only repeated edges, and is an *arc* of the graph.  Of the other pieces, those cut by the
    border of a repeated passage, each single edge that occurs twice is an arc of its own;
-3. arcs compact to paths by Spark joins (``compacted``): coordinates joined to coordinates tell which
+3. arcs compact to paths by Spark joins (``compacted``): coordinates in order tell which
    arcs follow which; an arc with one successor only, which has that one predecessor only (where
-   a text that stops repeating counts as a neighbour), continues its path; pointer jumping
-   finds the path's first arc and its length in a logarithmic number of joins;
+   a text that stops repeating counts as a neighbour), continues its path;
 4. the arcs of a path always occur together, so each coordinate of a path's first arc is one
    long repeated span.  Spans meet their texts by key, the words at the coordinate are verified to be
    the arc's by their hash, and the span's words go.
@@ -34,7 +33,7 @@ from itertools import compress
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from .exchange import HashFilter, arrow_map, checkpointed, fresh, hash_filter, row_key
@@ -167,33 +166,41 @@ def arcs(docs: DataFrame, window: int = WINDOW, seed: int = SEED) -> DataFrame:
     return whole.unionByName(border.join(again, ["edge", "check"]).select(F.col("edge").alias("arc"), "doc_id", "row_key", "start", "edges"))
 
 
-def compacted(occurrences: DataFrame, most_rounds: int = 64) -> DataFrame:
+def _side_by_side(occurrences: DataFrame) -> DataFrame:
+    """Without single edges that lie in a whole piece: the filters let some pass in error."""
+    before = Window.partitionBy("doc_id", "row_key").orderBy("start", F.desc("edges")).rowsBetween(Window.unboundedPreceding, -1)
+    reached = F.max(F.col("start") + F.col("edges")).over(before)
+    return occurrences.withColumn("reached", reached).where("reached IS NULL OR start >= reached").drop("reached")
+
+
+def compacted(occurrences: DataFrame) -> DataFrame:
     """``arc, path``: the number of edges of the path that an arc begins, or 0 where it continues one; arcs on their own are not listed.
 
-    ``occurrences`` are distinct rows ``arc, doc_id, row_key, start, edges``.  An arc continues a path
+    ``occurrences`` are rows ``arc, doc_id, row_key, start, edges`` that do not overlap.  An arc continues a path
     if every occurrence of it follows one and the same arc, every occurrence of which it follows.
+    The arcs of a path then have their first occurrences side by side, so once the links are
+    joined, a path is a run of links over first occurrences.
     """
-    here = occurrences.select("doc_id", "row_key", (F.col("start") + F.col("edges")).alias("at"), "arc", "edges")
-    after = occurrences.select("doc_id", "row_key", F.col("start").alias("at"), F.col("arc").alias("next"), F.col("edges").alias("more"))
-    steps = checkpointed(here.join(after, ["doc_id", "row_key", "at"], "full").groupBy("arc", "next").agg(F.first("edges").alias("edges"), F.first("more").alias("more")))
-    onward = steps.where("arc IS NOT NULL").groupBy("arc").agg(F.count("*").alias("n"), F.first("next").alias("next")).where("n = 1 AND next IS NOT NULL").select("arc", "next")
-    back = steps.where("next IS NOT NULL").groupBy("next").agg(F.count("*").alias("n"), F.first("arc").alias("arc")).where("n = 1 AND arc IS NOT NULL").select("arc", "next")
-    linked = onward.join(back, ["arc", "next"]).join(steps, ["arc", "next"])
-    up = checkpointed(linked.select(F.col("next").alias("arc"), F.col("arc").alias("head"), F.col("edges").cast("bigint").alias("before"), "more"))
-    for _ in range(most_rounds):
-        far = up.select(F.col("arc").alias("head"), F.col("head").alias("higher"), F.col("before").alias("further"))
-        up = checkpointed(up.join(far, "head", "left").select("arc", F.coalesce("higher", "head").alias("head"), (F.col("before") + F.coalesce("further", F.lit(0))).alias("before"), "more", F.col("higher").isNotNull().alias("moved")))
-        if up.where("moved").isEmpty():
-            begun = up.groupBy("head").agg(F.max(F.col("before") + F.col("more")).alias("path")).select(F.col("head").alias("arc"), "path")
-            return begun.unionByName(up.select("arc", F.lit(0).cast("bigint").alias("path")))
-        up = up.drop("moved")
-    raise RuntimeError("paths still grow after the allowed rounds")
+    along = Window.partitionBy("doc_id", "row_key").orderBy("start")
+    end = F.col("start") + F.col("edges")
+    after = F.when(F.lead("start").over(along) == end, F.lead("arc").over(along))
+    before = F.when(F.lag(end).over(along) == F.col("start"), F.lag("arc").over(along))
+    steps = occurrences.select("*", after.alias("next"), before.alias("prev"))
+    only = lambda c: F.when((F.min(c) == F.max(c)) & (F.count(c) == F.count("*")), F.min(c))
+    place = F.min(F.struct("doc_id", "row_key", "start"))
+    facts = checkpointed(steps.groupBy("arc").agg(only("next").alias("next"), only("prev").alias("prev"), F.first("edges").alias("edges"), place.alias("at")).select("arc", "next", "prev", "edges", "at.*"))
+    links = facts.where("next IS NOT NULL").select(F.col("arc").alias("prev"), F.col("next").alias("arc"), F.lit(True).alias("linked"))
+    marked = facts.where("next IS NOT NULL OR prev IS NOT NULL").join(links, ["arc", "prev"], "left")
+    run = F.sum(F.when(F.col("linked"), 0).otherwise(1)).over(along.rowsBetween(Window.unboundedPreceding, 0))
+    total = F.sum("edges").over(Window.partitionBy("doc_id", "row_key", "run"))
+    paths = marked.select("arc", "edges", "linked", "doc_id", "row_key", run.alias("run")).select("arc", "edges", "linked", total.alias("total"))
+    return paths.where("linked OR total > edges").select("arc", F.when(F.col("linked"), 0).otherwise(F.col("total")).cast("bigint").alias("path"))
 
 
 def repeated_spans(docs: DataFrame, window: int = WINDOW, seed: int = SEED) -> DataFrame:
     """Coordinates ``doc_id, row_key, start, edges, arc, first`` of repeated paths, and their first arcs with their numbers of edges."""
     found = arcs(docs, window, max(1, min(seed, window)))
-    found = checkpointed(found if _ids_are_unique(docs) else found.distinct())
+    found = checkpointed(_side_by_side(found if _ids_are_unique(docs) else found.distinct()))
     fates = checkpointed(compacted(found))
     spans = found.join(fates, "arc", "left").where("path IS NULL OR path > 0")
     return spans.select("doc_id", "row_key", "start", F.coalesce(F.col("path").cast("int"), F.col("edges")).alias("edges"), "arc", F.col("edges").alias("first"))
