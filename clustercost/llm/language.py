@@ -22,6 +22,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from .exchange import arrow_map, checkpointed
 from .tokens import U, blocks, byte_values, mix, text_bytes
 
 LANGS = ("de", "en", "es", "fr")
@@ -89,7 +90,7 @@ def fit_text(documents: DataFrame, most_rows: int = 20_000, langs: tuple[str, ..
         k, c = np.nonzero(cells)
         yield pa.RecordBatch.from_arrays([pa.array(k.astype(np.int32)), pa.array(c.astype(np.int32)), pa.array(cells[k, c])], names=["k", "cell", "n"])
 
-    got = sample.select("text", "lang").mapInArrow(count, "k int, cell int, n bigint").groupBy("k", "cell").agg(F.sum("n").alias("n")).toArrow()  # languages x cells
+    got = arrow_map(sample.select("text", "lang"), count, "k int, cell int, n bigint").groupBy("k", "cell").agg(F.sum("n").alias("n")).toArrow()  # languages x cells
     counts = np.full((len(langs), 1 << CELLS_BITS), 0.5)
     counts[got.column("k").to_numpy(), got.column("cell").to_numpy()] += got.column("n").to_numpy()
     return TextModel(np.log(counts / counts.sum(1, keepdims=True)), langs)
@@ -121,7 +122,7 @@ def evidence(pages: DataFrame, model: TextModel) -> DataFrame:
     """``page_id, host, domain, suffix, evidence``: log evidence by language without the host."""
     host = host_of(F.col("url"))
     rows = pages.select("page_id", F.col("html").cast("string").alias("html"), F.regexp_extract(F.col("html").cast("string"), r"""(?i)<html[^>]*\blang\s*=\s*["']?([A-Za-z]{2})""", 1).alias("declared"), F.regexp_extract("url", r"^[^?#]*?://[^/]+/(?:.*/)?([a-z]{2})(?:/|$)", 1).alias("path"), F.regexp_extract(host, r"([^.]+)$", 1).alias("suffix"), host.alias("host"), F.regexp_extract(host, r"([^.]+\.[^.]+)$", 1).alias("domain"))
-    return rows.mapInArrow(lambda it: _evidence(it, model), "page_id bigint, host string, domain string, suffix string, evidence array<double>")
+    return arrow_map(rows, lambda it: _evidence(it, model), "page_id bigint, host string, domain string, suffix string, evidence array<double>")
 
 
 def _softmax(scores: Column) -> Column:
@@ -139,7 +140,7 @@ def identify(pages: DataFrame, model: TextModel, strength: float = STRENGTH) ->
     k = len(model.langs)
     first = evidence(pages, model).withColumn("p", _softmax(F.col("evidence")))
     sums = [F.sum(F.col("p")[i]).alias(f"s{i}") for i in range(k)]
-    hosts = first.groupBy("suffix", "domain", "host").agg(*sums)
+    hosts = checkpointed(first.groupBy("suffix", "domain", "host").agg(*sums))  # one row a host: all other levels come from it
 
     def up(table: DataFrame, *keys: str) -> DataFrame:
         return table.groupBy(*keys).agg(*[F.sum(f"s{i}").alias(f"s{i}") for i in range(k)])

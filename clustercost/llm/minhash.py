@@ -7,7 +7,7 @@ off), so statistics stay bounded at any input size.
 
 Sampling: for each of ``bands * rows`` hash functions a shingle draws ``r, c ~ Gamma(2, 1)`` and
 ``beta ~ U(0, 1)``, and the shingle with the smallest ``ln c - r * (floor(ln w / r + beta) - beta) - r``
-is the sample together with its step.  Draws come from a table of 65,536 triples by hash and
+is the sample together with its step.  Draws come from a table of 16,384 triples by hash and
 weights from 64 levels, so a sample costs one multiplication and one lookup; ties are
 broken by the shingle's own hash.  Two texts agree on a sample with a probability
 equal to their weighted Jaccard similarity (to the level's width).
@@ -35,7 +35,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .components import components
-from .exchange import checkpointed, hash_filter
+from .exchange import arrow_map, checkpointed, fresh, hash_filter, partitions_for
 from .tokens import ALNUM_WORDS, LOWER, U, Words, blocks, mix, span_hashes, text_bytes
 
 SIZE = 5
@@ -45,6 +45,9 @@ CELL_BITS = 18
 IDF_SHARE = 0.25
 LEVELS = 64
 TOP_LN_WEIGHT = 3.0
+DRAW_BITS = 14
+DRAWS = 1 << DRAW_BITS
+LN_A_RANGE = 64.0  # ln a lies within plus and minus half of it
 
 
 def shingles(words: Words, size: int = SIZE) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -96,7 +99,7 @@ def document_frequencies(texts: DataFrame, cell_bits: int = CELL_BITS) -> tuple[
         used = np.flatnonzero(cells)
         yield pa.RecordBatch.from_arrays([pa.array(np.append(used, -1).astype(np.int32)), pa.array(np.append(cells[used], n))], names=["cell", "n"])
 
-    got = texts.mapInArrow(count, "cell int, n bigint").groupBy("cell").agg(F.sum("n").alias("n")).toArrow()
+    got = arrow_map(texts, count, "cell int, n bigint").groupBy("cell").agg(F.sum("n").alias("n")).toArrow()
     at, n = got.column("cell").to_numpy(), got.column("n").to_numpy()
     cells = np.zeros(1 << cell_bits, np.int64)
     cells[at[at >= 0]] = n[at >= 0]
@@ -107,14 +110,16 @@ _sampling: dict[int, np.ndarray] = {}
 
 
 def _ranks() -> np.ndarray:
-    """Order of ``ln a`` for each weight level and draw; one number for one (draw, step)."""
+    """``ln a`` for each weight level and draw, in steps of a fixed width: the order is kept, near values tie."""
     if 0 not in _sampling:
         draw = np.random.default_rng(20240229)
-        r, c, beta = draw.gamma(2, 1, 1 << 16), draw.gamma(2, 1, 1 << 16), draw.uniform(size=1 << 16)
-        ln_w = (np.arange(LEVELS)[:, None] + 0.5) * (TOP_LN_WEIGHT / LEVELS)
-        step = np.floor(ln_w / r + beta)
-        ln_a = np.log(c) - r * (step - beta) - r
-        _sampling[0] = np.unique(ln_a.ravel(), return_inverse=True)[1].reshape(-1).astype(np.uint32)
+        r, c, beta = (x.astype(np.float32) for x in (draw.gamma(2, 1, DRAWS), draw.gamma(2, 1, DRAWS), draw.uniform(size=DRAWS)))
+        out = np.empty((LEVELS, DRAWS), np.uint32)
+        for level in range(LEVELS):
+            step = np.floor((level + 0.5) * (TOP_LN_WEIGHT / LEVELS) / r + beta)
+            ln_a = np.log(c) - r * (step - beta) - r
+            out[level] = np.clip((ln_a + LN_A_RANGE / 2) * ((1 << 24) / LN_A_RANGE), 0, (1 << 24) - 1)
+        _sampling[0] = out.reshape(-1)
     return _sampling[0]
 
 
@@ -124,13 +129,13 @@ def samples(row: np.ndarray, h: np.ndarray, weight: np.ndarray, n_rows: int, k:
     if not len(h):
         return out
     ranks = _ranks()
-    level = np.clip(np.log(weight) * (LEVELS / TOP_LN_WEIGHT), 0, LEVELS - 1).astype(np.int64) << 16
+    level = np.clip(np.log(weight) * (LEVELS / TOP_LN_WEIGHT), 0, LEVELS - 1).astype(np.int64) << DRAW_BITS
     first = np.flatnonzero(np.append(True, row[1:] != row[:-1]))
     for i in range(k):
         x = h * U((0x9E3779B97F4A7C15 * (2 * i + 1) ^ (0xC2B2AE3D27D4EB4F * (i + 1))) & 0xFFFFFFFFFFFFFFFF | 1)
         x ^= x >> U(29)
         x *= U(0xBF58476D1CE4E5B9)
-        key = (ranks[level + (x >> U(48)).astype(np.int64)].astype(U) << U(40)) | ((x >> U(8)) & U((1 << 40) - 1))
+        key = (ranks[level + (x >> U(64 - DRAW_BITS)).astype(np.int64)].astype(U) << U(40)) | ((x >> U(8)) & U((1 << 40) - 1))
         out[row[first], i] = np.minimum.reduceat(key, first)
     return out
 
@@ -251,7 +256,7 @@ def _meetings(members: DataFrame, classes: DataFrame, block: int) -> DataFrame:
         for batch in batches:
             yield batch.filter(pa.array(kept.value.passes(mix(batch.column(0).to_numpy().view(U)))))
 
-    met = marked.mapInArrow(unsettled, "band bigint, node bigint, class bigint").join(F.broadcast(long_runs), "band", "left")  # a long run has over ``block`` members, so these are few
+    met = arrow_map(marked, unsettled, "band bigint, node bigint, class bigint").join(F.broadcast(long_runs), "band", "left")  # a long run has over ``block`` members, so these are few
     whole = F.col("major").isNull()
     side = F.when(whole | (F.col("class") != F.col("major")), 0).otherwise(1)
     few, many = F.coalesce("few", F.lit(1)), F.coalesce("many", F.lit(0))
@@ -332,14 +337,14 @@ def near_links(docs: DataFrame, bands: int = BANDS, rows: int = ROWS, threshold:
     context = docs.sparkSession.sparkContext
     cells, n = document_frequencies(docs.select("text"))
     weights = Weights(cells, n)
-    signed = docs.select("node", "d1", "d2", "text").mapInArrow(lambda it: _signed(it, weights, bands, rows), "node bigint, d1 bigint, d2 bigint, bands array<bigint>, marks binary")
+    signed = arrow_map(docs.select("node", "d1", "d2", "text"), lambda it: _signed(it, weights, bands, rows), "node bigint, d1 bigint, d2 bigint, bands array<bigint>, marks binary")
     found = checkpointed(signed.groupBy("d1", "d2").agg(F.min_by(F.struct("bands", "marks"), "node").alias("s"), F.min("node").alias("node")).select("node", "d1", "d2", "s.bands", "s.marks"))
     repeated = checkpointed(found.select(F.explode("bands").alias("band")).groupBy("band").agg(F.count("*").alias("n")).where("n > 1").select("band"))
     keep = context.broadcast(hash_filter(repeated, "band"))
-    members = found.select("node", "bands", "marks").mapInArrow(lambda it: _members(it, keep.value), "band bigint, node bigint, marks binary")
-    n_partitions = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    members = arrow_map(found.select("node", "bands", "marks"), lambda it: _members(it, keep.value), "band bigint, node bigint, marks binary")
+    n_partitions = partitions_for(docs.sparkSession, bands * found.count())
     runs = members.repartitionByRange(n_partitions, "band", "node").sortWithinPartitions("band", "node")
-    out = checkpointed(runs.mapInArrow(lambda it: _pairs(it, back, 0.5), "band bigint, a bigint, b bigint"))
+    out = checkpointed(arrow_map(runs, lambda it: _pairs(it, back, 0.5), "band bigint, a bigint, b bigint"))
     heads = out.where("b = -1 AND band <> 0").select("band", "a")  # two at most for each partition
     low = heads.groupBy("band").agg(F.min("a").alias("low"))
     across = heads.join(low, "band").where("a <> low").select(F.least("a", "low").alias("a"), F.greatest("a", "low").alias("b"))
@@ -349,7 +354,7 @@ def near_links(docs: DataFrame, bands: int = BANDS, rows: int = ROWS, threshold:
     met = checkpointed(_meetings(members, components(links), block))
     sets = _sets(docs, met.select("node").distinct(), plain)
     dealt = met.join(sets, "node").select("band", "x", "y", "node", "class", "set").repartition(n_partitions, "band", "x", "y").sortWithinPartitions("band", "x", "y", "node")
-    rest = checkpointed(dealt.mapInArrow(lambda it: _all_links(it, weights, threshold), "a bigint, b bigint, similarity double"))
+    rest = checkpointed(arrow_map(dealt, lambda it: _all_links(it, weights, threshold), "a bigint, b bigint, similarity double"))
     links = links.unionByName(rest)
     return found.select("node", "d1", "d2"), links
 
@@ -360,13 +365,13 @@ def _verified_links(docs: DataFrame, pairs: DataFrame, weights: Weights, thresho
     sets = _sets(docs, ends, plain)
     first = pairs.join(sets.select(F.col("node").alias("a"), F.col("set").alias("s")), "a")
     both = first.join(sets.select(F.col("node").alias("b"), F.col("set").alias("t")), "b").select("a", "b", "s", "t")
-    return both.mapInArrow(lambda it: _verified(it, weights, threshold), "a bigint, b bigint, similarity double")
+    return arrow_map(both, lambda it: _verified(it, weights, threshold), "a bigint, b bigint, similarity double")
 
 
 def _sets(docs: DataFrame, nodes: DataFrame, plain: bool) -> DataFrame:
     """``node, set`` of the given nodes, and perhaps of some others."""
     chosen = docs.sparkSession.sparkContext.broadcast(hash_filter(checkpointed(_mixed(nodes)), "h"))
-    sets = docs.select("node", "text").mapInArrow(lambda it: _features(it, chosen.value), "node bigint, set binary")
+    sets = arrow_map(docs.select("node", "text"), lambda it: _features(it, chosen.value), "node bigint, set binary")
     return sets if plain else sets.groupBy("node").agg(F.first("set").alias("set"))
 
 
@@ -381,7 +386,7 @@ def _mixed(nodes: DataFrame) -> DataFrame:
         for batch in batches:
             yield pa.RecordBatch.from_arrays([pa.array(mix(batch.column(0).to_numpy().view(U)).view(np.int64))], names=["h"])
 
-    return nodes.select("node").mapInArrow(run, "h bigint")
+    return arrow_map(nodes.select("node"), run, "h bigint")
 
 
 def near_classes(documents: DataFrame, bands: int = BANDS, rows: int = ROWS, threshold: float = THRESHOLD) -> DataFrame:
@@ -411,6 +416,7 @@ def first_of_classes(documents: DataFrame, bands: int = BANDS, rows: int = ROWS,
     if _node_is_id(docs):
         return documents.join(stay.select(F.col("node").alias("doc_id")), "doc_id", "left_semi").select(*documents.columns)
     text = F.coalesce(F.col("text").cast("string"), F.lit(""))
-    marked = documents.withColumns({"first digest": F.xxhash64(text), "second digest": F.xxhash64(F.lit("second"), text)})
-    named = stay.select(F.col("d1").alias("first digest"), F.col("d2").alias("second digest"))
-    return marked.join(named, ["first digest", "second digest"], "left_semi").dropDuplicates(["first digest", "second digest"]).select(*documents.columns)
+    one, two = fresh(documents.columns, "first digest"), fresh(documents.columns, "second digest")
+    marked = documents.withColumns({one: F.xxhash64(text), two: F.xxhash64(F.lit("second"), text)})
+    named = stay.select(F.col("d1").alias(one), F.col("d2").alias(two))
+    return marked.join(named, [one, two], "left_semi").dropDuplicates([one, two]).select(*documents.columns)

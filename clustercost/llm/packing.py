@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .exchange import checkpointed
+from .exchange import arrow_map, checkpointed
 from .tokens import text_bytes
 
 CAPACITY = 1024
@@ -56,12 +56,22 @@ class Encoder:
         return np.array(self.full.encode(text, add_special_tokens=False).ids, "<u4")
 
 
+_encoders: dict[str, Encoder] = {}
+
+
+def encoder(name: str) -> Encoder:
+    """One encoder a worker: its vocabulary takes a second to load."""
+    if name not in _encoders:
+        _encoders[name] = Encoder(name)
+    return _encoders[name]
+
+
 def first_length(total: int, capacity: int) -> int:
     return total if total <= capacity else (total % capacity or capacity)
 
 
 def _pieces(batches: Iterator[pa.RecordBatch], capacity: int, end: int, tokenizer: str) -> Iterator[pa.RecordBatch]:
-    encode = Encoder(tokenizer)
+    encode = encoder(tokenizer)
     for batch in batches:
         ids, texts = batch.column(0), batch.column(1)
         data, offsets = text_bytes(texts)
@@ -86,7 +96,7 @@ def _pieces(batches: Iterator[pa.RecordBatch], capacity: int, end: int, tokenize
 
 def pieces(documents: DataFrame, capacity: int = CAPACITY, end: int = END, tokenizer: str = "byte_bpe_50k") -> DataFrame:
     docs = documents.select(F.col("doc_id").cast("bigint").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    return docs.mapInArrow(lambda it: _pieces(it, capacity, end, tokenizer), PIECES)
+    return arrow_map(docs, lambda it: _pieces(it, capacity, end, tokenizer), PIECES)
 
 
 def plan(counts: dict[int, int], capacity: int = CAPACITY) -> list[tuple[int, int, int, int, int, int]]:

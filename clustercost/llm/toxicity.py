@@ -15,8 +15,8 @@ logistic function of the weights of its distinct matched stems, each scaled by i
 Stems start from a small lexicon and are learned from labelled rows: a word, or a prefix of
 4 to 9 bytes, becomes a stem when it occurs in so many toxic and so few other rows that chance
 does not explain it, at the number of features tested.  Context factors are learned in the
-same way, from the grammar's own matches.  Only a bounded, documented number of labelled rows
-is read (``most_rows``), chosen by hash.
+same way, from the grammar's own matches.  Only a bounded, documented sample of labelled rows
+is read (``most_rows`` rows and ``most_bytes`` of text), chosen by hash.
 """
 
 from __future__ import annotations
@@ -26,11 +26,12 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+import pyarrow.compute as pc
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .exchange import checkpointed
-from .tokens import ALNUM_WORDS, HashSet, U, Words, blocks, span_hashes, text_bytes, byte_values
+from .exchange import arrow_map, checkpointed
+from .tokens import ALNUM_WORDS, HashSet, Spans, U, Words, blocks, byte_values, span_hashes, text_bytes
 
 #: The grammar's lexicon.
 INSULTS = "idiot idiots moron morons stupid scum trash loser losers worthless pathetic disgusting clown imbecile dumbass idiota estúpido imbécil basura idiote imbécile crétin ordure abruti dumm dummkopf trottel abschaum versager".split()
@@ -45,8 +46,13 @@ LEXICON_WEIGHT = 4.0
 REACH = 4
 
 
-def lowered(documents: DataFrame, *more: str) -> DataFrame:
-    return documents.select(F.col("doc_id").cast("bigint").alias("doc_id"), F.lower(F.col("text").cast("string")).alias("text"), *more)
+def texts(documents: DataFrame) -> DataFrame:
+    return documents.select(F.col("doc_id").cast("bigint").alias("doc_id"), F.col("text").cast("string").alias("text"))
+
+
+def _low_bytes(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+    """Bytes and offsets of the texts in lower case."""
+    return text_bytes(pc.utf8_lower(column))
 
 
 def remainder(doc_id: Column) -> Column:
@@ -55,13 +61,18 @@ def remainder(doc_id: Column) -> Column:
 
 def _features(words: Words) -> list[tuple[int, np.ndarray, np.ndarray]]:
     """(kind, places, hashes): kind 0 is the whole word, else a prefix of so many bytes."""
-    size = words.end - words.start
-    values = byte_values(11)[words.data]
-    out = [(0, np.arange(len(size)), span_hashes(values, words.start, words.end))]
-    for n in PREFIXES:
-        at = np.flatnonzero(size > n)
-        out.append((n, at, span_hashes(values, words.start[at], words.start[at] + n)))
-    return out
+    size, table = words.end - words.start, byte_values(11)
+    kinds = (0, *PREFIXES)
+    places = [np.flatnonzero(size > n) for n in kinds]
+    hashes = [np.empty(len(at), U) for at in places]
+    for a, b in words.pieces():
+        low = words.start[a]
+        spans = Spans(table[words.data[low : words.end[b - 1]]])
+        for n, at, out in zip(kinds, places, hashes, strict=True):
+            i, j = np.searchsorted(at, (a, b))
+            start = words.start[at[i:j]] - low
+            out[i:j] = spans(start, start + n if n else words.end[at[i:j]] - low)
+    return list(zip(kinds, places, hashes, strict=True))
 
 
 def word_hash(word: str, size: int | None = None) -> int:
@@ -72,7 +83,7 @@ def word_hash(word: str, size: int | None = None) -> int:
 def _counted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Distinct features of each row, as counts over toxic and other rows of a batch."""
     for batch in batches:
-        data, offsets = text_bytes(batch.column(0))
+        data, offsets = _low_bytes(batch.column(0))
         toxic = batch.column(1).to_numpy(zero_copy_only=False).astype(np.int64)
         for low, high in blocks(offsets):
             words = Words(data[offsets[low] : offsets[high]], offsets[low : high + 1] - offsets[low], ALNUM_WORDS)
@@ -149,7 +160,7 @@ class Grammar:
 
 
 def _blocks_of(batch: pa.RecordBatch, column: int) -> Iterator[tuple[int, int, Words, np.ndarray, np.ndarray]]:
-    data, offsets = text_bytes(batch.column(column))
+    data, offsets = _low_bytes(batch.column(column))
     stop, quote = np.zeros(256, bool), np.zeros(256, bool)
     stop[[ord(x) for x in ".!?;:,\n()"]] = True
     quote[[ord('"')]] = True
@@ -176,7 +187,7 @@ def _needed(sample: DataFrame, named: dict[tuple[int, int], tuple[float, float]]
 
     toxic = sample.where("toxic = 1").select("text", F.xxhash64("text").alias("id"))
     held: dict[tuple[int, int], set[int]] = {}
-    for r in toxic.mapInArrow(found, "kind int, h bigint, id bigint").distinct().collect():  # the sample's own bound
+    for r in arrow_map(toxic, found, "kind int, h bigint, id bigint").distinct().collect():  # bounded by the sample's rows and bytes
         held.setdefault((r["kind"], int(np.int64(r["h"]).view(U))), set()).add(r["id"])
     explained: set[int] = set()
     out = {}
@@ -197,34 +208,36 @@ def _contexts(batches: Iterator[pa.RecordBatch], grammar: Grammar) -> Iterator[p
         yield pa.RecordBatch.from_arrays([pa.array([c for c, _ in rows], pa.string()), pa.array([t for _, t in rows], pa.int32())], names=["context", "toxic"])
 
 
-def fit(documents: DataFrame, labels: DataFrame, most_rows: int = 20_000) -> Grammar:
-    """A grammar learned from at most ``most_rows`` labelled rows of remainder 0 or 2, chosen by hash.
+def fit(documents: DataFrame, labels: DataFrame, most_rows: int = 20_000, most_bytes: int = 128 << 20) -> Grammar:
+    """A grammar learned from at most ``most_rows`` labelled rows of remainder 0 or 2, of at most ``most_bytes`` of text, chosen by hash.
 
     Labels other than 0 and 1 and null ids are passed over; without usable labels the lexicon stands.
     """
     usable = labels.select(F.col("doc_id").cast("bigint").alias("doc_id"), F.col("toxic").cast("int").alias("toxic")).where(F.col("toxic").isin(0, 1) & F.col("doc_id").isNotNull() & (remainder(F.col("doc_id")) != 1))
     chosen = usable.groupBy("doc_id").agg(F.max("toxic").alias("toxic")).orderBy(F.xxhash64("doc_id"), "doc_id").limit(most_rows)
-    sample = checkpointed(lowered(documents).join(F.broadcast(chosen), "doc_id").select("text", "toxic"))  # at most most_rows labels
+    found = checkpointed(texts(documents).join(F.broadcast(chosen), "doc_id").select("doc_id", "text", "toxic"))  # at most most_rows labels
+    within = found.select("doc_id", "text").groupBy("doc_id").agg(F.sum(F.octet_length("text")).alias("text")).select("doc_id", F.sum("text").over(Window.orderBy(F.xxhash64("doc_id"), "doc_id")).alias("bytes"))  # one row a label
+    sample = found.join(F.broadcast(within.where((F.col("bytes") <= most_bytes) | F.col("bytes").isNull()).select("doc_id")), "doc_id").select("text", "toxic")
     total, bad = sample.agg(F.count("*"), F.coalesce(F.sum("toxic"), F.lit(0))).first()
     stems: dict[int, dict[int, float]] = {0: {word_hash(x): LEXICON_WEIGHT for x in INSULTS}, **{k: {} for k in PREFIXES}}
     if not total or not bad or bad == total:
         return Grammar(stems, -2.0)
     rate = bad / total
-    counts = checkpointed(sample.mapInArrow(_counted, "kind int, h bigint, t bigint, n bigint").groupBy("kind", "h").agg(F.sum("t").alias("t"), F.sum("n").alias("n")).where("t >= 2"))
+    counts = checkpointed(arrow_map(sample, _counted, "kind int, h bigint, t bigint, n bigint").groupBy("kind", "h").agg(F.sum("t").alias("t"), F.sum("n").alias("n")).where("t >= 2"))
     tested = max(2, counts.count())
     # chance of t or more toxic rows among n, bounded by the relative entropy of t/n and the base rate
     share = F.least(F.col("t") / F.col("n"), F.lit(1 - 1e-9))
     entropy = F.col("n") * (share * F.log(share / rate) + (1 - share) * F.log((1 - share) / (1 - rate)))
     odds = F.log((F.col("t") + 0.5) / (F.lit(bad) + 1) * (F.lit(total - bad) + 1) / (F.col("n") - F.col("t") + 0.5))
     strong = counts.where((F.col("t") / F.col("n") >= 0.8) & (entropy > math.log(tested)))
-    named = {(r["kind"], int(np.int64(r["h"]).view(U))): (float(r["t"]), float(r["w"])) for r in strong.select("kind", "h", entropy.alias("t"), odds.alias("w")).orderBy(F.desc("t"), "kind", "h").limit(50_000).collect()}
+    named = {(r["kind"], int(np.int64(r["h"]).view(U))): (float(r["t"]), float(r["w"])) for r in strong.select("kind", "h", entropy.alias("t"), odds.alias("w")).collect()}  # bounded by the sample
     for (kind, h), w in _needed(sample, named, math.log(tested) / -math.log(rate)).items():
         stems[kind][h] = w
     known = {int(np.array(word_hash(x), U).view(np.int64)): x for x in INSULTS}
     for r in counts.where("kind = 0").where(F.col("h").isin(list(known))).where(F.col("n") - F.col("t") >= 5).select("h", odds.alias("w")).collect():
         stems[0][int(np.int64(r["h"]).view(U))] = min(LEXICON_WEIGHT, max(0.0, float(r["w"])))
     grammar = Grammar(stems, math.log(rate / (1 - rate)))
-    seen = {(r["context"], r["toxic"]): r["n"] for r in sample.mapInArrow(lambda it: _contexts(it, grammar), "context string, toxic int").groupBy("context", "toxic").agg(F.count("*").alias("n")).collect()}
+    seen = {(r["context"], r["toxic"]): r["n"] for r in arrow_map(sample, lambda it: _contexts(it, grammar), "context string, toxic int").groupBy("context", "toxic").agg(F.count("*").alias("n")).collect()}
     share_of = {c: (seen.get((c, 1), 0) + 0.0, seen.get((c, 0), 0) + 0.0) for c in CONTEXTS}
     t, f = (sum(x[i] for x in share_of.values()) for i in (0, 1))
     general = math.log((t + 1) / (f + 1)) - grammar.prior
@@ -255,21 +268,20 @@ def score_documents(documents: DataFrame, grammar: Grammar) -> DataFrame:
     Null and empty texts match nothing and score the prior; repeated rows score alike; an empty
     table gives no rows.
     """
-    return lowered(documents).mapInArrow(lambda it: _scored(it, grammar), "doc_id bigint, score double, n_matches bigint")
+    return arrow_map(texts(documents), lambda it: _scored(it, grammar), "doc_id bigint, score double, n_matches bigint")
 
 
 def without_toxic(documents: DataFrame, grammar: Grammar, threshold: float = 0.7) -> DataFrame:
     """The rows of ``documents`` that score below the threshold, with all their columns."""
-    lower = documents.withColumn("lower of text", F.lower(F.col("text").cast("string")))
-    at = len(documents.columns)
+    at = documents.columns.index("text")
 
     def keep(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             texts = pa.RecordBatch.from_arrays([pa.nulls(batch.num_rows), batch.column(at)], names=["doc_id", "text"])
             score = next(_scored(iter([texts]), grammar)).column(1).to_numpy()
-            yield pa.RecordBatch.from_arrays(batch.columns[:at], names=batch.schema.names[:at]).filter(pa.array(score < threshold))
+            yield batch.filter(pa.array(score < threshold))
 
-    return lower.mapInArrow(keep, documents.schema)
+    return arrow_map(documents, keep, documents.schema)
 
 
 def report(documents: DataFrame, labels: DataFrame, threshold: float = 0.7) -> DataFrame:

@@ -2,6 +2,11 @@
 
 Documents that the toxicity grammar rejects go, one document of each near-duplicate class
 stays, repeated passages are cut out, contaminated documents go, and the rest is packed.
+
+Rows with null or empty texts or null ids pass through all stages (rows of equal texts, empty ones
+too, are one class of the second stage); repeated rows are equal texts; columns beyond doc_id and text are
+never read, whatever their names, and all but the last stage return them; an empty table
+gives an empty result.  The row that stays of a class is the one with the smallest doc_id.
 """
 
 from __future__ import annotations
