@@ -94,6 +94,30 @@ def test_language(spark, sf, docs, empty):
     assert language.fit_text(empty).log_p.shape == (4, 1 << 16)
 
 
+def test_identification_against_brute_force(spark, sf, docs):
+    """Host, domain, suffix and table priors in plain Python, from the same evidence."""
+    model = language.fit_text(docs)
+    pages = spark.read.parquet(f"{sf}/pages.parquet")
+    rows = language.evidence(pages, model).collect()
+    soft = lambda x: np.exp(x - np.max(x)) / np.exp(x - np.max(x)).sum()
+    sums = collections.defaultdict(lambda: np.zeros(4))
+    levels = lambda r: [(), (r["suffix"],), (r["suffix"], r["domain"]), (r["suffix"], r["domain"], r["host"])]
+    for r in rows:
+        for key in levels(r):
+            sums[key] += soft(np.array(r["evidence"]))
+
+    def prior(keys):
+        q = (sums[()] + 1) / (sums[()].sum() + 4)
+        for key in keys[1:]:
+            q = (sums[key] + language.STRENGTH * q) / (sums[key].sum() + language.STRENGTH)
+        return q
+
+    got = {r["page_id"]: r for r in language.identify(pages, model).collect()}
+    for r in rows:
+        p = soft(np.array(r["evidence"]) + np.log(prior(levels(r))))
+        assert abs(p.max() - got[r["page_id"]]["probability"]) < 1e-9 and got[r["page_id"]]["lang"] == language.LANGS[int(p.argmax())]
+
+
 def test_host_prior_decides_where_pages_say_nothing(spark, docs):
     model = language.fit_text(docs)
     rows = [(i, f"http://h.example.com/{i}", "<html lang='es'>") for i in range(20)] + [(99, "http://h.example.com/99", "")]
@@ -113,24 +137,20 @@ def test_a_declaration_behind_a_long_banner_counts(spark, docs):
 # 2 language model
 
 
-def brute_scores(rows, backoff=0.4, least=2):
+def brute_scores(rows, backoff=0.4, least=2, order=3):
     docs = [words_of(t) for _, t in rows]
-    counts = collections.Counter(w for d in docs for w in d)
-    n = sum(counts.values())
-    known = {w: c for w, c in counts.items() if c >= max(2, math.ceil(n / 2**20))}
-    rest = max(1, n - sum(known.values()))
-    name = lambda w: w if w in known else None
-    c1 = lambda w: known.get(w, rest)
-    pairs = collections.Counter((name(a), name(b)) for d in docs for a, b in zip(d, d[1:], strict=False))
+    counts = collections.Counter(tuple(d[j : j + k]) for d in docs for k in range(1, order + 1) for j in range(len(d) - k + 1))
+    n = sum(len(d) for d in docs)
     out = []
     for (i, _), d in zip(rows, docs, strict=True):
         total = 0
         for j, w in enumerate(d):
-            if j == 0:
-                p = c1(name(w)) / n
-            else:
-                c = pairs[(name(d[j - 1]), name(w))]
-                p = c / c1(name(d[j - 1])) if c >= least else backoff * c1(name(w)) / n
+            context = min(j, order - 1)
+            p = backoff**context * counts[(w,)] / n
+            for k in range(2, context + 2):
+                run = tuple(d[j - k + 1 : j + 1])
+                if counts[run] >= least:
+                    p = backoff ** (context + 1 - k) * counts[run] / counts[run[:-1]]
             total += round(4096 * math.log(p))
         out.append((i, len(d), round(total / 4096, 4)))
     return sorted(out, key=str)
@@ -142,10 +162,20 @@ def test_lm_scores(spark, odd, empty):
         got = [(r["doc_id"], r["n_words"], r["log_score"]) for r in lm_scores.score_documents(df).collect()]
         assert sorted(got, key=str) == brute_scores(rows)
     assert lm_scores.score_documents(empty).count() == 0
+    rows = [(i, " ".join(random.Random(i).choices("abc", k=20))) for i in range(30)]
+    for order, least in ((1, 2), (2, 1), (4, 3)):
+        got = [(r["doc_id"], r["n_words"], r["log_score"]) for r in lm_scores.score_documents(documents(spark, rows), order=order, least=least, block_bytes=100).collect()]
+        assert sorted(got, key=str) == brute_scores(rows, least=least, order=order)
+
+
+def test_a_table_that_changes_between_readings_fails():
+    block = lm_scores.Block(np.array([1]), np.array([False]), np.array([3]), np.array([5, 6, 5], np.uint64))
+    with pytest.raises(RuntimeError):
+        lm_scores._log_scores(block, [np.array([1]), np.array([1, 1])], 3, 0.4, 2)
 
 
 def test_rare_words_keep_their_counts_in_a_large_corpus(spark):
-    """Over 2**21 tokens: words that occur twice are not merged."""
+    """Over 2**21 tokens: words that occur twice keep their own counts."""
     rows = [(i, "the " * 22_000) for i in range(100)] + [(100, "rare rare"), (101, "seldom seldom")]
     n = 100 * 22_000 + 4
     got = {r["doc_id"]: r["log_score"] for r in lm_scores.score_documents(documents(spark, rows)).where("doc_id >= 100").collect()}
@@ -169,9 +199,41 @@ def test_licenses(spark, odd, empty):
     assert not re.search("Python|Arrow|Pandas", plan)
 
 
+def test_equivalents_next_to_each_other_and_licence_files(spark, tmp_path):
+    got = spark.createDataFrame([("favour favour sub license sub license, HOLDERS owners",), ("&",)], "t string").select(licenses.canonical(F.col("t"))).collect()
+    assert [r[0] for r in got] == ["favor favor sublicense sublicense holders holders", "and"]
+    (tmp_path / "Long-1.0.txt").write_text("Copyright (c) 2001 Somebody\n\nA very long licence of two lines.\nIts second line.")
+    both = licenses.known_licenses(spark).unionByName(licenses.licenses_in(spark, str(tmp_path)))
+    rows = [(1, "a very LONG license of two lines; its second line"), (2, "Copyright 2020 Me\n" + licenses.BSD_3)]
+    assert sorted(tuple(r) for r in licenses.scan_licenses(documents(spark, rows), both).select("doc_id", "license").collect()) == [(1, "Long-1.0"), (2, "BSD-3-Clause")]
+
+
 # 4 fingerprints
 
 
+def brute_likeness(a, b):
+    """The share of classes in which the smallest span hashes agree, span by span in plain integers."""
+
+    def mixed(x):
+        m = 2**64 - 1
+        x = ((x ^ (x >> 30)) * 0xBF58476D1CE4E5B9) & m
+        x = ((x ^ (x >> 27)) * 0x94D049BB133111EB) & m
+        return x ^ (x >> 31)
+
+    def classes(text):
+        size, low = min(len(text), fingerprint.SPAN), {}
+        for s in range(len(text) - size + 1 if text else 0):
+            parts = [sum((ord(c) + 1) * pow(base, k, prime) for k, c in enumerate(text[s : s + size])) % prime for base, prime in zip(fingerprint.BASES, fingerprint.PRIMES, strict=True)]
+            h = mixed(parts[0] << 31 | parts[1])
+            low[h >> 58] = min(low.get(h >> 58, 2**64), (h << 6) & (2**64 - 1))
+        return {k: mixed(x) >> 48 for k, x in low.items()}
+
+    if a == b:
+        return 1.0
+    x, y = classes(a), classes(b)
+    return sum(x.get(k, -1) == y.get(k, -1) for k in x.keys() | y.keys()) / max(1, len(x.keys() | y.keys()))
+
+
 def test_fingerprints(spark, odd, empty, docs):
     rows = [(r["doc_id"], r["text"] or "") for r in docs.collect()]
     order = sorted(rows, key=lambda r: -r[0])
@@ -187,6 +249,13 @@ def test_fingerprints(spark, odd, empty, docs):
     assert np.mean([r["near_edited"] for r in got]) > 10 * np.mean([r["near_next"] for r in got])
     assert fingerprint.fingerprint_documents(odd).count() == odd.count()
     assert fingerprint.fingerprint_documents(empty).count() == 0
+    by = {r["doc_id"]: r for r in got}
+    for j, (i, t) in list(enumerate(order))[:: max(1, len(order) // 60)]:
+        other, half = order[(j + 1) % len(order)][1], len(t) // 2
+        edited = t[: len(t) - half] + other[:half]
+        for x, near, common in ((edited, "near_edited", "common_edited"), (other, "near_next", "common_next")):
+            assert by[i][near] == brute_likeness(t, x)
+            assert by[i][common] == next((k for k in range(min(len(t), len(x))) if t[k] != x[k]), min(len(t), len(x)))
     one = fingerprint.fingerprint_documents(documents(spark, [(1, "abcd")])).first()
     assert one["near_next"] == 1 and one["edited_sha256"] == hashlib.sha256(b"abab").hexdigest()
 
@@ -198,7 +267,7 @@ def test_spans_and_extensions():
     for _ in range(100):
         i, j = rng.randrange(300), rng.randrange(300)
         want = next((k for k in range(300 - max(i, j)) if text[i + k] != text[j + k]), 300 - max(i, j))
-        assert arrays.common_extension(i, j) == want
+        assert arrays.common_extensions(np.array([i]), np.array([j]), np.array([300 - max(i, j)])).tolist() == [want]
 
 
 # 5 near-duplicates
@@ -443,6 +512,33 @@ def test_toxicity_learns_stems_and_odd_rows(spark, odd, empty):
     assert sorted(r["doc_id"] for r in kept.collect()) == [2, 3]
 
 
+def test_scores_against_brute_force(spark):
+    """Clause by clause in plain Python: the best weight of each stem times its context's factor, through the logistic function."""
+    grammar = toxicity.Grammar({0: {toxicity.word_hash("idiot"): 4.0, toxicity.word_hash("scum"): 3.0}, **{k: {} for k in toxicity.PREFIXES}, 5: {toxicity.word_hash("vileness", 5): 2.0}}, -3.0)
+    weight = lambda w: {"idiot": 4.0, "scum": 3.0}.get(w) or (2.0 if len(w) > 5 and w.startswith("vilen") else None)
+    stem = lambda w: w if w in ("idiot", "scum") else "vilen"
+
+    def brute(text):
+        best = {}
+        for clause in re.split(r"[.!?;:,\n()]", text.lower()):
+            words = [(m.group(), m.start()) for m in re.finditer(r"[a-z0-9]+", clause)]
+            aimed, reported, negated = any(w in toxicity.TARGETS for w, _ in words), False, -99
+            for i, (w, _) in enumerate(words):
+                reported |= w in toxicity.REPORTS
+                negated = i if w in toxicity.NEGATIONS else negated
+                hit = (stem(w), weight(w)) if weight(w) else (w, toxicity.LEXICON_WEIGHT) if w in toxicity.THREATS and aimed else None
+                if hit:
+                    context = "reported" if reported else "negated" if i - negated <= toxicity.REACH else "targeted" if aimed else "plain"
+                    best[hit[0]] = max(best.get(hit[0], 0), hit[1] * grammar.factors[context])
+        return 1 / (1 + math.exp(3.0 - min(20.0, sum(best.values()))))
+
+    rng = random.Random(11)
+    pool = "idiot scum vileness vilenes you they not never said wrote kill hurt time day is a the . , ; tree".split()
+    texts = [" ".join(rng.choices(pool, k=rng.randrange(1, 25))) for _ in range(300)]
+    got = {r["doc_id"]: r["score"] for r in toxicity.score_documents(documents(spark, list(enumerate(texts))), grammar).collect()}
+    assert all(abs(got[i] - brute(t)) < 1e-12 for i, t in enumerate(texts))
+
+
 def test_contexts_weigh_matches(spark):
     grammar = toxicity.Grammar({0: {toxicity.word_hash("idiot"): 4.0}, **{k: {} for k in toxicity.PREFIXES}}, -2.0)
     texts = ["idiot", "you idiot", "he is not an idiot", 'he said "idiot"', "i will kill you", "to kill time", "not here. idiot"]
@@ -468,3 +564,46 @@ def test_substring_dedup(spark, odd, empty):
     out = substring_dedup.without_repeats(odd)
     assert out.columns == odd.columns and out.count() == odd.count() and out.where("text IS NULL").count() == odd.where("text IS NULL").count()
     assert substring_dedup.report(empty).count() == 0
+
+
+def test_full_filters_change_no_result(spark, monkeypatch):
+    """Filters that pass everything leave all decisions to the exact counts."""
+    monkeypatch.setattr(substring_dedup, "hash_filter", lambda *_: exchange.HashFilter(np.full(16, 2**64 - 1, np.uint64), 10))
+    rng = random.Random(3)
+    passages = [[rng.choice("abcdefghijk") for _ in range(60)] for _ in range(3)]
+    rows = [(i, " ".join([f"u{i}x{j}" for j in range(i % 5)] + passages[i % 3][i % 4 :] + [f"v{i}"] + passages[(i + 1) % 3][: 40 + i % 9])) for i in range(30)]
+    got = sorted((r["doc_id"], r["n_words"], r["n_removed"], r["kept_sha256"]) for r in substring_dedup.report(documents(spark, rows)).collect())
+    assert got == sorted((i, *x) for (i, _), x in zip(rows, substring_dedup.brute_force([t for _, t in rows]), strict=True))
+
+
+def test_paths_are_the_nonbranching_runs(spark):
+    """Against a walk over Python dictionaries: arcs of one edge each, texts over few arcs."""
+    rng = random.Random(12)
+    texts = [rng.choice(["abcde", "xyz", "pq", "abcxyz", "aab"]) + rng.choice(["", "-", "abcde"]) for _ in range(40)] + ["abababab", "m", "nop"]
+    rows = [(ord(c), i, 0, j, 1) for i, t in enumerate(texts) for j, c in enumerate(t) if c != "-"]
+    after, before = collections.defaultdict(set), collections.defaultdict(set)
+    for i, t in enumerate(texts):
+        for part in t.split("-"):
+            for a, b in zip([None, *part], [*part, None], strict=True):
+                after[a].add(b)
+                before[b].add(a)
+    follows = {b: next(iter(before[b])) for b in before if b and len(before[b]) == 1 and None not in before[b] and after[next(iter(before[b]))] == {b}}
+    want = {}
+    for c in {c for t in texts for c in t if c != "-"}:
+        head, size = c, 1
+        if c in follows:
+            want[ord(c)] = 0
+            continue
+        while nexts := [x for x, y in follows.items() if y == head]:
+            head, size = nexts[0], size + 1
+        if size > 1:
+            want[ord(c)] = size
+    found = spark.createDataFrame(rows, "arc bigint, doc_id bigint, row_key bigint, start int, edges int")
+    assert {r["arc"]: r["path"] for r in substring_dedup.compacted(found).collect()} == want and any(v > 1 for v in want.values())
+
+
+def test_columns_with_generated_names(spark):
+    rows = [(i, " ".join(f"w{j}" for j in range(60)), 1, 2, 3) for i in range(3)]
+    df = spark.createDataFrame(rows, "doc_id bigint, text string, spans int, `key of row` int, `first digest` int")
+    for out in (substring_dedup.without_repeats(df), minhash.first_of_classes(df.unionByName(df)), decontaminate.without_contaminated(df, spark.createDataFrame([(1, "w1 w2 w99")], "item_id bigint, text string"), max_block_mb=1e-6)):
+        assert out.columns == df.columns and out.select("spans").distinct().collect()[0][0] == 1
