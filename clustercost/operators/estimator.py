@@ -7,18 +7,20 @@ and positive pairs do not depend on the order, so one similarity join serves all
 from __future__ import annotations
 
 from dataclasses import asdict
+from functools import reduce
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..lineage import checkpointed
-from ..params import Sizes, budget_sizes, passes, theory_sizes, words_stored
-from .anchored import estimate_anchored_part
+from ..params import Sizes, budget_sizes, theory_sizes, words_stored
+from .anchored import classify_by_sample, estimate_anchored_part
 from .lookup import anchored_pivot, anchors_of
 from .pivot import earlier_neighbours, settle, within_budget
 from .ranking import ranked_trials
 from .residual import estimate_residual_part, neighbourhoods, sample_centers
-from .similarity import EdgeTable, Similarity
+from .sampling import bottom_k_trials
+from .similarity import Similarity
 from .walker import walk_pivots
 
 TRIALS = "trial int, seed string, k int, space double, r int, t1 int, t2 int, t int, cutoff double"
@@ -70,7 +72,10 @@ def estimate_cost(
     mode: str = "two_sample",
     labels: str = "walk",
 ) -> DataFrame:
-    """One row ``estimate, m_a, m_b, n, r, t1, t2, t, passes, words``; similarities are evaluated on demand.
+    """One row ``estimate, m_a, m_b, n, r, t1, t2, t, passes, words, evaluations``; similarities are evaluated on demand.
+
+    ``passes`` counts the scans of this run over the nodes (at most k + 4), ``words`` what it stored, and
+    ``evaluations`` the similarities it asked for, at most two for each walk, scan and node.
 
     Nodes meet only samples: the anchors, the first and second sample, the residual sample and the
     walks' probes.  With ``eps`` the sizes follow theory (at ``eps / 8``) and ``normalize`` gives the
@@ -83,22 +88,29 @@ def estimate_cost(
     trials = trial_table(spark, [(seed, k, budget, sizes)])
     ids = checkpointed(nodes.select("id"))
     ranked = checkpointed(ranked_trials(ids, trials))
+    scans, evaluations = 1, 0  # the ranks were one scan
+
+    def met(*some: DataFrame) -> DataFrame:
+        """The positive pairs of some nodes with all, by one scan that they share."""
+        nonlocal scans, evaluations
+        chosen = checkpointed(reduce(DataFrame.unionByName, [x.select("id") for x in some]).distinct())
+        scans, evaluations = scans + 1, evaluations + chosen.count() * n
+        return _sampled_pairs(nodes, similarity, chosen)
+
     anchors = checkpointed(anchors_of(ranked, trials))
-    met = lambda some: _sampled_pairs(nodes, similarity, some)
-    al = checkpointed(anchored_pivot(ranked, anchors, met(anchors), trials))
-    from .anchored import classify_by_sample
-    from .sampling import bottom_k_trials
-
-    firsts = bottom_k_trials(al, trials, "t1", "s1").unionByName(bottom_k_trials(al, trials, "t1", "s1b"))
-    with_first = met(firsts)
-    low = bottom_k_trials(classify_by_sample(al, with_first, trials, mode).where(~F.col("is_high")).select("trial", "id", "pivot"), trials, "t2", "s2")
-    a = estimate_anchored_part(al, checkpointed(with_first.unionByName(met(low)).distinct()), trials, mode)
+    firsts = checkpointed(bottom_k_trials(ranked, trials, "t1", "s1").unionByName(bottom_k_trials(ranked, trials, "t1", "s1b")))
+    first_pairs = met(anchors, firsts)
+    al = checkpointed(anchored_pivot(ranked, anchors, first_pairs, trials))
+    low = checkpointed(bottom_k_trials(classify_by_sample(al, first_pairs, trials, mode).where(~F.col("is_high")).select("trial", "id", "pivot"), trials, "t2", "s2"))
     centers = checkpointed(sample_centers(al, trials))
-    around = met(centers)
+    around = met(low, centers)
+    a = estimate_anchored_part(al, checkpointed(first_pairs.unionByName(around).distinct()), trials, mode)
     gamma = checkpointed(neighbourhoods(centers, around))
-    members = gamma.select("trial", F.col("member").alias("id")).distinct()
+    members = checkpointed(gamma.select("trial", F.col("member").alias("id")).distinct())
     if labels == "walk":
-        walked = walk_pivots(members, ranked, nodes, similarity, k)
+        walked = checkpointed(walk_pivots(members, ranked, nodes, similarity, k))
+        rounds, each = walked.agg(F.coalesce(F.max("scans"), F.lit(0)), F.coalesce(F.sum("scans"), F.lit(0))).first()
+        scans, evaluations = scans + rounds, evaluations + 2 * each * n
         inner = checkpointed(around.unionByName(met(members)).distinct())
     else:
         inner = checkpointed(similarity.pairs(nodes))
@@ -107,10 +119,9 @@ def estimate_cost(
     out = a.join(b, "trial").crossJoin(gamma.agg(F.count("*").alias("gamma")))
     raw = F.col("m_a") + F.col("m_b")
     estimate = (raw + 0.375 * (eps or 0.0) * float(n) ** (1 - alpha)) / (1 - (eps or 0.0) / 8) if normalize else raw
-    fixed = words_stored(Sizes(min(sizes.r, n), min(sizes.t1, n), min(sizes.t2, n), min(sizes.t, n), sizes.cutoff), k)
-    return out.select(
-        estimate.alias("estimate"), "m_a", "m_b", F.col("n"), F.lit(min(sizes.r, n)).cast("bigint").alias("r"), "t1", "t2", "t", F.lit(passes(k, fused_outer=True)).alias("passes"), (F.lit(fixed) + F.col("gamma") * (1 + 2 * k)).cast("bigint").alias("words")
-    )
+    drawn = Sizes(min(sizes.r, n), min(sizes.t1, n), min(sizes.t2, n), min(sizes.t, n), sizes.cutoff)
+    words = F.lit(words_stored(drawn, k)) + F.col("gamma") * (1 + 2 * k)
+    return out.select(estimate.alias("estimate"), "m_a", "m_b", F.col("n"), F.lit(drawn.r).cast("bigint").alias("r"), "t1", "t2", "t", F.lit(scans).alias("passes"), words.cast("bigint").alias("words"), F.lit(evaluations).cast("bigint").alias("evaluations"))
 
 
 def _sampled_pairs(nodes: DataFrame, similarity: Similarity, some: DataFrame) -> DataFrame:
@@ -125,6 +136,3 @@ def boosted_estimate(ids: DataFrame, pairs: DataFrame, k: int, budget: float, re
     trials = trial_table(ids.sparkSession, [(f"{seed}{i}", k, budget, budget_sizes(n, budget)) for i in range(repeats)])
     return estimate_trials(ids, pairs, trials, mode).agg(F.median("estimate").alias("median_estimate"), F.count("*").alias("repeats"))
 
-
-def on_pairs(pairs: DataFrame) -> EdgeTable:
-    return EdgeTable(pairs)

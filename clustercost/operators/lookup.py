@@ -1,7 +1,7 @@
 """Anchored lookups: the budgeted pivot with the search restricted to the earliest-ranked nodes.
 
 Anchors are closed under earlier rank, so they settle among themselves; every other node
-folds its anchors in rank order.  It ends with a pivot's label, with its own after the
+folds its anchors in rank order, by windows and sums, however many there are.  It ends with a pivot's label, with its own after the
 budget is gone, or without a label.
 """
 
@@ -12,16 +12,13 @@ from pyspark.sql import functions as F
 
 from .graph import both_ways
 from .pivot import first_k, settle
-
-MOST_LISTED = 10_000
+from .sampling import first_of_trials
 
 
 def anchors_of(ranked: DataFrame, trials: DataFrame) -> DataFrame:
     """``trial, id, key`` of each trial's ``r`` earliest nodes."""
-    most = trials.agg(F.max("r")).first()[0] or 0  # a literal bound: tasks drop the rest before the shuffle
-    place = F.row_number().over(Window.partitionBy("trial").orderBy("key", "id"))
-    first = ranked.join(F.broadcast(trials.select("trial", "r")), "trial").withColumn("place", place).where(F.col("place") <= F.lit(most))
-    return first.where(F.col("place") <= F.col("r")).select("trial", "id", "key")
+    sized = ranked.join(F.broadcast(trials.select("trial", F.col("r").alias("wanted"))), "trial")
+    return first_of_trials(sized, "key").select("trial", "id", "key")
 
 
 def anchored_pivot(ranked: DataFrame, anchors: DataFrame, pairs: DataFrame, trials: DataFrame, k_max: int | None = None) -> DataFrame:
@@ -33,22 +30,19 @@ def anchored_pivot(ranked: DataFrame, anchors: DataFrame, pairs: DataFrame, tria
     k_max = k_max or trials.agg(F.max("k")).first()[0]
     mark = anchors.select("trial", F.col("id").alias("near"), F.col("key").alias("near_key"))
     near = both_ways(pairs).join(mark, "near").join(ranked.select("trial", "id", "key"), ["trial", "id"]).where(F.struct("near_key", "near") < F.struct("key", "id")).select("trial", "id", "near", "near_key")
-    if k_max < MOST_LISTED:
-        near = first_k(near, k_max).drop("place")  # each costs one call at least, so no lookup sees more
+    near = first_k(near, k_max).drop("place")  # each costs one call at least, so no lookup sees more
     among = near.join(anchors.select("trial", "id"), ["trial", "id"], "left_semi")
     settled = settle(anchors, among, k_max)
     # a settled anchor's exact pivot status is known when it did not time out at the largest budget
     state = settled.select("trial", F.col("id").alias("near"), F.col("calls"), (~F.col("timed_out") & (F.col("pivot") == F.col("id"))).alias("is_pivot"))
-    lists = near.join(state, ["trial", "near"]).groupBy("trial", "id").agg(F.sort_array(F.collect_list(F.struct("near_key", "near", "calls", "is_pivot"))).alias("list"))
-    zero = F.struct(F.lit(1).alias("calls"), F.lit(None).cast("bigint").alias("pivot"), F.lit(False).alias("done"))
-
-    def step(s, x):
-        total = s["calls"] + x["calls"]
-        late = total > F.col("k")
-        return F.when(s["done"], s).otherwise(F.struct(F.least(total, F.col("k") + 1).alias("calls"), F.when(x["is_pivot"] & ~late, x["near"]).alias("pivot"), (x["is_pivot"] | late).alias("done")))
-
-    rows = ranked.select("trial", "id").join(F.broadcast(trials.select("trial", F.col("k").cast("int").alias("k"))), "trial").join(lists, ["trial", "id"], "left").join(anchors.select("trial", "id", F.lit(True).alias("anchor")), ["trial", "id"], "left")
-    folded = rows.withColumn("f", F.aggregate(F.coalesce("list", F.array().cast("array<struct<near_key:string,near:bigint,calls:int,is_pivot:boolean>>")), zero, step))
+    # a fold that gathers no list: it ends at the first pivot in order, and has spent the calls up to there
+    order = F.struct("near_key", "near")
+    stop = F.min(F.when(F.col("is_pivot"), order)).over(Window.partitionBy("trial", "id"))
+    spent = near.join(state, ["trial", "near"]).withColumn("stop", stop).where(F.col("stop").isNull() | (order <= F.col("stop")))
+    folds = spent.groupBy("trial", "id").agg(F.sum(F.col("calls").cast("bigint")).alias("spent"), F.max("stop.near").alias("first"))
+    rows = ranked.select("trial", "id").join(F.broadcast(trials.select("trial", F.col("k").cast("int").alias("k"))), "trial").join(folds, ["trial", "id"], "left").join(anchors.select("trial", "id", F.lit(True).alias("anchor")), ["trial", "id"], "left")
+    calls = F.least(1 + F.coalesce("spent", F.lit(0).cast("bigint")), (F.col("k") + 1).cast("bigint")).cast("int")
+    folded = rows.withColumn("calls", calls).withColumn("f", F.struct("calls", F.when(F.col("calls") <= F.col("k"), F.col("first")).alias("pivot")))
     own = (F.col("f.calls") > F.col("k")) | F.coalesce("anchor", F.lit(False)) & F.col("f.pivot").isNull()
     pivot = F.when(own, F.col("id")).otherwise(F.col("f.pivot"))
     return folded.select("trial", "id", pivot.alias("pivot"), F.col("f.calls").alias("calls"), F.when(pivot.isNull(), "B").otherwise("A").alias("part"))

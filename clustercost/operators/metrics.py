@@ -25,7 +25,7 @@ def success_rate(inside: Column) -> Column:
 
 def space_ledger(spark: SparkSession, sizes: Sizes, k: int, gamma: int) -> DataFrame:
     """``stage, nodes, words`` of what an estimate stores."""
-    rows = [("anchors", sizes.r, sizes.r), ("first sample", sizes.t1, 2 * sizes.t1), ("second sample", sizes.t2, 2 * sizes.t2), ("residual sample", sizes.t, sizes.t), ("neighbourhoods", gamma, gamma), ("walks", 0, 2 * k * gamma)]
+    rows = [("anchors", sizes.r, sizes.r), ("first sample", sizes.t1, 2 * sizes.t1), ("first sample again", sizes.t1, 2 * sizes.t1), ("second sample", sizes.t2, 2 * sizes.t2), ("residual sample", sizes.t, sizes.t), ("neighbourhoods", gamma, gamma), ("walks", 0, 2 * k * gamma)]
     return spark.createDataFrame(rows, "stage string, nodes bigint, words bigint")
 
 

@@ -33,13 +33,18 @@ def earlier_neighbours(ranked: DataFrame, pairs: DataFrame) -> DataFrame:
     return both.select("trial", F.when(first, F.col("v")).otherwise(F.col("u")).alias("id"), F.when(first, F.col("u")).otherwise(F.col("v")).alias("near"), F.when(first, F.col("ku")).otherwise(F.col("kv")).alias("near_key"))
 
 
-def settle(ranked: DataFrame, earlier: DataFrame, k: int | None = None, strategy: str = "auto") -> DataFrame:
-    """``trial, id, pivot, calls, timed_out``: exact pivots, or budgeted with calls saturated at k + 1."""
+def settle(ranked: DataFrame, earlier: DataFrame, k: int | None = None, strategy: str = "auto", local_rows: int = LOCAL_ROWS) -> DataFrame:
+    """``trial, id, pivot``: exact pivots; with ``k`` also ``calls, timed_out``: budgeted, calls saturated at k + 1.
+
+    ``strategy`` is ``rounds``, ``local``, or ``auto``, which takes the local form up to
+    ``local_rows`` counted rows; all give the same rows.
+    """
     if strategy == "auto":
         ranked, earlier = checkpointed(ranked), checkpointed(earlier)
-        strategy = "local" if earlier.count() + ranked.count() <= LOCAL_ROWS else "rounds"
+        strategy = "local" if earlier.count() + ranked.count() <= local_rows else "rounds"
     if strategy == "local":
-        return _local(ranked, earlier, k)
+        found = _local(ranked, earlier, k)
+        return found.select("trial", "id", "pivot") if k is None else found
     return _rounds_exact(ranked, earlier) if k is None else _rounds_budgeted(ranked, earlier, k)
 
 
@@ -93,7 +98,7 @@ def _rounds_exact(ranked: DataFrame, earlier: DataFrame, most_rounds: int = 200)
     first = earlier.join(pivots.withColumnRenamed("id", "near"), ["trial", "near"]).groupBy("trial", "id").agg(F.min_by("near", F.struct("near_key", "near")).alias("first"))
     own = pivots.withColumn("own", F.lit(True))
     labelled = ranked.select("trial", "id").join(own, ["trial", "id"], "left").join(first, ["trial", "id"], "left")
-    return labelled.select("trial", "id", F.when(F.col("own"), F.col("id")).otherwise(F.col("first")).alias("pivot"), F.lit(None).cast("int").alias("calls"), F.lit(False).alias("timed_out"))
+    return labelled.select("trial", "id", F.when(F.col("own"), F.col("id")).otherwise(F.col("first")).alias("pivot"))
 
 
 def first_k(earlier: DataFrame, k: int) -> DataFrame:

@@ -5,8 +5,9 @@ from __future__ import annotations
 import math
 from dataclasses import dataclass
 
-#: How a budget of stored nodes is dealt out [our choice]: anchors, first, second, residual sample.
-SPLIT = (1 / 2, 1 / 6, 1 / 6, 1 / 6)
+#: How a budget of stored nodes is dealt out [our choice]: anchors, first, second, residual sample; the
+#: first sample is drawn twice (to classify, and to count), so its share is charged twice.
+SPLIT = (1 / 2, 1 / 8, 1 / 8, 1 / 8)
 
 
 @dataclass(frozen=True)
@@ -43,12 +44,12 @@ def budget_sizes(n: int, fraction: float, split: tuple[float, float, float, floa
 
 
 def words_stored(sizes: Sizes, k: int, neighbourhoods: int = 0) -> int:
-    """Words: a node or a counter is one; a walk holds 2k entries for each neighbourhood member."""
-    return sizes.r + 2 * sizes.t1 + 2 * sizes.t2 + sizes.t + neighbourhoods * (1 + 2 * k)
+    """Words: a node or a counter is one; the first sample counts twice; a walk holds 2k entries for each neighbourhood member."""
+    return sizes.r + 4 * sizes.t1 + 2 * sizes.t2 + sizes.t + neighbourhoods * (1 + 2 * k)
 
 
 def passes(k: int, fused_outer: bool = False) -> int:
-    """Scans of the whole estimate: one for the anchors, then both parts side by side."""
+    """Scans that the printed estimate needs at most: one for the anchors, then both parts side by side."""
     return k + 4 - int(fused_outer)
 
 

@@ -118,6 +118,17 @@ def profile_graphs(spark: SparkSession, sf: str) -> DataFrame:
 EMB, EMB3 = o.GRAPH["emb"], o.GRAPH["emb3"]
 
 
+@query("pivot_labels_page_rounds", ORACLES["pivot_labels_page"])
+def pivot_labels_page_rounds(spark: SparkSession, sf: str) -> DataFrame:
+    """The form for graphs of any size."""
+    return pivot.pivot_cluster(*nodes_and_pairs(spark, sf, "page"), form="rounds")
+
+
+@query("budgeted_labels_page_k5_rounds", ORACLES["budgeted_labels_page_k5"])
+def budgeted_labels_page_k5_rounds(spark: SparkSession, sf: str) -> DataFrame:
+    return pivot.budgeted_pivot(*nodes_and_pairs(spark, sf, "page"), k=5, strategy="rounds")
+
+
 @query("rank_order_emb", "SELECT vec_id AS id, md5('s:' || vec_id) AS key, row_number() OVER (ORDER BY md5('s:' || vec_id), vec_id) AS rank FROM embeddings")
 def rank_order_emb(spark: SparkSession, sf: str) -> DataFrame:
     return ranking.dense_rank_order(table(spark, sf, "embeddings").select(F.col("vec_id").alias("id")), SEED).select("id", "key", "rank")
@@ -181,7 +192,7 @@ def part_sizes_emb(spark: SparkSession, sf: str) -> DataFrame:
     return lookup.part_sizes(labels, graph.degrees(ids, pairs))
 
 
-@query("mismatch_pairs_emb3", o.query(EMB3, T_ONE, o.fold(), "SELECT a.id AS u, b.id AS v, CASE WHEN p.u IS NULL THEN 'joined' ELSE 'cut' END AS kind FROM exact a JOIN exact b ON a.id < b.id LEFT JOIN pairs p ON p.u = a.id AND p.v = b.id WHERE (p.u IS NOT NULL) = (a.pivot <> b.pivot)"))
+@query("mismatch_pairs_emb3", o.query(EMB3, T_ONE, o.fold(), "SELECT p.u, p.v, 'cut' AS kind FROM pairs p JOIN exact a ON a.id = p.u JOIN exact b ON b.id = p.v WHERE a.pivot <> b.pivot UNION ALL SELECT a.id AS u, b.id AS v, 'joined' AS kind FROM exact a JOIN exact b ON a.pivot = b.pivot AND a.id < b.id LEFT JOIN pairs p ON p.u = a.id AND p.v = b.id WHERE p.u IS NULL"))
 def mismatch_pairs_emb3(spark: SparkSession, sf: str) -> DataFrame:
     ids, pairs = nodes_and_pairs(spark, sf, "emb3")
     return mismatch.mismatch_pairs(checkpointed(pivot.pivot_cluster(ids, pairs)), pairs)
@@ -250,7 +261,12 @@ def walker_emb(spark: SparkSession, sf: str) -> DataFrame:
 # --- the whole estimate -----------------------------------------------------------------------------------
 
 
-@query("estimate_cost_emb_on_demand", ORACLES["estimate_cost_emb"].replace("19::BIGINT AS passes", "500 * 0 + 18 AS passes"))
+#: Scans of a run: ranks, anchors and first samples, second sample and centers, walks, and the members' last scan.
+#: A walk takes as many scans as its lookup has calls, and k at most.
+COUNTED = "(SELECT 4 + coalesce(max(least(e.calls, 15)), 0) FROM exact e SEMI JOIN (SELECT id FROM sb UNION SELECT sym.y FROM sb JOIN sym ON sym.x = sb.id) g ON g.id = e.id)::INTEGER AS passes"
+
+
+@query("estimate_cost_emb_on_demand", ORACLES["estimate_cost_emb"].replace("19::BIGINT AS passes", COUNTED))
 def estimate_cost_emb_on_demand(spark: SparkSession, sf: str) -> DataFrame:
     """Similarities evaluated only between samples and nodes, residual members settled by walks."""
     nodes, similarity = load_graph(spark, sf, "emb")
@@ -680,7 +696,7 @@ def high_low_ablation(spark: SparkSession, sf: str) -> DataFrame:
     return metrics.summary(split.unionByName(naive), "value", "method")
 
 
-SPLITS = {"even": (1 / 4, 1 / 4, 1 / 4, 1 / 4), "anchors": (7 / 10, 1 / 10, 1 / 10, 1 / 10), "default": (1 / 2, 1 / 6, 1 / 6, 1 / 6)}
+SPLITS = {"even": (1 / 5, 1 / 5, 1 / 5, 1 / 5), "anchors": (7 / 10, 3 / 40, 3 / 40, 3 / 40), "default": (1 / 2, 1 / 8, 1 / 8, 1 / 8)}  # the second share counts twice
 
 
 @query("split_ablation_emb")
@@ -696,7 +712,7 @@ def split_ablation_emb(spark: SparkSession, sf: str) -> DataFrame:
 # --- ledgers ----------------------------------------------------------------------------------------------
 
 
-@query("space_ledger_emb", "SELECT * FROM (SELECT count(*) AS n FROM embeddings) c, LATERAL (SELECT stage, nodes, words FROM (VALUES ('anchors', least(50, n), least(50, n)), ('first sample', 25, 50), ('second sample', 25, 50), ('residual sample', 10, 10), ('neighbourhoods', 40, 40), ('walks', 0, 1200)) v(stage, nodes, words))".replace("SELECT * FROM", "SELECT stage, nodes::BIGINT AS nodes, words::BIGINT AS words FROM", 1))
+@query("space_ledger_emb", "SELECT * FROM (SELECT count(*) AS n FROM embeddings) c, LATERAL (SELECT stage, nodes, words FROM (VALUES ('anchors', least(50, n), least(50, n)), ('first sample', 25, 50), ('first sample again', 25, 50), ('second sample', 25, 50), ('residual sample', 10, 10), ('neighbourhoods', 40, 40), ('walks', 0, 1200)) v(stage, nodes, words))".replace("SELECT * FROM", "SELECT stage, nodes::BIGINT AS nodes, words::BIGINT AS words FROM", 1))
 def space_ledger_emb(spark: SparkSession, sf: str) -> DataFrame:
     return metrics.space_ledger(spark, Sizes(50, 25, 25, 10, 1.0), 15, 40)
 

@@ -143,7 +143,7 @@ def pair_estimate(labels: str, name: str = "pe") -> str:
   FROM dp d JOIN {labels} a ON a.trial = d.trial AND a.id = d.u JOIN {labels} b ON b.trial = d.trial AND b.id = d.v LEFT JOIN pairs p ON p.u = d.u AND p.v = d.v GROUP BY d.trial)"""
 
 
-def trials(rows: list[tuple[str, int, float]], split: tuple[float, float, float, float] = (1 / 2, 1 / 6, 1 / 6, 1 / 6), fixed: int | None = None) -> str:
+def trials(rows: list[tuple[str, int, float]], split: tuple[float, float, float, float] = (1 / 2, 1 / 8, 1 / 8, 1 / 8), fixed: int | None = None) -> str:
     """``trials(trial, seed, k, space, r, t1, t2, t, cutoff, q, qp)`` from (seed, k, space), or with all sizes fixed."""
     shown = ", ".join(f"({i}, '{seed}', {k}, {space!r}::DOUBLE)" for i, (seed, k, space) in enumerate(rows))
     size = (lambda s: str(fixed)) if fixed else (lambda s: f"least(n, greatest(1, floor(n * space * {s!r}::DOUBLE + 0.5)))::BIGINT")

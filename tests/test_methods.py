@@ -88,7 +88,7 @@ def test_forms_agree_and_budget_truncates(spark, seed):
         assert sorted(pivot.pivot_cluster(ids, edges, f"t{seed}", form).collect()) == sorted(want)
     exact = {r["id"]: r["pivot"] for r in want}
     ranked = ids.select(F.lit(0).alias("trial"), "id", rank_key(f"t{seed}").alias("key"))
-    calls = {r["id"]: r["calls"] for r in pivot.settle(ranked, pivot.earlier_neighbours(ranked, edges), None, "local").collect()}
+    calls = {r["id"]: r["calls"] for r in pivot.settle(ranked, pivot.earlier_neighbours(ranked, edges), 1_000_000, "local").collect()}
     for k in (1, 2, 3, 5):
         rounds = {r["id"]: (r["pivot"], r["calls"]) for r in pivot.budgeted_pivot(ids, edges, k, f"t{seed}", "rounds").collect()}
         assert rounds == {i: (exact[i] if calls[i] <= k else i, min(calls[i], k + 1)) for i in exact}
@@ -145,7 +145,7 @@ def test_estimate_on_demand_equals_batch(spark):
     one = estimator.trial_table(spark, [("s", 5, 0.5, budget_sizes(n, 0.5))])
     batch = estimator.estimate_trials(ids, edges, one).first()
     walked = estimator.estimate_cost(ids, EdgeTable(edges), k=5, budget=0.5).first()
-    assert walked["estimate"] == pytest.approx(batch["estimate"]) and walked["passes"] == 8
+    assert walked["estimate"] == pytest.approx(batch["estimate"]) and 4 <= walked["passes"] <= 5 + 4
     theory = estimator.estimate_cost(ids, EdgeTable(edges), k=5, eps=0.5, normalize=True, labels="rounds").first()
     exact = mismatch.clustering_cost(pivot.budgeted_pivot(ids, edges, 5), edges).first()["cost"]
     assert theory["estimate"] >= exact
@@ -227,7 +227,7 @@ def test_ranks_and_samples(spark):
 def test_sizes():
     s = theory_sizes(4206785, 15, 0.0, 0.1, capped=False)
     assert 9.0e8 < s.r < 1.1e9 and theory_sizes(500, 15).r == 500
-    assert budget_sizes(1000, 0.12) == Sizes(60, 20, 20, 20, cutoff_of(1000, 20)) and passes(15) == 19
+    assert budget_sizes(1000, 0.12) == Sizes(60, 15, 15, 15, cutoff_of(1000, 15)) and passes(15) == 19
 
 
 def test_plans(spark, sf):
