@@ -215,7 +215,7 @@ def _merged(docs: DataFrame, groups: list, window: int) -> DataFrame:
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             data, offsets = text_bytes(batch.column(2))
-            sizes = [Words(data[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a], ALNUM_WORDS).count for a, b in blocks(offsets)]
+            sizes = [Words(LOWER[data[offsets[a] : offsets[b]]], offsets[a : b + 1] - offsets[a], ALNUM_WORDS).count for a, b in blocks(offsets)]
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(np.concatenate(sizes) if sizes else [], pa.int64())], names=["doc_id", "key", "n_words"])
 
     found = checkpointed(reduce(DataFrame.unionByName, [hits(g) for g in groups]))

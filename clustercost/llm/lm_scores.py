@@ -252,7 +252,7 @@ def token_count(documents: DataFrame) -> int:
         n = 0
         for batch in batches:
             data, offsets = text_bytes(batch.column(0))
-            n += sum(len(Words(data[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a], ALNUM_WORDS).start) for a, b in blocks(offsets))
+            n += sum(len(Words(LOWER[data[offsets[a] : offsets[b]]], offsets[a : b + 1] - offsets[a], ALNUM_WORDS).start) for a, b in blocks(offsets))
         yield pa.RecordBatch.from_arrays([pa.array([n], pa.int64())], names=["n"])
 
     return arrow_map(documents.select("text"), count, "n bigint").agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]

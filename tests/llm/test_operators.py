@@ -157,7 +157,7 @@ def brute_scores(rows, backoff=0.4, least=2, order=3):
 
 
 def test_lm_scores(spark, odd, empty):
-    for df in (odd, documents(spark, [(i, f"the cat sat on the mat {i % 3}") for i in range(50)])):
+    for df in (odd, documents(spark, [(i, f"The cat SAT on the mat {i % 3}") for i in range(50)])):
         rows = [(r["doc_id"], r["text"]) for r in df.collect()]
         got = [(r["doc_id"], r["n_words"], r["log_score"]) for r in lm_scores.score_documents(df).collect()]
         assert sorted(got, key=str) == brute_scores(rows)
@@ -382,7 +382,7 @@ def test_decontamination(spark, odd, empty, max_mb):
     vocabulary = [f"v{i}" for i in range(12)]
     make = lambda n: " ".join(rng.choice(vocabulary) for _ in range(n))
     items = [(i, make(rng.choice([0, 1, 2, 5, 12, 13, 14, 40]))) for i in range(15)] + [(90, None), (91, ODD[5]), (92, "same words")]
-    rows = [(i, make(rng.randrange(60)) + " " + (items[i % 15][1].upper() if i % 2 else "")) for i in range(60)]
+    rows = [(100, "ONLY CAPITALS Here"), (101, "Same WORDS")] + [(i, make(rng.randrange(60)) + " " + (items[i % 15][1].upper() if i % 2 else "")) for i in range(60)]
     bench = spark.createDataFrame(items, "item_id bigint, text string").withColumn("doc_id", F.lit(1))
     for df in (documents(spark, rows), odd):
         have = [(r["doc_id"], r["text"]) for r in df.collect()]

@@ -50,8 +50,9 @@ def test_stages_on_odd_rows(spark, sf):
     """Nulls, empty and long texts, repeats, and columns whose names the stages use themselves."""
     long = " ".join(f"w{i % 997}x{i}" for i in range(20_000))
     passage = " ".join(f"p{i}" for i in range(60))
+    six, seven = (" ".join(f"{c}{i}" for i in range(90)) for c in "ab")
     toxic = "you are an idiot, a moron and worthless scum."
-    rows = [(1, None), (2, ""), (3, " \n"), (4, long), (5, long), (None, "no id at all"), (None, None), (6, "a " + passage), (7, passage + " b"), (7, passage + " b"), (8, toxic), (9, "fine words here")]
+    rows = [(1, None), (2, ""), (3, " \n"), (4, long), (5, long), (None, "no id at all"), (None, None), (6, six + " " + passage), (7, passage + " " + seven), (7, passage + " " + seven), (8, toxic), (9, "fine words here")]
     schema = "doc_id bigint, text string, lang string, source string, n_chars bigint, spans int, `key of row` string, node bigint, score double, class bigint"
     docs = spark.createDataFrame([(i, t, "en", "s", None if t is None else len(t), 1, "k", 2, 0.5, 3) for i, t in rows], schema)
     columns, kept = docs.columns, []
@@ -63,6 +64,6 @@ def test_stages_on_odd_rows(spark, sf):
     toxic_gone, one_of_each, cut, clean = kept
     assert sorted(toxic_gone, key=str) == sorted([r for r in rows if r[0] != 8], key=str)
     assert len(one_of_each) == len({t or "" for _, t in toxic_gone}) and len([t for _, t in one_of_each if t == long]) == 1
-    assert dict(cut)[6] == "a" and dict(cut)[7] == "b" and clean == cut
+    assert dict(cut)[6] == six and dict(cut)[7] == seven and clean == cut
     packed = corpus_pipeline.STAGES[-1][1](spark, docs, sf).collect()
     assert {r["doc_id"] for r in packed} == {i for i, _ in clean} and all(r["length"] <= 1024 for r in packed)
