@@ -71,6 +71,7 @@ def estimate_cost(
     seed: str = "s",
     mode: str = "two_sample",
     labels: str = "walk",
+    gathered: tuple[DataFrame, DataFrame] | None = None,
 ) -> DataFrame:
     """One row ``estimate, m_a, m_b, n, r, t1, t2, t, passes, words, evaluations``; similarities are evaluated on demand.
 
@@ -80,7 +81,8 @@ def estimate_cost(
     Nodes meet only samples: the anchors, the first and second sample, the residual sample and the
     walks' probes.  With ``eps`` the sizes follow theory (at ``eps / 8``) and ``normalize`` gives the
     form that does not fall below the true count; otherwise ``budget`` is the stored share of
-    nodes.  ``labels='rounds'`` settles the whole graph instead of walking.
+    nodes.  ``labels='rounds'`` settles the whole graph instead of walking.  ``gathered`` are the anchors and both first
+    samples where a live pass has drawn them already.
     """
     spark = nodes.sparkSession
     n = nodes.count()
@@ -97,8 +99,11 @@ def estimate_cost(
         scans, evaluations = scans + 1, evaluations + chosen.count() * n
         return _sampled_pairs(nodes, similarity, chosen)
 
-    anchors = checkpointed(anchors_of(ranked, trials))
-    firsts = checkpointed(bottom_k_trials(ranked, trials, "t1", "s1").unionByName(bottom_k_trials(ranked, trials, "t1", "s1b")))
+    if gathered:
+        anchors, firsts = gathered
+    else:
+        anchors = checkpointed(anchors_of(ranked, trials))
+        firsts = checkpointed(bottom_k_trials(ranked, trials, "t1", "s1").unionByName(bottom_k_trials(ranked, trials, "t1", "s1b")))
     first_pairs = met(anchors, firsts)
     al = checkpointed(anchored_pivot(ranked, anchors, first_pairs, trials))
     low = checkpointed(bottom_k_trials(classify_by_sample(al, first_pairs, trials, mode).where(~F.col("is_high")).select("trial", "id", "pivot"), trials, "t2", "s2"))

@@ -19,12 +19,28 @@ from pyspark.sql import functions as F
 
 from ..lineage import checkpointed
 
+#: Rows of one key that a join holds together; keys with more are dealt over several salts.
+HOT = 4096
 
 
 def _ordered(pairs: DataFrame) -> DataFrame:
     return pairs.where(F.col("id") != F.col("near")).select(F.least("id", "near").alias("u"), F.greatest("id", "near").alias("v")).distinct()
 
 
+def meet(left: DataFrame, right: DataFrame, on: list[str], hot: int | None = None) -> DataFrame:
+    """``left`` joined to ``right(near, *on)`` with the right rows of a hot key dealt over salts.
+
+    Each left row of such a key meets every salt, so no pair is lost, and a task holds at most some ``hot`` right rows of
+    one key, however many nodes share it.
+    """
+    hot = hot or HOT
+    crowded = right.groupBy(*on).agg(F.count("*").alias("n")).where(F.col("n") > hot).select(*on, F.ceil(F.col("n") / hot).cast("int").alias("salts"))
+    salts = F.coalesce("salts", F.lit(1))
+    spread = left.join(crowded, on, "left").withColumn("salt", F.explode(F.sequence(F.lit(0), salts - 1))).drop("salts")
+    dealt = right.join(crowded, on, "left").withColumn("salt", F.pmod(F.xxhash64("near"), salts).cast("int")).drop("salts")
+    return spread.join(dealt, [*on, "salt"]).drop("salt")
+
+
 class Similarity:
     def pairs_between(self, left: DataFrame, right: DataFrame) -> DataFrame:
         raise NotImplementedError
@@ -138,13 +154,13 @@ class SharedItems(Similarity):
 
     def pairs_between(self, left: DataFrame, right: DataFrame) -> DataFrame:
         explode = lambda d, n: d.select(F.col("id").alias(n), F.explode(F.array_distinct(self.column)).alias("item"))
-        met = explode(left, "id").join(explode(right, "near"), "item").where(F.col("id") != F.col("near"))
+        met = meet(explode(left, "id"), explode(right, "near"), ["item"]).where(F.col("id") != F.col("near"))
         return met.groupBy("id", "near").agg(F.count("*").alias("n")).where(F.col("n") >= self.least).select("id", "near")
 
     def pairs(self, nodes: DataFrame) -> DataFrame:
         explode = nodes.select("id", F.explode(F.array_distinct(self.column)).alias("item"))
-        met = explode.select(F.col("id").alias("u"), "item").join(explode.select(F.col("id").alias("v"), "item"), "item").where("u < v")
-        return met.groupBy("u", "v").agg(F.count("*").alias("n")).where(F.col("n") >= self.least).select("u", "v")
+        met = meet(explode.select(F.col("id").alias("u"), "item"), explode.select(F.col("id").alias("near"), "item"), ["item"]).where("u < near")
+        return met.groupBy("u", F.col("near").alias("v")).agg(F.count("*").alias("n")).where(F.col("n") >= self.least).select("u", "v")
 
 
 @dataclass
@@ -152,14 +168,14 @@ class Jaccard(Similarity):
     """Jaccard of an array column's sets above ``theta`` (strictly).
 
     Items are ordered by rarity, and only each set's prefix can hold the first common item of a pair
-    above ``theta``; frequent items thus drop out of the join without loss.
+    above ``theta``; frequent items thus drop out of the join without loss.  Null items are no items.
     """
 
     column: str
     theta: float
 
     def scored(self, nodes: DataFrame) -> DataFrame:
-        hashed = F.transform(self.column, lambda x: F.xxhash64(x))  # equal items, eight bytes each
+        hashed = F.transform(F.array_compact(self.column), lambda x: F.xxhash64(x))  # equal items, eight bytes each
         sets = checkpointed(nodes.select("id", F.array_distinct(hashed).alias("items")).where(F.size("items") > 0))
         flat = sets.select("id", F.size("items").alias("n"), F.explode("items").alias("item"))
         rarity = flat.groupBy("item").agg(F.count("*").alias("df")).where("df > 1")
@@ -167,8 +183,8 @@ class Jaccard(Similarity):
         # a pair above theta shares more than theta * n items of either set; unique items cannot be shared
         prefix = F.slice("items", 1, F.greatest(F.lit(0), F.size("items") - F.floor(F.col("n") * self.theta).cast("int")))
         heads = ordered.select("id", "n", F.explode(prefix).alias("e")).select("id", "n", "e.item")
-        a, b = (heads.select(F.col("id").alias(x), F.col("n").alias(f"n{x}"), "item") for x in "uv")
-        candidates = a.join(b, "item").where("u < v").where(F.least("nu", "nv") > F.greatest("nu", "nv") * self.theta).select("u", "v").distinct()
+        a, b = heads.select(F.col("id").alias("u"), F.col("n").alias("nu"), "item"), heads.select(F.col("id").alias("near"), F.col("n").alias("nv"), "item")
+        candidates = meet(a, b, ["item"]).where("u < near").where(F.least("nu", "nv") > F.greatest("nu", "nv") * self.theta).select("u", F.col("near").alias("v")).distinct()
         left, right = sets.select(F.col("id").alias("u"), F.col("items").alias("x")), sets.select(F.col("id").alias("v"), F.col("items").alias("y"))
         met = candidates.join(left, "u").join(right, "v").withColumn("common", F.size(F.array_intersect("x", "y")))
         score = F.col("common") / (F.size("x") + F.size("y") - F.col("common"))
@@ -179,8 +195,8 @@ class Jaccard(Similarity):
 
     def pairs_between(self, left: DataFrame, right: DataFrame) -> DataFrame:
         """For a sample on the left: every common item counts, no prefix is needed."""
-        explode = lambda d, a, s: d.select(F.col("id").alias(a), F.size(F.array_distinct(self.column)).alias(s), F.explode(F.array_distinct(self.column)).alias("item"))
-        met = explode(left, "id", "x").join(explode(right, "near", "y"), "item").where(F.col("id") != F.col("near"))
+        explode = lambda d, a, s: d.select(F.col("id").alias(a), F.size(F.array_distinct(F.array_compact(self.column))).alias(s), F.explode(F.array_distinct(F.array_compact(self.column))).alias("item"))
+        met = meet(explode(left, "id", "x"), explode(right, "near", "y"), ["item"]).where(F.col("id") != F.col("near"))
         counted = met.groupBy("id", "near", "x", "y").agg(F.count("*").alias("c"))
         return counted.where(F.col("c") / (F.col("x") + F.col("y") - F.col("c")) > self.theta).select("id", "near")
 
@@ -196,15 +212,15 @@ class CoOccurrence(Similarity):
         rows = self.members.select("group", "id").distinct()
         a = rows.join(left.select("id"), "id", "left_semi")
         b = rows.join(right.select("id"), "id", "left_semi").select("group", F.col("id").alias("near"))
-        return a.join(b, "group").where(F.col("id") != F.col("near")).groupBy("id", "near").agg(F.count("*").alias("n")).where(F.col("n") >= self.least)
+        return meet(a, b, ["group"]).where(F.col("id") != F.col("near")).groupBy("id", "near").agg(F.count("*").alias("n")).where(F.col("n") >= self.least)
 
     def pairs_between(self, left: DataFrame, right: DataFrame) -> DataFrame:
         return self._met(left, right).select("id", "near")
 
     def pairs(self, nodes: DataFrame) -> DataFrame:
         rows = self.members.select("group", "id").distinct().join(nodes.select("id"), "id", "left_semi")
-        met = rows.select("group", F.col("id").alias("u")).join(rows.select("group", F.col("id").alias("v")), "group").where("u < v")
-        return met.groupBy("u", "v").agg(F.count("*").alias("n")).where(F.col("n") >= self.least).select("u", "v")
+        met = meet(rows.select("group", F.col("id").alias("u")), rows.select("group", F.col("id").alias("near")), ["group"]).where("u < near")
+        return met.groupBy("u", F.col("near").alias("v")).agg(F.count("*").alias("n")).where(F.col("n") >= self.least).select("u", "v")
 
 
 @dataclass
@@ -214,7 +230,7 @@ class SameKey(Similarity):
     columns: tuple[str, ...]
 
     def pairs_between(self, left: DataFrame, right: DataFrame) -> DataFrame:
-        return left.select("id", *self.columns).join(right.select(F.col("id").alias("near"), *self.columns), list(self.columns)).where("id <> near").select("id", "near")
+        return meet(left.select("id", *self.columns), right.select(F.col("id").alias("near"), *self.columns), list(self.columns)).where("id <> near").select("id", "near")
 
     def classes(self, nodes: DataFrame) -> DataFrame:
         return nodes.groupBy(*self.columns).agg(F.count("*").alias("size"))
@@ -232,7 +248,7 @@ class NearInKey(Similarity):
         bucket = F.floor(F.col(self.value) / self.gap)
         a = left.select("id", F.col(self.key).alias("k"), F.col(self.value).alias("x"), F.explode(F.array(bucket - 1, bucket, bucket + 1)).alias("b"))
         b = right.select(F.col("id").alias("near"), F.col(self.key).alias("k"), F.col(self.value).alias("y"), bucket.alias("b"))
-        return a.join(b, ["k", "b"]).where((F.col("id") != F.col("near")) & (F.abs(F.col("x") - F.col("y")) <= self.gap)).select("id", "near")
+        return meet(a, b, ["k", "b"]).where((F.col("id") != F.col("near")) & (F.abs(F.col("x") - F.col("y")) <= self.gap)).select("id", "near")
 
 
 @dataclass

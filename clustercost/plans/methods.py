@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from ..lineage import checkpointed
 from ..operators import anchored, baselines, bounds, estimator, gadgets, graph, lookup, metrics, mismatch, optimum, pivot, ranking, residual, sampling, tuning
-from ..operators.similarity import L1Ball, SameKey, SparseL1
+from ..operators.similarity import CoOccurrence, L1Ball, SameKey, SparseL1
 from ..operators.walker import walk_pivots
 from ..params import Sizes, budget_sizes, cutoff_of, pairs_for
 from ..sources.graphs import load_graph, nodes_and_pairs, table
@@ -389,6 +389,19 @@ for g in ("emb", "page", "part"):
     query(f"space_sweep_{g}", None if heavy else o.query(o.GRAPH[g], o.trials(SPACE_ROWS), *FULL, o.costs("labels", "cb"), o.costs("exact", "x"), _values("budgeted", "compact"), ERRORS.format(by="t.space")))(_space)
     query(f"depth_sweep_{g}", None if heavy else o.query(o.GRAPH[g], o.trials(DEPTH_ROWS), *FULL, o.costs("labels", "cb"), o.costs("exact", "x"), _values("budgeted", "compact"), ERRORS.format(by="t.k")))(_depth)
 
+#: The grids in full: a hundred orders, all spaces and every depth from 2 to 20; without SQL, since pair-by-pair SQL takes hours on them.
+MANY = tuple(f"{SEED}{i}" for i in range(100))
+for g in ("emb", "page"):
+
+    def _space_many(spark: SparkSession, sf: str, g: str = g) -> DataFrame:
+        return _errors(sweep(spark, *nodes_and_pairs(spark, sf, g), [(s, 15, f) for f in SPACES for s in MANY], ("budgeted", "compact", "pair_sampling", "prior_pivot")), "space")
+
+    def _depth_many(spark: SparkSession, sf: str, g: str = g) -> DataFrame:
+        return _errors(sweep(spark, *nodes_and_pairs(spark, sf, g), [(s, k, 0.04) for k in range(2, 21) for s in MANY], ("budgeted", "compact")), "k")
+
+    query(f"space_sweep_{g}_orders100")(_space_many)
+    query(f"depth_sweep_{g}_orders100")(_depth_many)
+
 COMPETE_ROWS = [(s, 15, f) for f in (0.04, 0.1, 0.16) for s in SEEDS]
 for g in ("emb", "page"):
 
@@ -682,11 +695,23 @@ def cutoff_ablation_emb(spark: SparkSession, sf: str) -> DataFrame:
 @query("high_low_ablation")
 def high_low_ablation(spark: SparkSession, sf: str) -> DataFrame:
     """Spread of the split estimator and of naive degree sampling on a star: hubs are what the split is for."""
-    bits = checkpointed(_bits(spark, sf).select("i", F.lit(0).alias("bit")).where("i <= 80"))
+    bits = checkpointed(_bits(spark, sf).select("i", F.lit(0).alias("bit")))
     nodes = gadgets.index_gadget(bits, 3)
     ids, pairs = checkpointed(nodes.select("id")), checkpointed(SparseL1("x").pairs(nodes))
+    return _high_low(spark, ids, pairs, 40)
+
+
+@query("high_low_ablation_part")
+def high_low_ablation_part(spark: SparkSession, sf: str) -> DataFrame:
+    """The same on parts that meet in at least one order, where a few parts are met by many."""
+    nodes, _ = load_graph(spark, sf, "part")
+    members = table(spark, sf, "lineitem").select(F.col("l_orderkey").alias("group"), F.col("l_partkey").alias("id"))
+    return _high_low(spark, checkpointed(nodes.select("id")), checkpointed(CoOccurrence(members, 1).pairs(nodes)), 40)
+
+
+def _high_low(spark: SparkSession, ids: DataFrame, pairs: DataFrame, t: int) -> DataFrame:
     n = ids.count()
-    trials = checkpointed(estimator.trial_table(spark, [(f"h{i}", 5, 0.5, Sizes(n, 40, 40, 40, cutoff_of(n, 40))) for i in range(DRAWS)]))
+    trials = checkpointed(estimator.trial_table(spark, [(f"h{i}", 5, 0.5, Sizes(n, t, t, t, cutoff_of(n, t))) for i in range(DRAWS)]))
     one = trials.where("trial = 0")
     ranked = checkpointed(ranking.ranked_trials(ids, one))
     labels = lookup.anchored_pivot(ranked, lookup.anchors_of(ranked, one), pairs, one)

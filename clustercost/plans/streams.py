@@ -10,9 +10,10 @@ from pyspark.sql import functions as F
 from ..functions.registered import bottom_k_agg, cosine_sim, register_all
 from ..operators.ranking import rank_key
 from ..sources import gadget_source
-from ..sources.graphs import nodes_and_pairs, table
+from ..sources.graphs import load_graph, nodes_and_pairs, table
 from ..streaming import live
 from . import oracle as o
+from .methods import ORACLES as METHOD_ORACLES
 from .surface import _shared
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -66,7 +67,23 @@ def _(spark, sf):
     return done.groupBy(_stamp()).agg(F.sum("n").alias("n"))
 
 
-@query("stream_window_cost_events")
+def _mismatches(cell: str) -> str:
+    """SQL for ``wrong(user_id, cell, ts)``: an entry for each mismatched pair of one user's events in a cell, by a fold in rank order."""
+    same = "b.user_id = a.user_id AND b.cell = a.cell AND b.rk < a.rk"
+    near = "abs(epoch_us(a.ts) - epoch_us(b.ts)) <= 3600000000"
+    return f"""r AS MATERIALIZED (SELECT user_id, event_id AS id, ts, {cell} AS cell, row_number() OVER (PARTITION BY user_id, {cell} ORDER BY md5('s:' || event_id), event_id) AS rk FROM events),
+ahead AS MATERIALIZED (SELECT a.user_id, a.cell, a.rk, list(b.rk ORDER BY b.rk) FILTER ({near}) AS l FROM r a LEFT JOIN r b ON {same} GROUP BY ALL),
+fold AS (SELECT DISTINCT user_id, cell, 0::BIGINT AS i, []::BIGINT[] AS piv FROM r
+         UNION ALL SELECT f.user_id, f.cell, f.i + 1, list_append(f.piv, coalesce(list_filter(coalesce(s.l, []), lambda j: f.piv[j] = j)[1], f.i + 1)) FROM fold f JOIN ahead s ON s.user_id = f.user_id AND s.cell = f.cell AND s.rk = f.i + 1),
+done AS MATERIALIZED (SELECT user_id, cell, arg_max(piv, i) AS piv FROM fold GROUP BY ALL),
+labelled AS MATERIALIZED (SELECT r.*, d.piv[r.rk] AS pivot FROM r JOIN done d USING (user_id, cell)),
+wrong AS MATERIALIZED (SELECT a.user_id, a.cell, a.ts FROM labelled a JOIN labelled b ON {same} WHERE ({near}) = (a.pivot <> b.pivot))"""
+
+
+_DAY = "time_bucket(INTERVAL 1 DAY, ts)"
+
+
+@query("stream_window_cost_events", f"WITH RECURSIVE {_CLOSED}, {_mismatches(_DAY)}, c AS (SELECT cell, count(*) AS cost FROM wrong GROUP BY cell) SELECT strftime(n.cell, '{AT}') AS start, n.n, coalesce(c.cost, 0)::BIGINT AS cost FROM (SELECT cell, count(*) AS n FROM r GROUP BY cell) n LEFT JOIN c USING (cell), closed WHERE n.cell + INTERVAL 1 DAY <= mark")
 def _(spark, sf):
     at = _shared(spark)
     done = live.collected(live.window_cost(_stream(spark, sf)), f"{at}/out", f"{at}/offsets")
@@ -80,11 +97,23 @@ def _(spark, sf):
     return done.groupBy(_stamp()).agg(F.sum("n").alias("n"))
 
 
-@query("stream_session_cost_events", f"WITH {_CLOSED}, g AS (SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS run FROM (SELECT *, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) <= INTERVAL 1 HOUR THEN 0 ELSE 1 END AS fresh FROM events)), r AS (SELECT user_id, min(ts) AS s, max(ts) + INTERVAL 1 HOUR AS e, count(*) AS n FROM g GROUP BY user_id, run) SELECT user_id, strftime(s, '{AT}') AS start, n FROM r, closed WHERE e <= mark")
+_SESSIONS = "g AS (SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS run FROM (SELECT *, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) <= INTERVAL 1 HOUR THEN 0 ELSE 1 END AS fresh FROM events)), s AS (SELECT user_id, min(ts) AS s, max(ts) AS last, count(*) AS n FROM g GROUP BY user_id, run)"
+
+
+@query("stream_session_cost_events", f"WITH RECURSIVE {_CLOSED}, {_SESSIONS}, {_mismatches('0')} SELECT s.user_id, strftime(s.s, '{AT}') AS start, any_value(s.n) AS n, count(w.ts) AS cost FROM s JOIN closed ON s.last + INTERVAL 1 HOUR <= mark LEFT JOIN wrong w ON w.user_id = s.user_id AND w.ts BETWEEN s.s AND s.last GROUP BY s.user_id, s.s")
 def _(spark, sf):
     at = _shared(spark)
     done = live.collected(live.session_cost(_stream(spark, sf)), f"{at}/out", f"{at}/offsets")
-    return done.select("user_id", _stamp(), "n")
+    return done.select("user_id", _stamp(), "n", "cost")
+
+
+@query("stream_replayed_estimate_emb", METHOD_ORACLES["estimate_cost_emb_on_demand"])
+def _(spark, sf):
+    """Anchors and first samples from one live pass over the vectors, everything else by replays of the kept files."""
+    nodes, similarity = load_graph(spark, sf, "emb")
+    log = live.table_stream(spark, f"{sf}/embeddings.parquet").select(F.col("vec_id").alias("id"))
+    out = live.replayed_estimate(log, nodes, similarity, _shared(spark), nodes.count())
+    return out.select(*[F.round(c, 6).alias(c) for c in ("estimate", "m_a", "m_b")], "passes")
 
 
 @query("stream_deduplicated_events", "SELECT event_id FROM events")

@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..lineage import checkpointed
-from ..operators import graph, pivot, sampling
+from ..operators import graph, pivot, ranking, sampling
 from ..operators.mismatch import is_anchored_mismatch
 from ..operators.ranking import rank_key
 from ..operators.similarity import NearInKey, cosine, sparse_l1
@@ -46,7 +46,11 @@ def _keys(spark: SparkSession, sf: str) -> DataFrame:
 
 def _shared(spark: SparkSession) -> str:
     """A folder that all executors see, for round trips: beside the checkpoints."""
-    base = spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="shared-")
+    base = spark.conf.get("spark.checkpoint.dir", None)
+    if not base:
+        if spark.sparkContext.master.split("[")[0] != "local":
+            raise RuntimeError("spark.checkpoint.dir must name a folder that all executors share")
+        base = tempfile.mkdtemp(prefix="shared-")
     return f"{base}/roundtrip-{spark.sparkContext.applicationId}-{spark.range(1).select(F.expr('uuid()')).first()[0]}"
 
 
@@ -141,19 +145,13 @@ def _(spark, sf):
     return similarity.pairs(nodes)
 
 
-@op("join_interval", f"WITH k AS (SELECT vec_id AS id, {KEY} AS key FROM embeddings), p AS (SELECT id AS x, key AS hi, lag(key, 40) OVER (ORDER BY key) AS lo FROM k) SELECT p.x, k.id FROM p JOIN k ON k.key > p.lo AND k.key < p.hi WHERE p.x < 20")
-def _(spark, sf):
-    k = checkpointed(_keys(spark, sf))
-    p = k.select(F.col("id").alias("x"), F.col("key").alias("hi"), F.lag("key", 40).over(Window.orderBy("key")).alias("lo")).where("x < 20")
-    return k.join(F.broadcast(p), (F.col("key") > F.col("lo")) & (F.col("key") < F.col("hi"))).select("x", "id")
-
-
-@op("join_interval_whole", f"WITH k AS (SELECT vec_id AS id, {KEY} AS key FROM embeddings), p AS (SELECT id AS x, key AS hi, lag(key, 40) OVER (ORDER BY key) AS lo FROM k) SELECT p.x, k.id FROM p JOIN k ON k.key > p.lo AND k.key < p.hi")
+@op("join_interval", f"WITH k AS (SELECT vec_id AS id, {KEY} AS key FROM embeddings), p AS (SELECT id AS x, key AS hi, lag(key, 40) OVER (ORDER BY key) AS lo FROM k) SELECT p.x, k.id FROM p JOIN k ON k.key > p.lo AND k.key < p.hi")
 def _(spark, sf):
     """Every vector probes: an interval meets the cells of the key's first three digits that it touches."""
     cell = lambda key: F.conv(F.substring(key, 1, 3), 16, 10).cast("int")
     k = checkpointed(_keys(spark, sf))
-    p = k.select(F.col("id").alias("x"), F.col("key").alias("hi"), F.lag("key", 40).over(Window.orderBy("key")).alias("lo")).where("lo IS NOT NULL")
+    placed = checkpointed(ranking.places(k))
+    p = placed.select(F.col("id").alias("x"), F.col("key").alias("hi"), "place").join(placed.select((F.col("place") + 40).alias("place"), F.col("key").alias("lo")), "place").drop("place")
     touched = p.select("x", "lo", "hi", F.explode(F.sequence(cell(F.col("lo")), cell(F.col("hi")))).alias("cell"))
     return k.withColumn("cell", cell(F.col("key"))).join(touched, "cell").where("key > lo AND key < hi").select("x", "id")
 
@@ -182,14 +180,7 @@ def _(spark, sf):
     return ids.join(pairs.withColumnRenamed("u", "id"), "id", "left").groupBy("id").agg(F.count("v").alias("later"))
 
 
-@op("join_full_outer", "WITH a AS (SELECT c_nationkey AS k, count(*) AS n FROM customer WHERE c_custkey % 7 = 0 GROUP BY 1), b AS (SELECT s_nationkey AS k, count(*) AS m FROM supplier GROUP BY 1) SELECT coalesce(a.k, b.k) AS k, coalesce(n, 0)::BIGINT AS n, coalesce(m, 0)::BIGINT AS m FROM a FULL JOIN b ON a.k = b.k")
-def _(spark, sf):
-    a = table(spark, sf, "customer").where("c_custkey % 7 = 0").groupBy(F.col("c_nationkey").alias("k")).agg(F.count("*").alias("n"))
-    b = table(spark, sf, "supplier").groupBy(F.col("s_nationkey").alias("k")).agg(F.count("*").alias("m"))
-    return a.join(b, "k", "full").select("k", F.coalesce("n", F.lit(0)).alias("n"), F.coalesce("m", F.lit(0)).alias("m"))
-
-
-@op("join_full_outer_whole", "WITH a AS (SELECT c_nationkey AS k, count(*) AS n FROM customer GROUP BY 1), b AS (SELECT s_nationkey AS k, count(*) AS m FROM supplier GROUP BY 1) SELECT coalesce(a.k, b.k) AS k, coalesce(n, 0)::BIGINT AS n, coalesce(m, 0)::BIGINT AS m FROM a FULL JOIN b ON a.k = b.k")
+@op("join_full_outer", "WITH a AS (SELECT c_nationkey AS k, count(*) AS n FROM customer GROUP BY 1), b AS (SELECT s_nationkey AS k, count(*) AS m FROM supplier GROUP BY 1) SELECT coalesce(a.k, b.k) AS k, coalesce(n, 0)::BIGINT AS n, coalesce(m, 0)::BIGINT AS m FROM a FULL JOIN b ON a.k = b.k")
 def _(spark, sf):
     a = table(spark, sf, "customer").groupBy(F.col("c_nationkey").alias("k")).agg(F.count("*").alias("n"))
     b = table(spark, sf, "supplier").groupBy(F.col("s_nationkey").alias("k")).agg(F.count("*").alias("m"))
@@ -376,14 +367,7 @@ def _(spark, sf):
 
 # sets
 
-_A, _B = "SELECT c_nationkey AS k FROM customer WHERE c_custkey < 40", "SELECT s_nationkey AS k FROM supplier WHERE s_suppkey < 40"
-
-
 def _two(spark: SparkSession, sf: str) -> tuple[DataFrame, DataFrame]:
-    return table(spark, sf, "customer").where("c_custkey < 40").select(F.col("c_nationkey").alias("k")), table(spark, sf, "supplier").where("s_suppkey < 40").select(F.col("s_nationkey").alias("k"))
-
-
-def _two_whole(spark: SparkSession, sf: str) -> tuple[DataFrame, DataFrame]:
     return table(spark, sf, "customer").select(F.col("c_nationkey").alias("k")), table(spark, sf, "supplier").select(F.col("s_nationkey").alias("k"))
 
 
@@ -395,8 +379,7 @@ for _name, _word, _f in (
     ("set_except_all", "EXCEPT ALL", lambda a, b: a.exceptAll(b)),
     ("set_intersect_all", "INTERSECT ALL", lambda a, b: a.intersectAll(b)),
 ):
-    op(_name, f"{_A} {_word} {_B}")(lambda spark, sf, f=_f: f(*_two(spark, sf)))
-    op(f"{_name}_whole", f"SELECT c_nationkey AS k FROM customer {_word} SELECT s_nationkey AS k FROM supplier")(lambda spark, sf, f=_f: f(*_two_whole(spark, sf)))
+    op(_name, f"SELECT c_nationkey AS k FROM customer {_word} SELECT s_nationkey AS k FROM supplier")(lambda spark, sf, f=_f: f(*_two(spark, sf)))
 
 
 @op("mismatch_set_difference", o.query(o.GRAPH["emb3"], o.trials([("s", 5, 0.1)]), o.fold(), o.BUDGETED, "mp AS (SELECT a.id AS u, b.id AS v FROM exact a JOIN exact b ON a.id < b.id LEFT JOIN pairs p ON p.u = a.id AND p.v = b.id WHERE (p.u IS NOT NULL) = (a.pivot <> b.pivot))", "mb AS (SELECT a.id AS u, b.id AS v FROM labels a JOIN labels b ON a.id < b.id LEFT JOIN pairs p ON p.u = a.id AND p.v = b.id WHERE (p.u IS NOT NULL) = (a.pivot <> b.pivot))", "SELECT u, v FROM mp EXCEPT SELECT u, v FROM mb"))
@@ -458,12 +441,7 @@ def _(spark, sf):
     return pivot.budgeted_pivot(ids, pairs, 15, strategy="rounds").select("id", "calls")
 
 
-@op("arr_explode", "SELECT vec_id AS id, i - 1 AS place, round(embedding[i]::DOUBLE, 9) AS x FROM (SELECT vec_id, embedding, unnest(range(1, len(embedding) + 1)) AS i FROM embeddings WHERE vec_id < 20)")
-def _(spark, sf):
-    return table(spark, sf, "embeddings").where("vec_id < 20").select(F.col("vec_id").alias("id"), F.posexplode("embedding")).select("id", F.col("pos").cast("bigint").alias("place"), F.round(F.col("col").cast("double"), 9).alias("x"))
-
-
-@op("arr_explode_whole", "SELECT vec_id AS id, i - 1 AS place, round(embedding[i]::DOUBLE, 9) AS x FROM (SELECT vec_id, embedding, unnest(range(1, len(embedding) + 1)) AS i FROM embeddings)")
+@op("arr_explode", "SELECT vec_id AS id, i - 1 AS place, round(embedding[i]::DOUBLE, 9) AS x FROM (SELECT vec_id, embedding, unnest(range(1, len(embedding) + 1)) AS i FROM embeddings)")
 def _(spark, sf):
     return table(spark, sf, "embeddings").select(F.col("vec_id").alias("id"), F.posexplode("embedding")).select("id", F.col("pos").cast("bigint").alias("place"), F.round(F.col("col").cast("double"), 9).alias("x"))
 

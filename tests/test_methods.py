@@ -6,7 +6,7 @@ import random
 import pytest
 from pyspark.sql import functions as F
 
-from clustercost.operators import anchored, estimator, gadgets, graph, lookup, mismatch, optimum, pivot, residual
+from clustercost.operators import anchored, estimator, gadgets, graph, lookup, mismatch, optimum, pivot, residual, similarity
 from clustercost.operators.ranking import dense_rank_order, rank_key, ranked_trials
 from clustercost.operators.sampling import bottom_k
 from clustercost.operators.similarity import Cosine, Custom, EdgeTable, Jaccard, L1Ball, NearInKey, SameKey, SharedItems, SparseL1
@@ -253,3 +253,14 @@ def test_sampling_modes_differ_as_derived(spark, sf):
     mean = {m: anchored.estimate_anchored_part(many, pairs, trials, m).agg(F.avg("m_a")).first()[0] for m in ("paper", "two_sample")}
     assert mean["paper"] > 1.2 * truth and abs(mean["two_sample"] - truth) < 0.2 * truth
     assert residual.sample_centers(labels, base).count() > 0
+
+
+def test_an_item_of_all_nodes_is_dealt_over_salts(spark, monkeypatch):
+    """Forced low, the bound of a hot key changes no result of any join by key."""
+    nodes = spark.range(300).select("id", F.array(F.lit(-1), F.col("id") % 40, F.lit(None).cast("bigint")).alias("items"), (F.col("id") % 3).alias("key"), (F.col("id") % 50).alias("x"))
+    members = nodes.select("id", F.explode("items").alias("group"))
+    models = [similarity.SharedItems("items", 2), similarity.Jaccard("items", 0.6), similarity.CoOccurrence(members, 2), similarity.SameKey(("key",)), similarity.NearInKey("key", "x", 5)]
+    run = lambda: [sorted(m.pairs(nodes).collect()) for m in models] + [sorted(m.pairs_between(nodes.where("id < 20"), nodes).collect()) for m in models]
+    whole = run()
+    monkeypatch.setattr(similarity, "HOT", 7)
+    assert run() == whole and all(whole)
