@@ -8,6 +8,7 @@ import re
 import zlib
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
@@ -607,3 +608,18 @@ def test_columns_with_generated_names(spark):
     df = spark.createDataFrame(rows, "doc_id bigint, text string, spans int, `key of row` int, `first digest` int")
     for out in (substring_dedup.without_repeats(df), minhash.first_of_classes(df.unionByName(df)), decontaminate.without_contaminated(df, spark.createDataFrame([(1, "w1 w2 w99")], "item_id bigint, text string"), max_block_mb=1e-6)):
         assert out.columns == df.columns and out.select("spans").distinct().collect()[0][0] == 1
+
+
+def test_substring_dedup_filters_single_edges():
+    """Of the pieces cut by a border, only edges that occur twice are sent to the join."""
+    text = " ".join(f"w{i}" for i in range(60))
+    batch = pa.RecordBatch.from_arrays([pa.array([1]), pa.array([0]), pa.array([text])], names=["doc_id", "row_key", "text"])
+    everything, nothing = exchange.HashFilter(np.full(16, 2**64 - 1, np.uint64), 10), exchange.HashFilter(np.zeros(16, np.uint64), 10)
+    rows = lambda repeated: pa.Table.from_batches(list(substring_dedup._edge_rows(iter([batch]), 35, 16, everything, everything, repeated)))
+    edges = rows(everything).column("edge").to_numpy()
+    assert len(edges) == 26
+    slots = edges.view(np.uint64) >> np.uint64(44)
+    few = exchange.HashFilter(np.zeros(1 << 14, np.uint64), 20)
+    few.words[(slots[3:5] >> np.uint64(6)).astype(np.int64)] |= np.uint64(1) << (slots[3:5] & np.uint64(63))
+    assert set(edges[3:5]) <= set(rows(few).column("edge").to_numpy()) and rows(few).num_rows < 26
+    assert sum(b.num_rows for b in substring_dedup._edge_rows(iter([batch]), 35, 16, everything, everything, nothing)) == 0
