@@ -7,6 +7,7 @@ from clustercost import catalog
 
 NAMES = [
     "udtf_index_gadget",
+    "gadget_source",
 ]
 
 
