@@ -8,6 +8,7 @@ from clustercost import catalog
 NAMES = [
     "udtf_index_gadget",
     "gadget_source",
+    "op_cast_decimal",
 ]
 
 
