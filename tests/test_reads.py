@@ -9,6 +9,7 @@ NAMES = [
     "udtf_index_gadget",
     "gadget_source",
     "op_cast_decimal",
+    "op_cte_recursive",
 ]
 
 
