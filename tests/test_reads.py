@@ -10,6 +10,7 @@ NAMES = [
     "gadget_source",
     "op_cast_decimal",
     "op_cte_recursive",
+    "op_generate_grid",
 ]
 
 
