@@ -11,6 +11,7 @@ NAMES = [
     "op_cast_decimal",
     "op_cte_recursive",
     "op_generate_grid",
+    "op_math_sizes",
 ]
 
 
