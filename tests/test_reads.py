@@ -12,6 +12,7 @@ NAMES = [
     "op_cte_recursive",
     "op_generate_grid",
     "op_math_sizes",
+    "space_ledger_emb",
 ]
 
 
