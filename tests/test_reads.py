@@ -13,6 +13,7 @@ NAMES = [
     "op_generate_grid",
     "op_math_sizes",
     "space_ledger_emb",
+    "pass_ledger_emb",
 ]
 
 
