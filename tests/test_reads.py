@@ -14,6 +14,7 @@ NAMES = [
     "op_math_sizes",
     "space_ledger_emb",
     "pass_ledger_emb",
+    "tail_bounds",
 ]
 
 
