@@ -15,6 +15,7 @@ NAMES = [
     "space_ledger_emb",
     "pass_ledger_emb",
     "tail_bounds",
+    "theory_sizes",
 ]
 
 
