@@ -3,6 +3,7 @@
 import numpy as np
 import pytest
 
+from clustercost import catalog
 from clustercost.operators import dense, pivot
 from clustercost.operators.similarity import Cosine
 
@@ -17,3 +18,9 @@ def test_pivots_without_pairs(spark, monkeypatch, theta, batch):
     want = sorted(tuple(r) for r in pivot.pivot_cluster(nodes.select("id"), similarity.pairs(nodes).cache()).collect())
     monkeypatch.setattr(Cosine, "pairs", None)
     assert sorted(tuple(r) for r in dense.cosine_pivots(nodes, similarity, batch=batch).collect()) == want
+
+
+@pytest.mark.parametrize("name", ["anchored_labels_emb"])
+def test_anchored_queries_list_no_pairs(spark, sf, monkeypatch, name):
+    monkeypatch.setattr(Cosine, "pairs", None)
+    assert catalog.QUERIES[name](spark, sf).count()
