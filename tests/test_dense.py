@@ -20,7 +20,7 @@ def test_pivots_without_pairs(spark, monkeypatch, theta, batch):
     assert sorted(tuple(r) for r in dense.cosine_pivots(nodes, similarity, batch=batch).collect()) == want
 
 
-@pytest.mark.parametrize("name", ["anchored_labels_emb", "naive_degree_emb"])
+@pytest.mark.parametrize("name", ["anchored_labels_emb", "naive_degree_emb", "estimate_anchored_emb_two_sample"])
 def test_anchored_queries_list_no_pairs(spark, sf, monkeypatch, name):
     monkeypatch.setattr(Cosine, "pairs", None)
     assert catalog.QUERIES[name](spark, sf).count()
