@@ -68,7 +68,7 @@ def test_first_neighbours_without_pairs(listed, batch):
     assert rows(counted.earlier(trials, 6, batch)) == want
 
 
-@pytest.mark.parametrize("name", ["part_sizes_emb", "anchored_degree_emb", "mismatch_parts_emb", "estimate_residual_emb", "center_counts_emb", "estimate_cost_emb", "bound_checks", "unbiased_residual_emb", "prior_pivot_emb", "prior_sparse_dense_emb", "boosted_estimate_emb"])
+@pytest.mark.parametrize("name", ["part_sizes_emb", "anchored_degree_emb", "mismatch_parts_emb", "estimate_residual_emb", "center_counts_emb", "estimate_cost_emb", "bound_checks", "unbiased_residual_emb", "prior_pivot_emb", "prior_sparse_dense_emb", "boosted_estimate_emb", "estimate_cost_normalized_emb"])
 def test_queries_list_no_pairs(spark, sf, monkeypatch, name):
     monkeypatch.setattr(Cosine, "pairs", None)
     assert catalog.QUERIES[name](spark, sf).count()
