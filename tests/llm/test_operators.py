@@ -12,6 +12,7 @@ import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
+from clustercost import filters
 from clustercost.llm import chat, components, decontaminate, exchange, fingerprint, language, licenses, lm_scores, minhash, packing, substring_dedup, tokens, toxicity
 
 SCHEMA = "doc_id bigint, text string, lang string, source string, n_chars bigint, label int, kind string, bucket int"
@@ -623,3 +624,19 @@ def test_substring_dedup_filters_single_edges():
     few.words[(slots[3:5] >> np.uint64(6)).astype(np.int64)] |= np.uint64(1) << (slots[3:5] & np.uint64(63))
     assert set(edges[3:5]) <= set(rows(few).column("edge").to_numpy()) and rows(few).num_rows < 26
     assert sum(b.num_rows for b in substring_dedup._edge_rows(iter([batch]), 35, 16, everything, everything, nothing)) == 0
+
+
+def test_substring_dedup_counts_packed_hashes(spark):
+    """Seeds and edges cross the shuffle as four bytes each; single occurrences are dropped before edges are counted with their checks."""
+    rng = np.random.default_rng(3)
+    h = rng.integers(0, 2**64, 5000, np.uint64)
+    again = np.concatenate([h, h[:700], h[:50], h[:3]])
+    rows = spark.createDataFrame(pa.Table.from_batches([*filters.packed(iter(np.array_split(again, 7))), *filters.packed(iter([h[700:900]]))]))
+    assert sum(len(r["hashes"]) for r in rows.collect()) <= 4 * 5_900
+    found = filters.repeats(rows).passes(h)
+    assert found[:900].all() and found[900:].sum() < 200
+    assert not filters.repeats(spark.createDataFrame(pa.Table.from_batches(list(filters.packed(iter([h[:3]])))))).passes(h).any()
+    words = [f"w{i}" for i in range(400)]
+    batch = pa.RecordBatch.from_pydict({"doc_id": [0, 1], "row_key": [0, 0], "text": [" ".join(words), " ".join(words[100:180] + ["x"] * 3 + words[300:])]})
+    got = sorted((r["doc_id"], r["n_words"], r["n_removed"], r["kept_sha256"]) for r in substring_dedup.report(spark.createDataFrame(pa.Table.from_batches([batch]))).collect())
+    assert got == sorted((i, *x) for i, x in enumerate(substring_dedup.brute_force(batch.column(2).to_pylist())))
