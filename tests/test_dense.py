@@ -72,3 +72,18 @@ def test_first_neighbours_without_pairs(listed, batch):
 def test_queries_list_no_pairs(spark, sf, monkeypatch, name):
     monkeypatch.setattr(Cosine, "pairs", None)
     assert catalog.QUERIES[name](spark, sf).count()
+
+
+@pytest.mark.parametrize("held", [1000, 40])
+def test_bad_triangles_without_pairs(spark, monkeypatch, held):
+    rng = np.random.default_rng(8)
+    vectors = [[float(x) for x in v] for v in rng.normal(size=(90, 4))]
+    rows_in = [*((7 * i % 90, v) for i, v in enumerate(vectors)), (90, vectors[3]), (91, [0.0] * 4), (92, None)]
+    nodes = spark.createDataFrame(rows_in, "id bigint, e array<float>")
+    similarity = Cosine("e", 0.3)
+    want = rows(graph.bad_triangles(similarity.pairs(nodes).cache()))
+    monkeypatch.setattr(Cosine, "scored_between", None)
+    monkeypatch.setattr(dense, "TILE", 7)
+    found = dense.dense_bad_triangles(nodes, similarity, held)
+    assert rows(found) == want and want
+    assert "Exchange hashpartitioning(center" not in found._jdf.queryExecution().toString() and "Join" not in found._jdf.queryExecution().toString()
